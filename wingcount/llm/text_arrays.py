@@ -109,10 +109,16 @@ def slice_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower:
 
 
 def sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """Sums of slices, empty ones 0."""
-    kind = np.float64 if values.dtype.kind == "f" else np.int64
-    total = np.zeros(len(values) + 1, kind)
-    np.cumsum(values, dtype=kind, out=total[1:])
+    """Sums of slices, empty ones 0. A slice of floats sums alike wherever it stands."""
+    if values.dtype.kind == "f":
+        out = np.zeros(len(starts))
+        full = np.flatnonzero(ends > starts)
+        if len(full):
+            both = np.column_stack([starts[full], ends[full]]).ravel()
+            out[full] = np.add.reduceat(np.append(values, 0.0), both)[::2]
+        return out
+    total = np.zeros(len(values) + 1, np.int64)
+    np.cumsum(values, dtype=np.int64, out=total[1:])
     return total[ends] - total[starts]
 
 
