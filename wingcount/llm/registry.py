@@ -30,3 +30,11 @@ def op1_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     filters = fit_filters(docs.where(remainder(3) != 1))
     return predict(docs, filters).select("doc_id", (remainder(3) == 1).alias("held_out"), "lang_pred", "score")
+
+
+@query
+def op2_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.perplexity import judged
+
+    out = judged(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "cross_entropy", "n_scored")
