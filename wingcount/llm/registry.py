@@ -46,3 +46,16 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     out = near_duplicates(table(spark, sf_dir, "documents"))
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def vocabulary(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+@query
+def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.byte_pairs import encode_decode
+
+    return encode_decode(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
