@@ -59,3 +59,11 @@ def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wingcount.llm.byte_pairs import encode_decode
 
     return encode_decode(table(spark, sf_dir, "documents"), vocabulary("byte_bpe_50k.json"))
+
+
+@query
+def op6_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.backoff import score
+
+    out = score(table(spark, sf_dir, "documents"), remainder(7) != 2)
+    return out.select("doc_id", (remainder(7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
