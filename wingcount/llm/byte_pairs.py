@@ -92,7 +92,7 @@ def encoded_words(pairs: DataFrame, path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = WordEncoder(path)
-        kind = id_kind(encoder.tokenizer.get_vocab_size())
+        kind = id_kind(encoder.tokenizer.get_vocab_size(with_added_tokens=True))
         for batch in batches:
             table = batch.column("word").dictionary_encode()
             ids, at = encoder.encode([x.decode() for x in table.dictionary.to_pylist()])
@@ -128,6 +128,25 @@ def decoded(ids: np.ndarray, table: tuple[np.ndarray, np.ndarray]) -> tuple[np.n
     return take_slices(data, at[ids], at[ids + 1] - at[ids])
 
 
+def word_ids(words: pa.Table, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """All ids of a block's words, where those of word k begin and how many they are, and the vocabulary's size."""
+    with open(path, encoding="utf-8") as f:
+        stored = json.load(f)
+    size = 1 + max(*stored["model"]["vocab"].values(), *(x["id"] for x in stored["added_tokens"]))
+    kind = id_kind(size)
+    width = np.dtype(kind).itemsize
+    k = words.column("k").to_numpy()
+    word_at, word_n = np.zeros(len(k), np.int64), np.zeros(len(k), np.int64)
+    if not len(k):
+        return np.zeros(0, kind), word_at, word_n, size
+    parts = [x for x in words.column("ids").chunks if len(x)]
+    column = pa.concat_arrays(parts)
+    _, offsets, raw = column.buffers()
+    at = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64) // width
+    word_at[k], word_n[k] = at[:-1], np.diff(at)
+    return np.frombuffer(raw, np.uint8)[: at[-1] * width].view(kind), word_at, word_n, size
+
+
 def encode_decode(docs: DataFrame, path: str, text: str = "text", tokens: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of each document; with `tokens` also its ids and the decoded text."""
     whole = specials(path)
@@ -138,17 +157,7 @@ def encode_decode(docs: DataFrame, path: str, text: str = "text", tokens: bool =
 
     def joined(block: pa.Table, words: pa.Table) -> pa.Table:
         table = pieces(path)
-        kind = id_kind(len(table[1]) - 1)
-        k = words.column("k").to_numpy()
-        column = words.column("ids").combine_chunks()
-        column = pa.concat_arrays(column.chunks) if isinstance(column, pa.ChunkedArray) else column
-        _, offsets, raw = column.buffers() if len(column) else (None, None, None)
-        width = np.dtype(kind).itemsize
-        word_at, word_n = np.zeros(len(k), np.int64), np.zeros(len(k), np.int64)
-        if len(k):
-            at = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64) // width
-            word_at[k], word_n[k] = at[:-1], np.diff(at)
-        every = np.frombuffer(raw, np.uint8)[: (at[-1] * width)].view(kind) if len(k) and raw is not None else np.zeros(0, kind)
+        every, word_at, word_n, _ = word_ids(words, path)
         out = {"doc_id": [], "n_tokens": [], "ids_sha256": [], "decoded_sha256": []} | ({"ids": [], "decoded": []} if tokens else {})
         for row in block.to_pylist():
             counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])

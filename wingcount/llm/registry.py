@@ -67,3 +67,13 @@ def op6_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     out = score(table(spark, sf_dir, "documents"), remainder(7) != 2)
     return out.select("doc_id", (remainder(7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
+@query
+def op5_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.repair import read_ids, write_ids
+    from wingcount.shared import new_path
+
+    path = new_path(spark, "token-ids")
+    write_ids(table(spark, sf_dir, "documents"), path, vocabulary("word_bpe_49k.json"))
+    return read_ids(spark, path)
