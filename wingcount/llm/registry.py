@@ -77,3 +77,29 @@ def op5_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = new_path(spark, "token-ids")
     write_ids(table(spark, sf_dir, "documents"), path, vocabulary("word_bpe_49k.json"))
     return read_ids(spark, path)
+
+
+@query
+def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.warc import read_warc, write_warc
+    from wingcount.shared import new_path
+
+    path = new_path(spark, "warc")
+    write_warc(table(spark, sf_dir, "pages"), path)
+    return read_warc(spark, path).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+ORACLES["op9_warc"] = """
+with h as (
+  select page_id, octet_length(encode(coalesce(html, ''))) as payload_bytes, upper(sha1(coalesce(html, ''))) as hex from pages
+), bits as (
+  select page_id, payload_bytes, hex,
+    (select string_agg(substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', ((('0x' || substr(hex, 5 * (i // 4) + 1, 5))::bigint >> (5 * (3 - i % 4))) & 31)::int + 1, 1), '' order by i)
+     from range(0, 32) r(i)) as payload_digest
+  from h
+), first as (select hex, max(page_id) as first_id from h group by hex)
+select page_id, payload_bytes::bigint as payload_bytes, payload_digest,
+  case when page_id = first_id then 'response' else 'revisit' end as record_type,
+  case when page_id <> first_id then first_id end as refers_to
+from bits join first using (hex)
+"""
