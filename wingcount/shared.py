@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import os
+import shutil
+import site
 import tempfile
 import uuid
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -38,3 +42,18 @@ def drop_written(spark: SparkSession) -> None:
     while _written:
         path = hadoop(_written.pop())
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Sends this package to the Python workers, unless they find it as the driver does: over PYTHONPATH, an installed package or the working folder."""
+    root = Path(__file__).resolve().parent.parent
+    seen = [*os.environ.get("PYTHONPATH", "").split(os.pathsep), os.getcwd(), *site.getsitepackages()]
+    app = spark.sparkContext.applicationId
+    if app in _shipped or root in {Path(p).resolve() for p in seen if p}:
+        return
+    _shipped.add(app)
+    folder = tempfile.mkdtemp(prefix="wingcount-")
+    spark.sparkContext.addPyFile(shutil.make_archive(f"{folder}/wingcount", "zip", root, "wingcount"))
