@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from functools import wraps
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from wingcount.shared import ship
+
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
@@ -19,8 +23,13 @@ def remainder(of: int):
 
 
 def query(f):
-    QUERIES[f.__name__] = f
-    return f
+    @wraps(f)
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ship(spark)
+        return f(spark, sf_dir)
+
+    QUERIES[f.__name__] = run
+    return run
 
 
 @query
@@ -103,3 +112,10 @@ select page_id, payload_bytes::bigint as payload_bytes, payload_digest,
   case when page_id <> first_id then first_id end as refers_to
 from bits join first using (hex)
 """
+
+
+@query
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.decontaminate import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
