@@ -119,3 +119,19 @@ def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wingcount.llm.decontaminate import leaks
 
     return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+@query
+def op3_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.licenses import scan
+
+    return scan(table(spark, sf_dir, "documents"))
+
+
+def _license_sql() -> str:
+    from wingcount.llm.licenses import oracle
+
+    return oracle()
+
+
+ORACLES["op3_licenses"] = _license_sql()
