@@ -12,6 +12,7 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 
 _written: list[str] = []
+_tables: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -36,9 +37,22 @@ def written(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, name: str, key: str) -> DataFrame:
+    """Like `written`, but in buckets of `key`: a later join or grouping on it leaves these rows where they are."""
+    spark = df.sparkSession
+    path = new_path(spark, name)
+    table = f"{name}_{path.rpartition('-')[2]}"
+    _tables.append(table)
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    df.write.option("compression", "zstd").option("path", path).bucketBy(n, key).saveAsTable(table)
+    return spark.table(table)
+
+
 def drop_written(spark: SparkSession) -> None:
     """Deletes every table that this process wrote; call it once results have been consumed."""
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    while _tables:
+        spark.sql(f"DROP TABLE IF EXISTS {_tables.pop()}")
     while _written:
         path = hadoop(_written.pop())
         path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
