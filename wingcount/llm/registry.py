@@ -135,3 +135,12 @@ def _license_sql() -> str:
 
 
 ORACLES["op3_licenses"] = _license_sql()
+
+
+@query
+def op7_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from wingcount.llm.line_quality import fit, score
+
+    docs = table(spark, sf_dir, "documents")
+    chain = fit(docs, table(spark, sf_dir, "labels"), remainder(5) != 0)
+    return score(docs, chain).select("doc_id", (remainder(5) == 0).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
