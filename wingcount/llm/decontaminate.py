@@ -199,23 +199,34 @@ def leaks_of(held: Items, column: pa.Array, n: int, least_score: float, least_wo
     return dict(zip(("doc", "item", "score", "first", "last"), (np.concatenate(x) for x in zip(*out, strict=True)), strict=True))
 
 
-def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), n: int = 3, rare_share: float = 1e-8, least_score: float = 0.5, least_words: int = 8, slice_words: int = 2_000_000) -> DataFrame:
-    """`keep` columns, item_id, score (share of the item's own score), first_word and last_word (of the document's folded words) of every leak."""
-    spark = docs.sparkSession
+def seed_table(held: Items) -> np.ndarray:
+    """Which low bits of a hash any seed has."""
+    table = np.zeros(1 << 20, bool)
+    table[(held.seeds & np.uint64(len(table) - 1)).astype(np.int64)] = True
+    return table
+
+
+def slices(docs: DataFrame, benchmark: DataFrame, text: str = "text", n: int = 3, rare_share: float = 1e-8, slice_words: int = 2_000_000) -> Iterator[Items]:
+    """The benchmark's items with their seeds, in slices of a bounded number of words."""
     items = benchmark.where("item_id is not null and text is not null").select("item_id", "text")
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    slices = max(1, -(-int(total) // (2 * slice_words)))  # a word and its space have two bytes at least
+    count = max(1, -(-int(total) // (2 * slice_words)))  # a word and its space have two bytes at least
+    for k in range(count):
+        own = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(count)) == k).orderBy("item_id", "text").collect()
+        yield seeded(docs, [r[0] for r in own], [r[1] for r in own], text, n, rare_share)
+
+
+def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), n: int = 3, least_score: float = 0.5, least_words: int = 8, **how) -> DataFrame:
+    """`keep` columns, item_id, score (share of the item's own score), first_word and last_word (of the document's folded words) of every leak."""
     rows = docs.select(*keep, F.col(text).alias("_text"))
-    schema = T.StructType([rows.schema[c] for c in keep] + [items.schema["item_id"]] + [T.StructField(c, t) for c, t in (("score", T.DoubleType()), ("first_word", T.LongType()), ("last_word", T.LongType()))])
+    schema = T.StructType([rows.schema[c] for c in keep] + [benchmark.schema["item_id"]] + [T.StructField(c, t) for c, t in (("score", T.DoubleType()), ("first_word", T.LongType()), ("last_word", T.LongType()))])
     out = None
-    for k in range(slices):
-        own = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k).orderBy("item_id", "text").collect()
-        sent = spark.sparkContext.broadcast(seeded(docs, [r[0] for r in own], [r[1] for r in own], text, n, rare_share))
+    for items in slices(docs, benchmark, text, n, **how):
+        sent = docs.sparkSession.sparkContext.broadcast(items)
 
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             held = sent.value
-            table = np.zeros(1 << 20, bool)
-            table[(held.seeds & np.uint64(len(table) - 1)).astype(np.int64)] = True
+            table = seed_table(held)
             names = pa.array(held.ids, pa.int64()) if all(isinstance(x, int) for x in held.ids) else pa.array(held.ids)
             for batch in batches:
                 for part in chunks(batch, "_text"):
