@@ -1,6 +1,6 @@
 """Blocks of documents with a dictionary of their distinct words.
 
-A block is some 24 MB of texts of one task. Its row holds the documents' words as positions in the block's own dictionary, so
+A block is up to some 48 MB of texts of one task. Its row holds the documents' words as positions in the block's own dictionary, so
 work on words is done once per distinct word and block: the dictionaries are joined with a corpus-wide word table by an ordinary
 shuffle, and what that gives returns to the block, whose size bounds the memory. The corpus-wide table is never broadcast.
 
@@ -13,15 +13,16 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.llm.text_arrays import chunks, slice_hashes, take_slices
-from wingcount.shared import written
+from wingcount.shared import bucketed
 
-BLOCK_BYTES = 24 << 20
+BLOCK_BYTES = 48 << 20
 #: (bytes, starts, ends, index of each text's first word) of a string column
 Split = Callable[[pa.Array], tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]
 
@@ -38,8 +39,8 @@ def unpacked(raw: bytes) -> np.ndarray:
 
 
 def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str = "doc_id", flag=None) -> DataFrame:
-    """block, ids (of its documents), flags, counts (words of each document), codes (packed), words and ns (a dictionary,
-    and how often each word occurs in documents with a flag). Written to the shared folder."""
+    """block, ids (of its documents), flags, counts (words of each document), codes (packed), words, ks and ns (a dictionary in the order of its
+    words, each word's position, and how often it occurs in documents with a flag). Written to the shared folder in buckets of the block."""
     rows = docs.select(F.col(doc_id).cast("long").alias("id"), (F.lit(True) if flag is None else flag).alias("flag"), F.col(text).alias("_text"))
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -69,13 +70,15 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
         rank = np.empty(len(unique), np.uint32)
         rank[by] = np.arange(len(unique), dtype=np.uint32)
         shift = np.cumsum([0, *(len(x) for x in hashes)])
-        place = rank[back]
-        code = np.concatenate([place[shift[k] + codes[k]] for k in range(len(codes))]) if codes else np.zeros(0, np.uint32)
+        own_rank = rank[back]
+        code = np.concatenate([own_rank[shift[k] + codes[k]] for k in range(len(codes))]) if codes else np.zeros(0, np.uint32)
         start = np.concatenate([ats[k][:-1] + sum(len(x) for x in raw[:k]) for k in range(len(raw))])
         length = np.concatenate([np.diff(x) for x in ats])
-        data, at = take_slices(np.concatenate(raw), start[first[by]], length[first[by]])
+        data, at = take_slices(np.concatenate(raw), start[first], length[first])
         words = pa.Array.from_buffers(pa.binary(), len(at) - 1, [None, pa.py_buffer(at.astype(np.int32)), pa.py_buffer(data.tobytes())])
-        n = np.bincount(back, np.concatenate(ns), len(unique)).astype(np.int64)[by]
+        n = np.bincount(back, np.concatenate(ns), len(unique)).astype(np.int64)
+        alike = pc.sort_indices(words).to_numpy()  # neighbours share their beginnings, which shrinks the shuffle
+        words, place, n = words.take(pa.array(alike)), rank[alike].astype(np.int32), n[alike]
         whole = lambda x, kind: pa.array([x], pa.list_(kind))
         return pa.RecordBatch.from_arrays(
             [
@@ -85,14 +88,16 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
                 pa.array([np.concatenate(counts).astype("<i8").tobytes()], pa.binary()),
                 pa.array([packed(code)], pa.binary()),
                 pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words),
+                pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), pa.array(place)),
                 pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), pa.array(n)),
             ],
-            ["block", "ids", "flags", "counts", "codes", "words", "ns"],
+            ["block", "ids", "flags", "counts", "codes", "words", "ks", "ns"],
         )
 
-    return written(rows.mapInArrow(blocks, "block long, ids array<long>, flags binary, counts binary, codes binary, words array<binary>, ns array<long>"), "blocks")
+    schema = "block long, ids array<long>, flags binary, counts binary, codes binary, words array<binary>, ks array<int>, ns array<long>"
+    return bucketed(rows.mapInArrow(blocks, schema), "blocks", "block")
 
 
 def dictionary(blocks: DataFrame) -> DataFrame:
     """(block, k, word, n): a row for each distinct word of each block."""
-    return blocks.select("block", F.posexplode(F.arrays_zip("words", "ns")).alias("k", "w")).select("block", "k", F.col("w.words").alias("word"), F.col("w.ns").alias("n"))
+    return blocks.select("block", F.explode(F.arrays_zip("words", "ks", "ns")).alias("w")).select("block", F.col("w.ks").alias("k"), F.col("w.words").alias("word"), F.col("w.ns").alias("n"))

@@ -17,11 +17,12 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.text_arrays import owners, take_slices, text_bytes, words
+from wingcount.llm.text_arrays import kind_cuts, owners, take_slices, text_bytes, words
 
 #: White space that the pre-tokenization knows and a split at ASCII white space doesn't, and separators that some engines count as such.
 ODD_SPACE = "[\x1c-\x1f\u0085\u00a0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u3000\ufeff]"
@@ -33,7 +34,7 @@ def specials(path: str) -> list[str]:
 
 
 def spaced_words(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Cuts each text into words with one space before them and what white space remains. Texts with one of `whole`, or with odd white space, stay whole."""
+    """Cuts each text into words with one space before them and what white space remains, and simple words where the pattern cuts. Texts with one of `whole`, or with odd white space, stay whole."""
     data, at = text_bytes(column)
     starts, ends, bounds = words(data, at)
     mark = np.zeros(len(data) + 1, bool)
@@ -42,6 +43,7 @@ def spaced_words(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.nda
     mark[inner - 1] = True
     mark[inner[data[inner - 1] != 32]] = True
     mark[ends] = True
+    mark[:-1] |= kind_cuts(data, starts, ends, single_digits=False)[0]
     odd = pc.match_substring_regex(column, ODD_SPACE)
     for x in whole:
         odd = pc.or_(odd, pc.match_substring(column, x))
@@ -87,24 +89,44 @@ class WordEncoder:
 
 
 def encoded_words(pairs: DataFrame, path: str) -> DataFrame:
-    """(block, k, ids): 16-bit little-endian ids (32-bit where the vocabulary needs them) of each block's words. Words are dealt by their bytes and sorted,
-    and each is encoded when it first appears."""
+    """(block, ks, ns, ids): for each block the positions, numbers of ids and ids (16-bit little-endian, 32-bit where the vocabulary needs them) of some of its
+    words. Words are dealt by their bytes and sorted, and each is encoded when it first appears; a batch's words go back in one row a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = WordEncoder(path)
         kind = id_kind(encoder.tokenizer.get_vocab_size(with_added_tokens=True))
+        held, size = [], 0
+
+        def sent() -> pa.RecordBatch:
+            table = pa.Table.from_batches(held).combine_chunks()
+            column = table.column("word").combine_chunks().dictionary_encode()
+            column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+            ids, at = encoder.encode([x.decode() for x in column.dictionary.to_pylist()])
+            of = column.indices.to_numpy(zero_copy_only=False)
+            block, k = table.column("block").to_numpy(), table.column("k").to_numpy()
+            by = np.lexsort((k, block))
+            of, block, k = of[by], block[by], k[by]
+            n = np.diff(at)[of]
+            own, out = take_slices(ids.astype(kind), at[:-1][of], n)
+            cuts = [*np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]])).tolist(), len(block)]
+            spans = list(zip(cuts, cuts[1:], strict=False))
+            columns = [pa.array(block[cuts[:-1]])]
+            for values in (lambda a, b: k[a:b].astype("<u4"), lambda a, b: n[a:b].astype("<u4"), lambda a, b: own[out[a] : out[b]]):
+                columns.append(pa.array([zstandard.compress(values(a, b).tobytes(), 1) for a, b in spans], pa.binary()))
+            return pa.RecordBatch.from_arrays(columns, ["block", "ks", "ns", "ids"])
+
         for batch in batches:
-            table = batch.column("word").dictionary_encode()
-            ids, at = encoder.encode([x.decode() for x in table.dictionary.to_pylist()])
-            of = table.indices.to_numpy(zero_copy_only=False)
-            own, out = take_slices(ids.astype(kind), at[:-1][of], np.diff(at)[of])
-            width = np.dtype(kind).itemsize
-            column = pa.Array.from_buffers(pa.binary(), len(of), [None, pa.py_buffer((out * width).astype(np.int32)), pa.py_buffer(own.tobytes())])
-            yield pa.RecordBatch.from_arrays([batch.column("block"), batch.column("k"), column], ["block", "k", "ids"])
+            held.append(batch)
+            size += batch.num_rows
+            if size >= 200_000:
+                yield sent()
+                held, size = [], 0
+        if size:
+            yield sent()
 
     n = int(pairs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = pairs.select("block", "k", "word").repartition(n, "word").sortWithinPartitions("word")
-    return dealt.mapInArrow(run, "block long, k int, ids binary")
+    return dealt.mapInArrow(run, "block long, ks binary, ns binary, ids binary")
 
 
 def id_kind(vocabulary: int) -> str:
@@ -134,17 +156,12 @@ def word_ids(words: pa.Table, path: str) -> tuple[np.ndarray, np.ndarray, np.nda
         stored = json.load(f)
     size = 1 + max(*stored["model"]["vocab"].values(), *(x["id"] for x in stored["added_tokens"]))
     kind = id_kind(size)
-    width = np.dtype(kind).itemsize
-    k = words.column("k").to_numpy()
+    read = lambda name, kind: [np.frombuffer(zstandard.decompress(x), kind) for x in words.column(name).to_pylist()]
+    joined = lambda parts, kind: np.concatenate(parts) if parts else np.zeros(0, kind)
+    k, n = joined(read("ks", "<u4"), "<u4"), joined(read("ns", "<u4"), "<u4").astype(np.int64)
     word_at, word_n = np.zeros(len(k), np.int64), np.zeros(len(k), np.int64)
-    if not len(k):
-        return np.zeros(0, kind), word_at, word_n, size
-    parts = [x for x in words.column("ids").chunks if len(x)]
-    column = pa.concat_arrays(parts)
-    _, offsets, raw = column.buffers()
-    at = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64) // width
-    word_at[k], word_n[k] = at[:-1], np.diff(at)
-    return np.frombuffer(raw, np.uint8)[: at[-1] * width].view(kind), word_at, word_n, size
+    word_at[k], word_n[k] = np.cumsum(n) - n, n
+    return joined(read("ids", kind), kind), word_at, word_n, size
 
 
 def encode_decode(docs: DataFrame, path: str, text: str = "text", tokens: bool = False) -> DataFrame:

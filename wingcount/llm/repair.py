@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
 from wingcount.llm.byte_pairs import encoded_words, word_ids
-from wingcount.llm.text_arrays import sums, take_slices, text_bytes, words
+from wingcount.llm.text_arrays import kind_cuts, take_slices, text_bytes, words
 
 END_ID = 2
 BLOCK_IDS = 1 << 20
@@ -35,41 +35,22 @@ ARROW = pa.schema(
 _CELLS = 20
 
 
-#: Kinds of ASCII bytes: letters, digits, others. 0xC3 with a byte after it is a letter, but for the two signs among them.
-_KIND = np.full(256, 3, np.uint8)
-_KIND[[*range(65, 91), *range(97, 123), *range(0x80, 0x100)]] = 1
-_KIND[48:58] = 2
-
-
 def letter_runs(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Cuts texts at white space, and simple words also where the tokenizer's pattern cuts: between runs of letters, single digits and runs of other signs.
-    Simple words have ASCII and precomposed Latin-1 letters only, and no apostrophe; they are lower-cased, as the tokenizer does. Others stay as they are."""
+    """Cuts texts at white space, and simple words also where the tokenizer's pattern cuts. Simple words are lower-cased, as the tokenizer does; others stay as they are."""
     data, at = text_bytes(column)
     starts, ends, bounds = words(data, at)
-    lead = data == 0xC3
-    after = np.zeros(len(data), bool)
-    after[1:] = lead[:-1]
-    sign = after & ((data == 0x97) | (data == 0xB7))
-    hard = ((data >= 0x80) & ~lead & ~after) | sign | (data == 0x27)
-    simple = sums(hard, starts, ends) == 0
-    kind = _KIND[data]
-    cut = np.zeros(len(data) + 1, bool)
-    cut[1:-1] = (kind[1:] != kind[:-1]) | (kind[1:] == 2)
-    inside = np.zeros(len(data) + 1, np.int8)
-    np.add.at(inside, starts[simple], 1)
-    np.add.at(inside, ends[simple], -1)
-    inside = np.cumsum(inside[:-1], dtype=np.int8).astype(bool)
+    cut, inside = kind_cuts(data, starts, ends, single_digits=True)
     low = data.copy()
     low[inside & (data >= 65) & (data <= 90)] += 32
+    after = np.zeros(len(data), bool)
+    after[1:] = data[:-1] == 0xC3
     low[inside & after & (data >= 0x80) & (data <= 0x9E)] += 32
-    cut[:-1] &= inside
-    cut[starts] = True
-    first = np.flatnonzero(cut[:-1])
-    stop = cut
-    stop[starts] = False
+    first = cut.copy()
+    first[starts] = True
     last = np.zeros(len(data) + 1, bool)
     last[ends] = True
-    last |= stop
+    last[:-1] |= cut
+    first = np.flatnonzero(first)
     return low, first, np.flatnonzero(last), np.searchsorted(first, at)
 
 

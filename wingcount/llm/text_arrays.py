@@ -122,6 +122,34 @@ def sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray
     return total[ends] - total[starts]
 
 
+#: Kinds of bytes: letters, digits, others. 0xC3 and the byte after it are a letter, but for two signs.
+_KIND = np.full(256, 3, np.uint8)
+_KIND[[*range(65, 91), *range(97, 123), *range(0x80, 0x100)]] = 1
+_KIND[48:58] = 2
+
+
+def kind_cuts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, single_digits: bool) -> tuple[np.ndarray, np.ndarray]:
+    """For each byte whether a tokenizer's pattern cuts before it, inside a simple word, and whether it is in a simple word at all. Simple words have ASCII and
+    precomposed Latin-1 letters only, and no apostrophe; they fall into runs of letters, of digits (or single ones) and of other signs."""
+    lead = data == 0xC3
+    after = np.zeros(len(data), bool)
+    after[1:] = lead[:-1]
+    hard = ((data >= 0x80) & ~lead & ~after) | (after & ((data == 0x97) | (data == 0xB7))) | (data == 0x27)
+    simple = sums(hard, starts, ends) == 0
+    inside = np.zeros(len(data) + 1, np.int8)
+    inside[starts[simple]] += 1
+    np.subtract.at(inside, ends[simple], 1)
+    inside = np.cumsum(inside[:-1], dtype=np.int8).astype(bool)
+    kind = _KIND[data]
+    cut = np.zeros(len(data), bool)
+    cut[1:] = kind[1:] != kind[:-1]
+    if single_digits:
+        cut[1:] |= kind[1:] == 2
+    cut &= inside
+    cut[starts] = False
+    return cut, inside
+
+
 def owners(bounds: np.ndarray) -> np.ndarray:
     """The text of each item, from the index of each text's first item."""
     return np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
