@@ -7,7 +7,8 @@ of a block at once: at each order all positions are looked up together.
 
 Counts cover all training texts. Every distinct word is counted, and its count returns to the blocks that hold it over a shuffle, so the word table may grow
 without limit. Arcs beyond single words are kept for n-grams of words with at least `word_share` of the tokens that are seen twice and make up `arc_share`
-of the tokens; both are shares, alike at every size, so at most 1/arc_share arcs an order reach a task.
+of the tokens; both are shares, alike at every size, so at most 1/word_share words and 1/arc_share arcs an order reach a task. Words with arcs have ids,
+and an n-gram's code is its words' ids side by side, so states, words and shorter n-grams can be read off the code.
 
 Null texts count as empty: one end token. Repeated rows count each. doc_id may be null. Without training texts all words are unknown. Extra columns are ignored.
 """
@@ -23,11 +24,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.text_arrays import LOWER, mixed, sums, text_bytes, words
+from wingcount.llm.text_arrays import LOWER, sums, text_bytes, words
 from wingcount.shared import written
 
-#: Hashes that stand for a text's end, its beginning, and words too rare for arcs (and unknown ones).
-END, BEGIN, RARE = np.uint64(1), np.uint64(2), np.uint64(0)
+#: Ids of words too rare for arcs (and unknown ones), of a text's end and of its beginning; frequent words follow.
+RARE, END, BEGIN, FIRST = 0, 1, 2, 3
 
 
 def lowered_words(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -37,13 +38,14 @@ def lowered_words(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray,
 
 @dataclass(frozen=True)
 class Automaton:
-    """`grams[k]` are the sorted hashes of arcs of k + 2 words, `arcs[k]` their log10 probabilities; `states[k]` the sorted hashes of contexts of k + 1
+    """`grams[k]` are the sorted codes of arcs of k + 2 words, `arcs[k]` their log10 probabilities; `states[k]` the sorted codes of contexts of k + 1
     words, `fails[k]` their log10 backoff weights. Single words are scored from counts: (c - cut) / total, unknown words share what the cut frees."""
 
     total: int
     distinct: int
     ends: int
     cut: float
+    bits: int
     grams: tuple[np.ndarray, ...]
     arcs: tuple[np.ndarray, ...]
     states: tuple[np.ndarray, ...]
@@ -56,11 +58,11 @@ class Automaton:
         return np.log10(np.where(c > 0, np.maximum(c - self.cut, 1e-12), max(free, 1e-12)) / max(self.total, 1))
 
 
-def gram_hash(*parts: np.ndarray) -> np.ndarray:
-    h = np.zeros(len(parts[0]), np.uint64)
-    for part in parts:
-        h = mixed(h * np.uint64(0x9E3779B97F4A7C15) + part + np.uint64(0xD1B54A32D192ED03))
-    return h
+def code(bits: int, *parts):
+    out = parts[0]
+    for part in parts[1:]:
+        out = (out << bits) | part
+    return out
 
 
 def looked_up(keys: np.ndarray, values: np.ndarray, asked: np.ndarray, absent: float) -> tuple[np.ndarray, np.ndarray]:
@@ -71,52 +73,52 @@ def looked_up(keys: np.ndarray, values: np.ndarray, asked: np.ndarray, absent: f
     return np.where(found, values[at], absent), found
 
 
-def log_probs(model: Automaton, h: np.ndarray, c: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """log10 probability of each token; `h` has RARE where a word is too rare for arcs, `first` marks the first token of each text."""
-    n = len(h)
-    one, two = np.full(n, RARE), np.full(n, RARE)
-    one[1:] = h[:-1]
+def contexts(ids: np.ndarray, first: np.ndarray, most: int) -> list[np.ndarray]:
+    """The word before each token, and the one before that: BEGIN stands before a text's first token, nothing (RARE) before that."""
+    one = np.full(len(ids), RARE)
+    one[1:] = ids[:-1]
     one[first] = BEGIN
-    two[2:] = h[:-2]
-    second = np.zeros(n, bool)
-    second[1:] = first[:-1]
-    two[second] = BEGIN
+    two = np.full(len(ids), RARE)
+    two[1:] = one[:-1]
     two[first] = RARE
-    out = np.zeros(n)
-    open_ = np.ones(n, bool)
+    return [one, two][:most]
+
+
+def log_probs(model: Automaton, ids: np.ndarray, c: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """log10 probability of each token; `ids` has RARE where a word is too rare for arcs, `first` marks the first token of each text."""
+    back = contexts(ids, first, len(model.grams))
+    out = np.zeros(len(ids))
+    open_ = np.ones(len(ids), bool)
     for order in range(len(model.grams), 0, -1):
-        back = (one,) if order == 1 else (two, one)
-        at = np.flatnonzero(open_ & np.logical_and.reduce([x != RARE for x in back]))
-        context = gram_hash(*(x[at] for x in back))
-        unseen = np.ones(len(at), bool)
-        heard = np.flatnonzero(h[at] != RARE)
-        value, found = looked_up(model.grams[order - 1], model.arcs[order - 1], gram_hash(*(x[at[heard]] for x in back), h[at[heard]]), 0.0)
-        out[at[heard[found]]] += value[found]
-        unseen[heard[found]] = False
-        open_[at[heard[found]]] = False
-        out[at[unseen]] += looked_up(model.states[order - 1], model.fails[order - 1], context[unseen], 0.0)[0]
+        before = back[:order][::-1]
+        at = np.flatnonzero(open_ & np.logical_and.reduce([x != RARE for x in before]))
+        state = code(model.bits, *(x[at] for x in before))
+        heard = ids[at] != RARE
+        value, found = looked_up(model.grams[order - 1], model.arcs[order - 1], code(model.bits, state, ids[at]), 0.0)
+        found &= heard
+        out[at[found]] += value[found]
+        open_[at[found]] = False
+        out[at[~found]] += looked_up(model.states[order - 1], model.fails[order - 1], state[~found], 0.0)[0]
     out[open_] += model.word(c[open_])
     return out
 
 
-def walk(model: Automaton, h: list[int], c: list[int]) -> float:
+def walk(model: Automaton, ids: list[int], c: list[int]) -> float:
     """The automaton read token by token: the state is the longest known context. For reference and single texts."""
-    total, state = 0.0, (int(BEGIN),)
-    for word, count in zip(h, c, strict=True):
-        context = state
-        while True:
-            if not context:
-                total += float(model.word(np.array([count]))[0])
-                break
+    total, state = 0.0, (BEGIN,)
+    for word, count in zip(ids, c, strict=True):
+        context = state[-len(model.grams) :] if model.grams else ()
+        while context:
             k = len(context) - 1
-            key = gram_hash(*(np.array([x], np.uint64) for x in (*context, word)))
-            value, found = looked_up(model.grams[k], model.arcs[k], key, 0.0)
-            if found[0] and word != int(RARE):
+            value, found = looked_up(model.grams[k], model.arcs[k], np.array([code(model.bits, *context, word)]), 0.0)
+            if found[0] and word != RARE:
                 total += float(value[0])
                 break
-            total += float(looked_up(model.states[k], model.fails[k], gram_hash(*(np.array([x], np.uint64) for x in context)), 0.0)[0][0])
+            total += float(looked_up(model.states[k], model.fails[k], np.array([code(model.bits, *context)]), 0.0)[0][0])
             context = context[1:]
-        state = () if word == int(RARE) else (*state, word)[-len(model.grams) :] if model.grams else ()
+        else:
+            total += float(model.word(np.array([count]))[0])
+        state = () if word == RARE else (*state, word)
     return total
 
 
@@ -134,100 +136,102 @@ def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> t
     counted = written(counted.select("block", "k", "c", "lead", F.when(F.col("c") >= least, F.col("h")).alias("h")), "counts")
     facts = counted.where("lead and c > 0").agg(F.count(F.lit(1)).alias("v"), *(F.count_if(F.col("c") == k).alias(f"n{k}") for k in (1, 2))).first()
 
+    lead = counted.where("lead and h is not null").select("h", "c").toArrow()  # at most 1 / word_share
+    h, c = lead.column("h").to_numpy(), lead.column("c").to_numpy()
+    by = np.lexsort((h, -c))
+    h, c = h[by], c[by]
+    sorted_h = np.argsort(h)
+    sent = docs.sparkSession.sparkContext.broadcast((h[sorted_h], (FIRST + sorted_h).astype(np.int32)))
+
     def joined(block: pa.Table, words_: pa.Table) -> pa.Table:
         n = words_.num_rows
-        c, h = np.zeros(n, np.int64), np.zeros(n, np.uint64)
+        count, ids = np.zeros(n, np.int64), np.zeros(n, np.int32)
         k = words_.column("k").to_numpy()
-        c[k] = words_.column("c").to_numpy()
-        own = words_.column("h").fill_null(0).to_numpy().astype(np.int64).view(np.uint64)
-        own = np.where(own <= 2, own + np.uint64(3), own)
-        h[k] = np.where(words_.column("h").is_null().to_numpy(), RARE, own)
-        return block.append_column("c", pa.array([c.astype("<i8").tobytes()] * block.num_rows, pa.binary())).append_column("h", pa.array([h.astype("<u8").tobytes()] * block.num_rows, pa.binary()))
+        count[k] = words_.column("c").to_numpy()
+        value, _ = looked_up(*sent.value, words_.column("h").fill_null(0).to_numpy().astype(np.int64), RARE)
+        ids[k] = np.where(words_.column("h").is_null().to_numpy(), RARE, value)
+        for name, values in (("c", count.astype("<i8")), ("words", ids.astype("<i4"))):
+            block = block.append_column(name, pa.array([values.tobytes()] * block.num_rows, pa.binary()))
+        return block
 
     left = blocks.select("block", "ids", "flags", "counts", "codes")
     # a block of empty texts has no word to come back with
-    out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, h binary")
-    return written(out, "resolved"), {"total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"])}
+    out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, words binary")
+    counts = np.concatenate([[0, ends, ends], c]).astype(np.int64)  # of each id; a beginning has as many as an end
+    return written(out, "resolved"), {"total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"]), "counts": counts}
 
 
-def _tokens(row: dict, ends: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes and counts of a block's tokens, an end after each text, and where each text begins."""
-    counts, code = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
-    c, h = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["h"], "<u8")
+def _tokens(row: dict, ends: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids and counts of a block's tokens, an end after each text, which ones are first, and where each text begins."""
+    counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
+    c, word = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["words"], "<i4")
     bounds = np.concatenate([[0], np.cumsum(counts + 1)])
-    place = np.arange(len(code)) + np.repeat(np.arange(len(counts)), counts)
-    hs, cs = np.full(bounds[-1], END), np.full(bounds[-1], ends, np.int64)
-    hs[place], cs[place] = h[code], c[code]
-    return hs, cs, bounds
+    place = np.arange(len(codes)) + np.repeat(np.arange(len(counts)), counts)
+    ids, cs, first = np.full(bounds[-1], END), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
+    ids[place], cs[place] = word[codes], c[codes]
+    first[bounds[:-1]] = True
+    return ids, cs, first, bounds
 
 
-def _count_grams(resolved: DataFrame, order: int) -> DataFrame:
-    """(context, state, arc, n, word, lower): how often training texts have each n-gram; `arc` is null where the last word is rare."""
+def _count_grams(resolved: DataFrame, order: int, bits: int, within: np.ndarray | None) -> DataFrame:
+    """(gram, n): how often training texts have each n-gram of `order` + 1 frequent words. `within`: sorted codes of the kept n-grams of one word less; an
+    n-gram has at most the count of those in it, so others can't be kept."""
+    sent = resolved.sparkSession.sparkContext.broadcast(within)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent.value
         for batch in batches:
             for row in batch.to_pylist():
-                h, c, bounds = _tokens(row, -1)
-                flags = np.frombuffer(row["flags"], np.uint8).astype(bool)
-                trained = np.repeat(flags, np.diff(bounds))
-                first = np.zeros(len(h), bool)
-                first[bounds[:-1][np.diff(bounds) > 0]] = True
-                one = np.full(len(h), RARE)
-                one[1:] = h[:-1]
-                one[first] = BEGIN
-                back = [one]
-                if order == 2:
-                    two = np.full(len(h), RARE)
-                    two[1:] = one[:-1]
-                    two[first] = RARE
-                    back = [two, one]
-                at = np.flatnonzero(trained & np.logical_and.reduce([x != RARE for x in back]))
-                state = gram_hash(*(x[at] for x in back))
-                for known in (True, False):
-                    own = at[(h[at] != RARE) == known]
-                    if not len(own):
-                        continue
-                    context = state[(h[at] != RARE) == known]
-                    gram = gram_hash(*(x[own] for x in back), h[own]) if known else context
-                    unique, where, n = np.unique(gram, return_index=True, return_counts=True)
-                    low = gram_hash(one[own[where]], h[own[where]]) if order == 2 and known else np.zeros(len(where), np.uint64)
-                    for a in range(0, len(unique), 1 << 17):
-                        s = slice(a, a + (1 << 17))
-                        arc = pa.array(unique[s].view(np.int64), mask=np.full(len(unique[s]), not known))
-                        yield pa.RecordBatch.from_arrays(
-                            [pa.array(context[where[s]].view(np.int64)), arc, pa.array(n[s].astype(np.int64)), pa.array(c[own[where[s]]]), pa.array(low[s].view(np.int64)), pa.array(gram_hash(one[own[where[s]]]).view(np.int64))],
-                            ["state", "arc", "n", "c", "low", "down"],
-                        )
-
-    rows = resolved.mapInArrow(run, "state long, arc long, n long, c long, low long, down long")
-    return rows.groupBy("state", "arc").agg(F.sum("n").alias("n"), F.first("c").alias("c"), F.first("low").alias("low"), F.first("down").alias("down"))
+                ids, _, first, bounds = _tokens(row, 0)
+                trained = np.repeat(np.frombuffer(row["flags"], np.uint8).astype(bool), np.diff(bounds))
+                before = contexts(ids, first, order)[::-1]
+                at = np.flatnonzero(trained & (ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
+                gram = code(bits, *(x[at] for x in before), ids[at])
+                if held is not None:
+                    for short in (lambda g: g >> bits, lambda g: g & ((1 << (bits * order)) - 1)):
+                        unique, back = np.unique(short(gram), return_inverse=True)
+                        gram = gram[looked_up(held, held, unique, -1)[1][back]]
+                unique, n = np.unique(gram, return_counts=True)
+                for k in range(0, len(unique), 1 << 17):
+                    yield pa.RecordBatch.from_arrays([pa.array(unique[k : k + (1 << 17)].astype(np.int64)), pa.array(n[k : k + (1 << 17)].astype(np.int64))], ["gram", "n"])
+
+    return resolved.mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
 def fit(resolved: DataFrame, facts: dict, order: int, arc_share: float) -> Automaton:
     """Absolute discounting at each order; a state's failure weight is what its arcs leave, over what they leave of the lower order."""
+    counts = facts["counts"]
+    bits = int(len(counts)).bit_length()
+    if order > 3 or bits * order > 63:
+        raise ValueError("codes of n-grams don't fit 64 bits")
     cut = facts["n1"] / (facts["n1"] + 2 * facts["n2"]) if facts["n1"] and facts["n2"] else 0.5
-    model = Automaton(facts["total"], facts["distinct"], facts["ends"], cut, (), (), (), ())
+    model = Automaton(facts["total"], facts["distinct"], facts["ends"], cut, bits, (), (), (), ())
+    kept = of_state = None
     for k in range(1, order):
-        counts = written(_count_grams(resolved, k), "grams")
-        tallies = counts.where("arc is not null").agg(*(F.count_if(F.col("n") == x).alias(f"n{x}") for x in (1, 2))).first()
-        taken = tallies["n1"] / (tallies["n1"] + 2 * tallies["n2"]) if tallies["n1"] and tallies["n2"] else 0.5
-        totals = counts.groupBy("state").agg(F.sum("n").alias("of"))
         least = max(2.0, arc_share * facts["total"])
-        table = counts.where((F.col("n") >= least) & F.col("arc").isNotNull()).join(totals, "state").toArrow()
-        state, arc, low, down = (table.column(x).to_numpy().astype(np.int64).view(np.uint64) for x in ("state", "arc", "low", "down"))
-        n, of, c = (table.column(x).to_numpy().astype(np.float64) for x in ("n", "of", "c"))
+        # only what is kept, and how many occur once and twice for the discount
+        table = _count_grams(resolved, k, bits, kept).groupBy(F.when((F.col("n") >= least), F.col("gram")).alias("gram"), F.when(F.col("n") <= 2, F.col("n")).alias("few")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("grams")).toArrow()
+        few, grams, n = (table.column(x) for x in ("few", "grams", "n"))
+        once, twice = (sum(g for f, g in zip(few.to_pylist(), grams.to_pylist(), strict=True) if f == x) for x in (1, 2)) if k == 1 else (0, 0)
+        taken = once / (once + 2 * twice) if once and twice else 0.5
+        known = table.column("gram").is_valid().to_numpy()
+        gram, n = table.column("gram").fill_null(0).to_numpy()[known], n.to_numpy()[known].astype(np.float64)
+        by = np.argsort(gram)
+        gram, n = gram[by], n[by]
+        state, word = gram >> bits, gram & ((1 << bits) - 1)
+        # each context that is not an end is followed by one token, so its own count is the total of its arcs
+        of = counts[state] if k == 1 else looked_up(*of_state, state, 1.0)[0]
         p = (n - taken) / np.maximum(of, 1)
-        lower = model.word(np.where(c == -1, facts["ends"], c))
+        lower = model.word(counts[word])
         if k > 1:
-            value, found = looked_up(model.grams[0], model.arcs[0], low, 0.0)
-            fail, _ = looked_up(model.states[0], model.fails[0], down, 0.0)
-            lower = np.where(found, value, lower + fail)
+            value, found = looked_up(model.grams[0], model.arcs[0], gram & ((1 << (2 * bits)) - 1), 0.0)
+            lower = np.where(found, value, lower + looked_up(model.states[0], model.fails[0], state & ((1 << bits) - 1), 0.0)[0])
         states, back = np.unique(state, return_inverse=True)
         left = 1 - np.bincount(back, p, len(states))
         below = 1 - np.bincount(back, 10.0**lower, len(states))
         weight = np.log10(np.maximum(left, 1e-9) / np.maximum(below, 1e-9))
-        by = np.argsort(arc)
-        model = Automaton(*(getattr(model, x) for x in ("total", "distinct", "ends", "cut")), (*model.grams, arc[by]), (*model.arcs, np.log10(p)[by]), (*model.states, states), (*model.fails, weight))
+        kept, of_state = gram, (gram, n)
+        model = Automaton(*(getattr(model, x) for x in ("total", "distinct", "ends", "cut", "bits")), (*model.grams, gram), (*model.arcs, np.log10(p)), (*model.states, states), (*model.fails, weight))
     return model
 
 
@@ -241,15 +245,13 @@ def score(docs: DataFrame, train: Column, text: str = "text", order: int = 3, wo
         model = sent.value
         for batch in batches:
             for row in batch.to_pylist():
-                h, c, bounds = _tokens(row, ends)
+                words_, c, firsts, bounds = _tokens(row, ends)
                 ids, done = row["ids"], 0
                 while done < len(ids):
                     to = max(done + 1, int(np.searchsorted(bounds, bounds[done] + 500_000, "right")) - 1)
                     s = slice(bounds[done], bounds[to])
                     own, starts, stops = c[s], bounds[done:to] - bounds[done], bounds[done + 1 : to + 1] - bounds[done]
-                    first = np.zeros(len(own), bool)
-                    first[starts] = True
-                    value = log_probs(model, h[s], own, first)
+                    value = log_probs(model, words_[s], own, firsts[s])
                     n = stops - starts
                     base = sums(np.log10(own + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
                     yield pa.RecordBatch.from_arrays(
