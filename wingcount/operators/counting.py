@@ -131,11 +131,15 @@ def grouped(edges: DataFrame, starts: DataFrame, tau: int, width: int | None = N
 
     width = max(1, width or tau)
     own = bucket(F.col("t"), width)
-    near = edges.select("eid", "u", "l", "t", F.explode(F.array(own, own - 1)).alias("b"))
+    # other names than the starts', whose columns may be the same ones
+    near = edges.select(*(F.col(c).alias(f"n_{c}") for c in ("eid", "u", "l", "t")), F.explode(F.array(own, own - 1)).alias("n_b"))
     first = starts.select("eid", "u", "l", "t", bucket(F.col("t"), width).alias("b"))
     orders = dict(ORDERS)
 
     def count(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        if left.empty or right.empty:
+            return pd.DataFrame(columns=["eid", *(f"c{k}" for k in orders)]).astype("int64")
+        right = right.rename(columns=lambda c: c.removeprefix("n_"))
         x = left.merge(right, on="l", suffixes=("", "_a"))
         x = x[(x.u != x.u_a) & (x.t_a > x.t) & (x.t_a <= x.t + tau)][["eid", "u", "l", "t", "u_a", "t_a"]]
         x = x.merge(right[["u", "l", "t"]], on="u", suffixes=("", "_b"))
@@ -143,9 +147,9 @@ def grouped(edges: DataFrame, starts: DataFrame, tau: int, width: int | None = N
         x = x.merge(right[["u", "l", "t"]].rename(columns={"u": "u_a", "l": "l_b", "t": "t_c"}), on=["u_a", "l_b"])
         x = x[(x.t_c > x.t) & (x.t_c <= x.t + tau)].rename(columns={"t_a": "a", "t_b": "b", "t_c": "c"})
         out = pd.DataFrame({"eid": x.eid} | {f"c{k}": ((x[o[0]] < x[o[1]]) & (x[o[1]] < x[o[2]])).astype("int64") for k, o in orders.items()})
-        return out.groupby("eid", as_index=False).sum()
+        return out.groupby("eid", as_index=False).sum().astype("int64")
 
-    got = first.groupBy("b").cogroup(near.groupBy("b")).applyInPandas(count, "eid long, " + ", ".join(f"{c} long" for c in COUNTS))
+    got = first.groupBy("b").cogroup(near.groupBy("n_b")).applyInPandas(count, "eid long, " + ", ".join(f"{c} long" for c in COUNTS))
     return got.where(" + ".join(COUNTS) + " > 0")
 
 

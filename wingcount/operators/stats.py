@@ -64,7 +64,7 @@ def tau_curve(edges: DataFrame, taus: list[int]) -> DataFrame:
     spans = list_instances(edges, max(taus)).groupBy("type", "duration").agg(F.count(F.lit(1)).alias("n"))
     grid = edges.sparkSession.createDataFrame([(int(x),) for x in taus], "tau long")
     kinds = edges.sparkSession.range(1, 7).select(F.col("id").cast("int").alias("type"))
-    steps = grid.orderBy("tau").select(F.array_sort(F.collect_list("tau").over(Window.partitionBy())).alias("all")).limit(1)
-    first = spans.crossJoin(F.broadcast(steps)).withColumn("tau", F.filter("all", lambda x: x >= F.col("duration"))[0]).groupBy("type", "tau").agg(F.sum("n").alias("n"))
+    steps = F.array(*(F.lit(int(x)) for x in sorted(taus)))
+    first = spans.withColumn("tau", F.get(F.filter(steps, lambda x: x >= F.col("duration")), F.lit(0)).cast("long")).groupBy("type", "tau").agg(F.sum("n").alias("n"))
     full = kinds.crossJoin(F.broadcast(grid)).join(first, ["type", "tau"], "left").fillna(0, ["n"])  # six rows for each tau
     return full.select("tau", "type", F.sum("n").over(Window.partitionBy("type").orderBy("tau")).alias("count"))
