@@ -3,7 +3,7 @@
 A page's payload is its html in UTF-8. Headers alone are shuffled by payload digest; of the records of one digest the one with the largest page_id is the
 response, the others become revisit records that name it and carry no payload. Only digests that occur more than once go into the join, and
 headers are salted, so a payload that a third of all pages share is spread over tasks. Archives are written by Spark's text writer: a record is UTF-8 text
-(its header block, an empty line, the payload) and two line ends close it, so files are plain WARC/1.1 and a lost task is written anew.
+(its header block, an empty line, the payload) and two line ends close it, so files are WARC/1.1, each compressed as one gzip member, and a lost task is written anew.
 
 Null html is an empty payload. Rows that repeat both page_id and html each get a record of the same kind. page_id null: never named by a
 revisit unless all ids of the payload are null; then all of them are responses. An empty table gives an empty archive. Extra columns are ignored.
@@ -12,6 +12,7 @@ revisit unless all ids of the payload are null; then all of them are responses.
 from __future__ import annotations
 
 import base64
+import gzip
 import hashlib
 from collections.abc import Iterator
 
@@ -79,7 +80,7 @@ def write_warc(pages: DataFrame, path: str, least_bytes: int = 0, date: str = "2
     verdict = resolved(pages, least_bytes).select(F.col("page_id").alias("id"), "payload_bytes", "digest", "refers_to", "refers_url").dropDuplicates(["id", "digest"])
     own = pages.select("page_id", "url", "html", digest_base32(F.sha1(F.coalesce(F.col("html"), F.lit("")).cast("binary"))).alias("own_digest"))
     joined = own.join(verdict, F.col("page_id").eqNullSafe(F.col("id")) & (F.col("own_digest") == F.col("digest")))
-    joined.select(record(date).alias("value")).write.option("lineSep", RECORD_END).option("maxRecordsPerFile", records_per_file).text(path)
+    joined.select(record(date).alias("value")).write.option("lineSep", RECORD_END).option("maxRecordsPerFile", records_per_file).option("compression", "gzip").text(path)
 
 
 def parse(raw: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
@@ -108,7 +109,7 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
             for raw in batch.column("content"):
                 out: dict[str, list] = {c: [] for c in ("page_id", "record_type", "refers_to", "url", "payload_bytes", "payload_digest", "payload")}
                 size = 0
-                for fields, block in parse(raw.as_py()):
+                for fields, block in parse(gzip.decompress(raw.as_py())):
                     head, _, payload = block.partition(b"\r\n\r\n")
                     length = int(next(x.split(b":", 1)[1] for x in head.split(b"\r\n") if x.lower().startswith(b"content-length:")))
                     digest = fields["warc-payload-digest"].removeprefix("sha1:")
