@@ -46,7 +46,7 @@ def duration(tau: int | datetime.timedelta, unit: str = "micros") -> int:
 def from_df(df: DataFrame, upper: str, lower: str, time: str, edge_id: str | None = None, nulls: str = "drop", duplicates: str = "keep") -> DataFrame:
     """Edges of any frame. String nodes become 60-bit hashes; without an edge id, the id is a hash of the other columns and so one per distinct edge.
     nulls: 'drop' or 'error'. duplicates: 'keep' repeated (u, l, t), or 'collapse' them into one."""
-    node = lambda c: key_hash(c) if isinstance(df.schema[c].dataType, T.StringType) else F.col(c).cast("long")
+    node = lambda c: F.when(F.col(c).isNotNull(), key_hash(c)) if isinstance(df.schema[c].dataType, T.StringType) else F.col(c).cast("long")
     out = df.select((F.col(edge_id).cast("long") if edge_id else F.lit(None).cast("long")).alias("eid"), node(upper).alias("u"), node(lower).alias("l"), instant(F.col(time), df.schema[time].dataType).alias("t"))
     if edge_id is None:
         out = out.withColumn("eid", key_hash("u", "l", "t"))
