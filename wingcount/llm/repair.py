@@ -11,17 +11,19 @@ empty table gives an empty file. Extra columns are ignored.
 
 from __future__ import annotations
 
+import functools
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.byte_pairs import encoded_words, word_ids
+from wingcount.llm.byte_pairs import encoded_words, specials, word_ids
 from wingcount.llm.text_arrays import kind_cuts, take_slices, text_bytes, words
 
 END_ID = 2
@@ -35,11 +37,13 @@ ARROW = pa.schema(
 _CELLS = 20
 
 
-def letter_runs(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Cuts texts at white space, and simple words also where the tokenizer's pattern cuts. Simple words are lower-cased, as the tokenizer does; others stay as they are."""
+def letter_runs(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Cuts texts at white space, and simple words also where the tokenizer's pattern cuts. Simple words are lower-cased, as the tokenizer does; others, and all words of a text with one of `whole`, stay as they are."""
     data, at = text_bytes(column)
     starts, ends, bounds = words(data, at)
-    cut, inside = kind_cuts(data, starts, ends, single_digits=True)
+    special = functools.reduce(pc.or_, (pc.match_substring(column, x) for x in whole))
+    never = np.repeat(pc.fill_null(special, False).to_numpy(zero_copy_only=False), np.diff(at))
+    cut, inside = kind_cuts(data, starts, ends, single_digits=True, never=never)
     low = data.copy()
     low[inside & (data >= 65) & (data <= 90)] += 32
     after = np.zeros(len(data), bool)
@@ -152,7 +156,8 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str, text: str = "text", do
     parts = parts or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     order = F.col(doc_id).cast("long").asc_nulls_first()
     dealt = docs.select(doc_id, text).repartitionByRange(parts, order).sortWithinPartitions(order)
-    blocks = block_table(dealt, letter_runs, text, doc_id)
+    whole = specials(tokenizer)
+    blocks = block_table(dealt, lambda column: letter_runs(column, whole), text, doc_id)
     words_ = encoded_words(dictionary(blocks), tokenizer)
 
     def written_rows(block: pa.Table, own: pa.Table) -> pa.Table:

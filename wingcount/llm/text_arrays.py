@@ -128,14 +128,14 @@ _KIND[[*range(65, 91), *range(97, 123), *range(0x80, 0x100)]] = 1
 _KIND[48:58] = 2
 
 
-def kind_cuts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, single_digits: bool) -> tuple[np.ndarray, np.ndarray]:
+def kind_cuts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, single_digits: bool, never: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """For each byte whether a tokenizer's pattern cuts before it, inside a simple word, and whether it is in a simple word at all. Simple words have ASCII and
-    precomposed Latin-1 letters only, and no apostrophe; they fall into runs of letters, of digits (or single ones) and of other signs."""
+    precomposed Latin-1 letters only, no apostrophe, and no byte marked in `never`; they fall into runs of letters, of digits (or single ones) and of other signs."""
     lead = data == 0xC3
     after = np.zeros(len(data), bool)
     after[1:] = lead[:-1]
     hard = ((data >= 0x80) & ~lead & ~after) | (after & ((data == 0x97) | (data == 0xB7))) | (data == 0x27)
-    simple = sums(hard, starts, ends) == 0
+    simple = sums(hard if never is None else hard | never, starts, ends) == 0
     inside = np.zeros(len(data) + 1, np.int8)
     inside[starts[simple]] += 1
     np.subtract.at(inside, ends[simple], 1)
