@@ -3,7 +3,7 @@
 Every line has features of its own (kinds of characters, lengths, repeats) and those of the lines before and after it. The chain labels each line good or bad;
 forward-backward marginals, weighed by the lines' lengths, make a document's share of good text, which a logistic step turns into the score.
 
-Training labels are documents' only. A bounded sample of labelled documents (`most_docs`, those with the lowest hash of their text) is fitted: first lines take
+Training labels are documents' only. A bounded sample of labelled documents (`most_docs` of at most `most_bytes`, those with the lowest hash of their text) is fitted: first lines take
 their document's label, then the chain is fitted, lines of bad documents that look like lines of good ones are relabelled, and the chain is fitted again.
 
 Null and empty texts have one empty line and get a score like any other. Documents without a label are scored, not learned from. Without labels of both kinds the
@@ -195,16 +195,19 @@ def document_scores(chain: Chain, column: pa.Array) -> tuple[np.ndarray, np.ndar
     return 1 / (1 + np.exp(-(chain.step[0] * _spread(_shares(good, bounds, weight)) + chain.step[1]))), good, bounds
 
 
-def fit(docs: DataFrame, labels: DataFrame, train: Column, text: str = "text", most_docs: int = 6000) -> Chain | None:
-    """Fits the chain on at most `most_docs` labelled training documents, half of them of either label where there are as many."""
+def fit(docs: DataFrame, labels: DataFrame, train: Column, text: str = "text", most_docs: int = 1600, most_bytes: int = 1 << 16) -> Chain | None:
+    """Fits the chain on at most `most_docs` labelled training documents of at most `most_bytes` each, half of them of either label where there are as many."""
     known = labels.where(F.col("quality").isin(0, 1)).groupBy("doc_id").agg(F.max("quality").alias("quality"))
-    rows = docs.where(train).select("doc_id", F.col(text).alias("_text")).join(known, "doc_id").select("_text", "quality", F.xxhash64("_text").alias("_h"))
-    texts, values = [], []
-    for value in (0, 1):
-        some = rows.where(F.col("quality") == value).orderBy("_h", "_text").limit(most_docs // 2).collect()
-        texts += [r["_text"] for r in some]
-        values += [value] * len(some)
-    return fit_chain(texts, values)
+    own = docs.where(train & (F.coalesce(F.octet_length(text), F.lit(0)) <= most_bytes)).select("doc_id", F.col(text).alias("_text"), F.xxhash64(text).alias("_h"))
+    # ids and hashes alone are joined and ordered; texts are read for the chosen ones
+    hashed = own.select("doc_id", "_h").distinct().join(known, "doc_id")
+    chosen = [r for value in (0, 1) for r in hashed.where(F.col("quality") == value).orderBy("_h", "doc_id").limit(most_docs // 2).collect()]
+    if not chosen:
+        return None
+    picks = docs.sparkSession.createDataFrame(chosen, hashed.schema)  # most_docs rows at most
+    rows = own.join(F.broadcast(picks), ["doc_id", "_h"]).select("_h", "doc_id", "_text", "quality").distinct().collect()
+    rows.sort(key=lambda r: (r["quality"], r["_h"], r["doc_id"]))
+    return fit_chain([r["_text"] for r in rows], [r["quality"] for r in rows])
 
 
 def score(docs: DataFrame, chain: Chain | None, text: str = "text", keep: tuple[str, ...] = ("doc_id",), lines_too: bool = False) -> DataFrame:
@@ -217,7 +220,7 @@ def score(docs: DataFrame, chain: Chain | None, text: str = "text", keep: tuple[
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = sent.value
         for batch in batches:
-            for part in chunks(batch, "_text", 2 << 20):
+            for part in chunks(batch, "_text"):
                 if held is None:
                     n = np.diff(lines(*text_bytes(part.column("_text")))[2])
                     got, good, bounds = np.full(part.num_rows, 0.5), np.full(n.sum(), 0.5), np.concatenate([[0], np.cumsum(n)])
