@@ -16,6 +16,9 @@ SOME = [
 ]
 
 
+CLOCKED = ("accuracy_vs_time", "errors_at_equal_budget", "time_vs_tau", "ablations", "single_type_times")
+
+
 @pytest.fixture(scope="module")
 def db():
     con = duckdb.connect()
@@ -42,7 +45,7 @@ def test_query(spark, db, name):
 def test_contract():
     queries, sql = entry.queries(), entry.oracle_sql()
     assert set(sql) <= set(queries) and len(queries) > 120
-    assert not [n for n in queries if not n.startswith(("op", "pipeline", "speedup")) and n not in sql]
+    assert not [n for n in queries if not n.startswith(("op", "pipeline", "speedup")) and n not in sql and n not in CLOCKED]
 
 
 def test_entry(spark):

@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from wingcount import workloads
 from wingcount.functions import bounds, metrics
 from wingcount.functions.hashing import u01, u01_sql
 from wingcount.functions.order_types import ORDERS, TYPES, classify_sql
@@ -200,24 +201,18 @@ for _name in ("wedge", "chrono"):
 
 
 def speedup(s: SparkSession, d: str) -> DataFrame:
-    """Seconds of each method at a few rates, their MAPE over two seeds, and the speed-up at an equal error."""
-    edges = view(s, d, "eut")
-    truth = counting.exact_count(edges, _ETAU).persist()
-    rows = []
-    methods = {
-        "edge": lambda r, k: estimators.estimate(edges, _ETAU, sampling.EdgeSampler(r, k)), "interval": lambda r, k: estimators.estimate(edges, _ETAU, sampling.IntervalSampler(rate=r, c=0.1, seed=k)),
-        "six_edge": lambda r, k: baselines.SixPassEdge(r, k).estimate(edges, _ETAU), "static_topology": lambda r, k: baselines.StaticTopologyEstimator(min(1.0, r), seed=k).estimate(edges, _ETAU),
-    }
-    for name, build in methods.items():
-        for rate in (0.1, 0.5):
-            seconds = metrics.timed(lambda b=build, r=rate: b(r, 0), repeat=1)[0]
-            error = metrics.mape(build(rate, 0), truth).first()["mape"]
-            rows.append((name, rate, seconds, float(error or 0.0)))
-    runs = s.createDataFrame(rows, "method string, rate double, seconds double, mape double")
+    """Seconds and MAPE of some methods, and the speed-up at an equal error."""
+    runs = workloads.accuracy_vs_time(view(s, d, "eut"), _ETAU, ("edge", "interval", "six_edge", "static_topology"), (0.3,))
     return metrics.speedup_at(metrics.within_limits(runs), 1.0, "edge")
 
 
 add("speedup_at_level", speedup)
+# Experiments with a clock: rows only
+add("accuracy_vs_time", lambda s, d: workloads.accuracy_vs_time(view(s, d, "eut").where("eid < 4000"), _ETAU, ("edge", "node_upper", "interval", "six_edge", "static_topology"), (0.2,)))
+add("errors_at_equal_budget", lambda s, d: workloads.errors_at_equal_budget(view(s, d, "eut").where("eid < 4000"), _ETAU, ("edge", "interval"), (0.1, 0.5), seeds=(0,)))
+add("time_vs_tau", lambda s, d: workloads.time_vs_tau(euk(s, d), (24 * HOUR, 72 * HOUR), ("edge",)))
+add("ablations", lambda s, d: workloads.ablations(view(s, d, "eut"), HOUR))
+add("single_type_times", lambda s, d: workloads.single_type_times(view(s, d, "eut"), _fixed(s, d), HOUR))
 
 # The relational, window, set and function operators around the methods
 
