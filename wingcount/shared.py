@@ -13,14 +13,17 @@ from pyspark.sql import DataFrame, SparkSession
 
 _written: list[str] = []
 _tables: list[str] = []
+_folders: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The cluster's spark.checkpoint.dir; only where it is unset (tests, one machine) a local folder."""
     held = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not held:
-        held = tempfile.mkdtemp(prefix="wingcount-")
-        spark.conf.set("spark.checkpoint.dir", held)
+        app = spark.sparkContext.applicationId
+        if app not in _folders:
+            _folders[app] = tempfile.mkdtemp(prefix="wingcount-")
+        held = _folders[app]
     return held.rstrip("/")
 
 
