@@ -161,16 +161,25 @@ def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> t
     return written(out, "resolved"), {"total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"]), "counts": counts}
 
 
-def _tokens(row: dict, ends: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Ids and counts of a block's tokens, an end after each text, which ones are first, and where each text begins."""
+CHUNK_TOKENS = 500_000
+
+
+def _tokens(row: dict, ends: int) -> Iterator[tuple[slice, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Some of a block's texts at a time: which ones, ids and counts of their tokens with an end after each text, which tokens are first, and where each text begins."""
     counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
     c, word = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["words"], "<i4")
-    bounds = np.concatenate([[0], np.cumsum(counts + 1)])
-    place = np.arange(len(codes)) + np.repeat(np.arange(len(counts)), counts)
-    ids, cs, first = np.full(bounds[-1], END), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
-    ids[place], cs[place] = word[codes], c[codes]
-    first[bounds[:-1]] = True
-    return ids, cs, first, bounds
+    at = np.concatenate([[0], np.cumsum(counts)])
+    done = 0
+    while done < len(counts):
+        to = max(done + 1, int(np.searchsorted(at, at[done] + CHUNK_TOKENS, "right")) - 1)
+        own, n = codes[at[done] : at[to]], counts[done:to]
+        bounds = np.concatenate([[0], np.cumsum(n + 1)])
+        place = np.arange(len(own)) + np.repeat(np.arange(len(n)), n)
+        ids, cs, first = np.full(bounds[-1], END), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
+        ids[place], cs[place] = word[own], c[own]
+        first[bounds[:-1]] = True
+        yield slice(done, to), ids, cs, first, bounds
+        done = to
 
 
 def _count_grams(resolved: DataFrame, order: int, bits: int, within: np.ndarray | None) -> DataFrame:
@@ -182,18 +191,21 @@ def _count_grams(resolved: DataFrame, order: int, bits: int, within: np.ndarray
         held = sent.value
         for batch in batches:
             for row in batch.to_pylist():
-                ids, _, first, bounds = _tokens(row, 0)
-                trained = np.repeat(np.frombuffer(row["flags"], np.uint8).astype(bool), np.diff(bounds))
-                before = contexts(ids, first, order)[::-1]
-                at = np.flatnonzero(trained & (ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
-                gram = code(bits, *(x[at] for x in before), ids[at])
-                if held is not None:
-                    for short in (lambda g: g >> bits, lambda g: g & ((1 << (bits * order)) - 1)):
-                        unique, back = np.unique(short(gram), return_inverse=True)
-                        gram = gram[looked_up(held, held, unique, -1)[1][back]]
-                unique, n = np.unique(gram, return_counts=True)
-                for k in range(0, len(unique), 1 << 17):
-                    yield pa.RecordBatch.from_arrays([pa.array(unique[k : k + (1 << 17)].astype(np.int64)), pa.array(n[k : k + (1 << 17)].astype(np.int64))], ["gram", "n"])
+                flags, found = np.frombuffer(row["flags"], np.uint8).astype(bool), []
+                for texts, ids, _, first, bounds in _tokens(row, 0):
+                    trained = np.repeat(flags[texts], np.diff(bounds))
+                    before = contexts(ids, first, order)[::-1]
+                    at = np.flatnonzero(trained & (ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
+                    gram, n = np.unique(code(bits, *(x[at] for x in before), ids[at]), return_counts=True)
+                    if held is not None:
+                        for short in (lambda g: g >> bits, lambda g: g & ((1 << (bits * order)) - 1)):
+                            known = looked_up(held, held, short(gram), -1)[1]
+                            gram, n = gram[known], n[known]
+                    found.append((gram, n))
+                gram, back = np.unique(np.concatenate([g for g, _ in found] or [np.zeros(0, np.int64)]), return_inverse=True)
+                n = np.bincount(back, np.concatenate([x for _, x in found] or [np.zeros(0)]), len(gram)).astype(np.int64)
+                for k in range(0, len(gram), 1 << 17):
+                    yield pa.RecordBatch.from_arrays([pa.array(gram[k : k + (1 << 17)].astype(np.int64)), pa.array(n[k : k + (1 << 17)])], ["gram", "n"])
 
     return resolved.mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
@@ -245,19 +257,13 @@ def score(docs: DataFrame, train: Column, text: str = "text", order: int = 3, wo
         model = sent.value
         for batch in batches:
             for row in batch.to_pylist():
-                words_, c, firsts, bounds = _tokens(row, ends)
-                ids, done = row["ids"], 0
-                while done < len(ids):
-                    to = max(done + 1, int(np.searchsorted(bounds, bounds[done] + 500_000, "right")) - 1)
-                    s = slice(bounds[done], bounds[to])
-                    own, starts, stops = c[s], bounds[done:to] - bounds[done], bounds[done + 1 : to + 1] - bounds[done]
-                    value = log_probs(model, words_[s], own, firsts[s])
+                for texts, ids, c, first, bounds in _tokens(row, ends):
+                    value, starts, stops = log_probs(model, ids, c, first), bounds[:-1], bounds[1:]
                     n = stops - starts
-                    base = sums(np.log10(own + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
+                    base = sums(np.log10(c + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(ids[done:to], pa.int64()), pa.array(n), pa.array(sums(own > 0, starts, stops)), pa.array(np.full(len(n), total)), pa.array(base), pa.array(sums(value, starts, stops))],
+                        [pa.array(row["ids"][texts], pa.int64()), pa.array(n), pa.array(sums(c > 0, starts, stops)), pa.array(np.full(len(n), total)), pa.array(base), pa.array(sums(value, starts, stops))],
                         ["doc_id", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
                     )
-                    done = to
 
     return resolved.mapInArrow(run, "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double")
