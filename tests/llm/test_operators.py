@@ -260,6 +260,29 @@ def test_backoff_odd_rows(odd, empty):
     assert rows(backoff.score(empty, F.lit(True))) == []
 
 
+def test_backoff_scores_as_the_automaton_in_one_piece(docs):
+    train = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 != 2
+    got = {r["doc_id"]: r["score"] for r in rows(backoff.score(docs, train))}
+    resolved, facts = backoff._resolved(docs, train, "text", 0.0)
+    model = backoff.fit(resolved, facts, 3, 0.0)
+    assert all(len(x) for x in (*model.grams, *model.states))
+    want = {}
+    for row in rows(resolved):
+        for texts, ids, c, first, bounds in backoff._tokens(row, facts["ends"]):
+            value = backoff.log_probs(model, ids, c, first)
+            want |= {d: value[a:b].sum() for d, a, b in zip(row["ids"][texts], bounds, bounds[1:])}
+    assert got == pytest.approx(want)
+
+
+def test_backoff_keeps_rare_ngrams_of_a_large_corpus(spark):
+    """A phrase seen twice among 600,000 tokens has arcs: it scores above the same words in another order."""
+    filler = [(k, "so it goes on " * 15_000) for k in range(10)]
+    rare = [(20, "zig zag zug"), (21, "zig zag zug"), (30, "zig zag zug"), (31, "zug zag zig")]
+    got = {r["doc_id"]: r for r in rows(backoff.score(spark.createDataFrame(filler + rare, "doc_id long, text string"), F.col("doc_id") < 30))}
+    assert got[30]["n_known"] == got[31]["n_known"] == 4 and got[30]["base_score"] == pytest.approx(got[31]["base_score"])
+    assert got[30]["score"] > got[31]["score"] + 3
+
+
 # line quality
 
 

@@ -6,26 +6,31 @@ words read, so one pass over a text from left to right needs no more than its cu
 of a block at once: at each order all positions are looked up together.
 
 Counts cover all training texts. Every distinct word is counted, and its count returns to the blocks that hold it over a shuffle, so the word table may grow
-without limit. Arcs beyond single words are kept for n-grams of words with at least `word_share` of the tokens that are seen twice and make up `arc_share`
-of the tokens; both are shares, alike at every size, so at most 1/word_share words and 1/arc_share arcs an order reach a task. Words with arcs have ids,
-and an n-gram's code is its words' ids side by side, so states, words and shorter n-grams can be read off the code.
+without limit. Arcs are kept for every n-gram that training texts have `least` times; the words and shorter n-grams in it then have as many. N-grams are counted and
+returned to the blocks that hold them in the same way, and so are the failure weights of their contexts: no table of words or n-grams is sent to each task or to the
+driver, and a task holds those of its own block. There a word is its 64-bit hash and an n-gram's code a 64-bit mix of its words' hashes: of 1e9 n-grams, some 0.03 pairs clash.
+
+`_resolved` and `fit` make the same automaton in one piece on the driver, for small tables and as a reference. Its words have small ids, and an n-gram's code is its
+words' ids side by side; what has less than a share of the tokens can be left out.
 
 Null texts count as empty: one end token. Repeated rows count each. doc_id may be null. Without training texts all words are unknown. Extra columns are ignored.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
 from wingcount.llm.text_arrays import LOWER, sums, text_bytes, words
-from wingcount.shared import written
+from wingcount.shared import bucketed, written
 
 #: Ids of words too rare for arcs (and unknown ones), of a text's end and of its beginning; frequent words follow.
 RARE, END, BEGIN, FIRST = 0, 1, 2, 3
@@ -58,10 +63,19 @@ class Automaton:
         return np.log10(np.where(c > 0, np.maximum(c - self.cut, 1e-12), max(free, 1e-12)) / max(self.total, 1))
 
 
+def mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of a pair of codes."""
+    x = np.asarray(a, np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.asarray(b, np.int64).view(np.uint64)
+    for factor in (0xD6E8FEB86659FD93, 0xBF58476D1CE4E5B9):
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(factor)
+    return (x ^ (x >> np.uint64(32))).view(np.int64)
+
+
 def code(bits: int, *parts):
+    """Words' ids side by side, or mixed where they are hashes (`bits` 0)."""
     out = parts[0]
     for part in parts[1:]:
-        out = (out << bits) | part
+        out = (out << bits) | part if bits else mixed(out, part)
     return out
 
 
@@ -122,20 +136,26 @@ def walk(model: Automaton, ids: list[int], c: list[int]) -> float:
     return total
 
 
-def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> tuple[DataFrame, dict]:
-    """Blocks whose dictionaries hold each word's training count, and its hash if it is frequent enough for arcs."""
+def _word_counts(docs: DataFrame, train: Column, text: str, share: float, least: int) -> tuple[DataFrame, DataFrame, dict]:
+    """Blocks, each word of each block's dictionary with its training count and its hash if it is frequent enough for arcs, and totals."""
     blocks = block_table(docs, lowered_words, text, flag=train)
     heads = blocks.select(F.aggregate("ns", F.lit(0).cast("long"), lambda a, x: a + x).alias("n"), F.length(F.translate(F.hex("flags"), "0", "")).alias("texts"))
-    sums_ = heads.agg(F.sum("n").alias("n"), F.sum("texts").alias("texts")).first()
+    sums_ = heads.agg(F.sum("n").alias("n"), F.sum("texts").alias("texts"), F.count(F.lit(1)).alias("blocks")).first()
     total, ends = int(sums_["n"] or 0) + int(sums_["texts"] or 0), int(sums_["texts"] or 0)
     by_word = Window.partitionBy("word")
     counted = dictionary(blocks).select(
         "block", "k", F.sum("n").over(by_word).alias("c"), (F.row_number().over(by_word.orderBy("block")) == 1).alias("lead"), F.xxhash64("word").alias("h")
     )
-    least = max(2.0, word_share * total)
+    least = max(float(least), share * total)
     counted = written(counted.select("block", "k", "c", "lead", F.when(F.col("c") >= least, F.col("h")).alias("h")), "counts")
     facts = counted.where("lead and c > 0").agg(F.count(F.lit(1)).alias("v"), *(F.count_if(F.col("c") == k).alias(f"n{k}") for k in (1, 2))).first()
+    return blocks, counted, {"blocks": sums_["blocks"], "total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"])}
+
 
+def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> tuple[DataFrame, dict]:
+    """Blocks whose dictionaries hold each word's training count and small id, for tables whose frequent words fit the driver."""
+    blocks, counted, facts = _word_counts(docs, train, text, word_share, 2)
+    ends = facts["ends"]
     lead = counted.where("lead and h is not null").select("h", "c").toArrow()  # at most 1 / word_share
     h, c = lead.column("h").to_numpy(), lead.column("c").to_numpy()
     by = np.lexsort((h, -c))
@@ -158,16 +178,16 @@ def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> t
     # a block of empty texts has no word to come back with
     out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, words binary")
     counts = np.concatenate([[0, ends, ends], c]).astype(np.int64)  # of each id; a beginning has as many as an end
-    return written(out, "resolved"), {"total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"]), "counts": counts}
+    return written(out, "resolved"), facts | {"counts": counts}
 
 
 CHUNK_TOKENS = 500_000
 
 
-def _tokens(row: dict, ends: int) -> Iterator[tuple[slice, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def _tokens(row: dict, ends: int, kind: str = "<i4") -> Iterator[tuple[slice, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """Some of a block's texts at a time: which ones, ids and counts of their tokens with an end after each text, which tokens are first, and where each text begins."""
     counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
-    c, word = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["words"], "<i4")
+    c, word = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["words"], kind)
     at = np.concatenate([[0], np.cumsum(counts)])
     done = 0
     while done < len(counts):
@@ -175,7 +195,7 @@ def _tokens(row: dict, ends: int) -> Iterator[tuple[slice, np.ndarray, np.ndarra
         own, n = codes[at[done] : at[to]], counts[done:to]
         bounds = np.concatenate([[0], np.cumsum(n + 1)])
         place = np.arange(len(own)) + np.repeat(np.arange(len(n)), n)
-        ids, cs, first = np.full(bounds[-1], END), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
+        ids, cs, first = np.full(bounds[-1], END, np.int64), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
         ids[place], cs[place] = word[own], c[own]
         first[bounds[:-1]] = True
         yield slice(done, to), ids, cs, first, bounds
@@ -247,23 +267,210 @@ def fit(resolved: DataFrame, facts: dict, order: int, arc_share: float) -> Autom
     return model
 
 
-def score(docs: DataFrame, train: Column, text: str = "text", order: int = 3, word_share: float = 1e-5, arc_share: float = 1e-6) -> DataFrame:
-    """doc_id, n_tokens, n_known, train_tokens, base_score and score (log10) of every document; learns from those where `train` holds."""
-    resolved, facts = _resolved(docs, train, text, word_share)
-    sent = docs.sparkSession.sparkContext.broadcast(fit(resolved, facts, order, arc_share))
-    total, distinct, ends = facts["total"], facts["distinct"] + (facts["ends"] > 0), facts["ends"]
+BLOCK = "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, words binary"
+
+
+def _shut(x: np.ndarray) -> bytes:
+    """64-bit values as planes of bytes, compressed."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes())
+
+
+def _opened(raw: bytes, kind: str = "<f8") -> np.ndarray:
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), np.uint8).reshape(8, -1)
+    return np.ascontiguousarray(planes.T).view(kind).ravel()
+
+
+def _hashed(docs: DataFrame, train: Column, text: str, least: int) -> tuple[DataFrame, dict]:
+    """Like `_resolved`, but words are their hashes (RARE if not frequent enough for arcs)."""
+    blocks, counted, facts = _word_counts(docs, train, text, 0.0, least)
+
+    def joined(block: pa.Table, words_: pa.Table) -> pa.Table:
+        k = words_.column("k").to_numpy()
+        count, ids = np.zeros(len(k), "<i8"), np.zeros(len(k), "<i8")
+        count[k], ids[k] = words_.column("c").to_numpy(), words_.column("h").fill_null(RARE).to_numpy()
+        for name, values in (("c", count), ("words", ids)):
+            block = block.append_column(name, pa.array([values.tobytes()] * block.num_rows, pa.binary()))
+        return block
+
+    left = blocks.select("block", "ids", "flags", "counts", "codes")
+    out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, BLOCK)
+    return bucketed(out, "resolved", "block"), facts
+
+
+@dataclass(frozen=True)
+class Grams:
+    """A block's distinct n-grams in the order of their codes: contexts' codes and counts, last words' probabilities in the shorter context, how often the
+    block's training texts have them."""
+
+    gram: np.ndarray
+    state: np.ndarray
+    of: np.ndarray
+    lower: np.ndarray
+    n: np.ndarray
+
+    def where(self, good: np.ndarray) -> Grams:
+        return Grams(*(x[good] for x in (self.gram, self.state, self.of, self.lower, self.n)))
+
+
+def _block_grams(row: dict, facts: dict, order: int, pairs: Grams | None = None) -> Grams:
+    """N-grams of `order` + 1 words that are frequent enough; trigrams only where both bigrams in them are among `pairs` (with their corpus-wide n)."""
+    flags, total = np.frombuffer(row["flags"], np.uint8).astype(bool), max(facts["total"], 1)
+    found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0), np.zeros(0))]
+    p = None if pairs is None else (pairs.n - facts["discounts"][0]) / np.maximum(pairs.of, 1)
+    for texts, ids, c, first, bounds in _tokens(row, facts["ends"], "<i8"):
+        before = contexts(ids, first, order)[::-1]
+        at = np.flatnonzero((ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
+        state = code(0, *(x[at] for x in before))
+        if pairs is None:
+            of, lower = np.where(first[at], facts["ends"], c[at - 1]), (c[at] - facts["cut"]) / total
+        else:
+            of, has_state = looked_up(pairs.gram, pairs.n, state, 0.0)
+            lower, has = looked_up(pairs.gram, p, code(0, before[1][at], ids[at]), 0.0)
+            good = has_state & has
+            at, state, of, lower = at[good], state[good], of[good], lower[good]
+        trained = np.repeat(flags[texts], np.diff(bounds))[at]
+        gram, one, back = np.unique(code(0, state, ids[at]), return_index=True, return_inverse=True)
+        found.append((gram, state[one], of[one].astype(float), lower[one], np.bincount(back, trained, len(gram))))
+        if sum(len(x[0]) for x in found[1:]) > len(found[0][0]) + 2 * CHUNK_TOKENS:
+            found = [_distinct(found)]
+    return Grams(*_distinct(found))
+
+
+def _distinct(found: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
+    """Lists of n-grams as one, counts added."""
+    gram, state, of, lower, n = (np.concatenate(x) for x in zip(*found, strict=True))
+    gram, one, back = np.unique(gram, return_index=True, return_inverse=True)
+    return gram, state[one], of[one], lower[one], np.bincount(back, n, len(gram))
+
+
+def _with_totals(grams: Grams, back: list[bytes], least: int) -> tuple[Grams, np.ndarray]:
+    """The n-grams that occur `least` times in all, with that count, and which of them this block speaks for."""
+    n, lead = _opened(back[0]), _opened(back[1]) > 0
+    kept = n >= least
+    return Grams(grams.gram, grams.state, grams.of, grams.lower, n).where(kept), lead[kept]
+
+
+def _arc_sums(states: np.ndarray, grams: Grams, lead: np.ndarray, discount: float) -> tuple[np.ndarray, np.ndarray]:
+    """By context, what the arcs that this block speaks for take, and what they take of the lower order."""
+    at = np.searchsorted(states, grams.state[lead])
+    return np.bincount(at, grams.n[lead] - discount, len(states)), np.bincount(at, grams.lower[lead], len(states))
+
+
+def _fails(of: np.ndarray, back: list[bytes]) -> np.ndarray:
+    """log10 failure weights from a context's count and its sums over all blocks; 0 for a context without arcs."""
+    left, below = 1 - _opened(back[0]) / np.maximum(of, 1), 1 - _opened(back[1])
+    return np.log10(np.maximum(left, 1e-9) / np.maximum(below, 1e-9))
+
+
+def _contexts_of_one(row: dict, ends: int) -> tuple[np.ndarray, np.ndarray]:
+    """The block's frequent words and BEGIN, sorted, and their counts."""
+    word, c = np.frombuffer(row["words"], "<i8"), np.frombuffer(row["c"], "<i8")
+    word, c = np.append(word[word != RARE], BEGIN), np.append(c[word != RARE], ends)
+    word, one = np.unique(word, return_index=True)
+    return word, c[one]
+
+
+def _added_up(blocks: DataFrame, parts: int, asked: Callable[[dict], list[tuple[np.ndarray, ...]]]) -> DataFrame:
+    """`asked` gives sorted distinct codes and values by code for a block, once or several times. Every block gets each value's sum over all blocks, in the order of its
+    codes, and whether it is the first block with the code. A part is a range of codes, so a task holds one part of the codes of all blocks at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = sent.value
         for batch in batches:
-            for row in batch.to_pylist():
-                for texts, ids, c, first, bounds in _tokens(row, ends):
-                    value, starts, stops = log_probs(model, ids, c, first), bounds[:-1], bounds[1:]
-                    n = stops - starts
-                    base = sums(np.log10(c + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(row["ids"][texts], pa.int64()), pa.array(n), pa.array(sums(c > 0, starts, stops)), pa.array(np.full(len(n), total)), pa.array(base), pa.array(sums(value, starts, stops))],
-                        ["doc_id", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
-                    )
-
-    return resolved.mapInArrow(run, "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+            for k in range(batch.num_rows):
+                row = batch.slice(k, 1).to_pylist()[0]
+                for kind, (keys, *values) in enumerate(asked(row)):
+                    part = (((keys.view(np.uint64) ^ np.uint64(1 << 63)) >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32)
+                    edges = np.concatenate([np.flatnonzero(np.diff(part, prepend=part[:1] + np.uint64(1))), [len(part)]])
+                    for a, b in zip(edges, edges[1:]):
+                        columns = [[row["block"]], [kind], [int(part[a])], [_shut(np.diff(keys[a:b], prepend=0))], [[_shut(x[a:b]) for x in values]]]
+                        yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.list_(pa.binary())), strict=True)], ["block", "kind", "part", "keys", "sums"])
+
+    def summed(table: pa.Table) -> pa.Table:
+        table = table.sort_by("block")
+        keys = [np.cumsum(_opened(x, "<i8")) for x in table.column("keys").to_pylist()]
+        values = [[_opened(x) for x in own] for own in zip(*table.column("sums").to_pylist(), strict=True)]
+        _, one, back = np.unique(np.concatenate(keys), return_index=True, return_inverse=True)
+        lead = np.zeros(len(back))
+        lead[one] = 1
+        sums_ = [np.bincount(back, np.concatenate(x))[back] for x in values] + [lead]
+        at = np.cumsum([0, *map(len, keys)])
+        out = [[_shut(x[a:b]) for x in sums_] for a, b in zip(at, at[1:])]
+        return table.select(["block", "kind", "part"]).append_column("sums", pa.array(out, pa.list_(pa.binary())))
+
+    rows = blocks.mapInArrow(run, "block long, kind int, part long, keys binary, sums array<binary>")
+    return rows.groupBy("kind", "part").applyInArrow(summed, "block long, kind int, part long, sums array<binary>")
+
+
+def _joined_sums(back: pa.Table, kind: int, n: int) -> list[bytes]:
+    """A block's sums of one kind, all parts in order."""
+    own = back.filter(pc.equal(back.column("kind"), kind)).sort_by("part").column("sums").to_pylist()
+    return [_shut(np.concatenate([np.zeros(0), *(_opened(x[k]) for x in own)])) for k in range(n)]
+
+
+def score(docs: DataFrame, train: Column, text: str = "text", least: int = 2) -> DataFrame:
+    """doc_id, n_tokens, n_known, train_tokens, base_score and score (log10) of every document; learns from those where `train` holds."""
+    resolved, facts = _hashed(docs, train, text, least)
+    facts["cut"] = facts["n1"] / (facts["n1"] + 2 * facts["n2"]) if facts["n1"] and facts["n2"] else 0.5
+    parts = 8 * max(1, facts["blocks"])
+    total, distinct, ends = facts["total"], facts["distinct"] + (facts["ends"] > 0), facts["ends"]
+    lists = "array<binary>"
+
+    def bigrams(row: dict) -> list[tuple[np.ndarray, ...]]:
+        grams = _block_grams(row, facts, 1)
+        return [(grams.gram, grams.n)]
+
+    def with_pairs(block: pa.Table, back: pa.Table) -> pa.Table:
+        sums_ = _joined_sums(back, 0, 2)
+        n, lead = _opened(sums_[0]), _opened(sums_[1]) > 0
+        few = [int(np.count_nonzero(lead & (n == k))) for k in (1, 2)]
+        for name, value, kind in (("pairs", sums_, pa.list_(pa.binary())), ("once", few[0], pa.int64()), ("twice", few[1], pa.int64())):
+            block = block.append_column(name, pa.array([value] * block.num_rows, kind))
+        return block
+
+    joined = resolved.groupBy("block").cogroup(_added_up(resolved, parts, bigrams).groupBy("block"))
+    resolved = bucketed(joined.applyInArrow(with_pairs, f"{BLOCK}, pairs {lists}, once long, twice long"), "resolved", "block")
+    few = resolved.agg(F.sum("once"), F.sum("twice")).first()
+    facts["discounts"] = few[0] / (few[0] + 2 * few[1]) if few[0] and few[1] else 0.5, 0.5
+
+    def trigrams(row: dict) -> list[tuple[np.ndarray, ...]]:
+        pairs, lead = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
+        words_, _ = _contexts_of_one(row, ends)
+        grams = _block_grams(row, facts, 2, pairs)
+        return [(grams.gram, grams.n), (words_, *_arc_sums(words_, pairs, lead, facts["discounts"][0]))]
+
+    def with_triples(block: pa.Table, back: pa.Table) -> pa.Table:
+        for kind, (name, n) in enumerate((("triples", 2), ("leaves", 2))):
+            block = block.append_column(name, pa.array([_joined_sums(back, kind, n)] * block.num_rows, pa.list_(pa.binary())))
+        return block
+
+    joined = resolved.drop("once", "twice").groupBy("block").cogroup(_added_up(resolved, parts, trigrams).groupBy("block"))
+    resolved = bucketed(joined.applyInArrow(with_triples, f"{BLOCK}, pairs {lists}, triples {lists}, leaves {lists}"), "resolved", "block")
+
+    def contexts_of_two(row: dict) -> list[tuple[np.ndarray, ...]]:
+        pairs, _ = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
+        triples, lead = _with_totals(_block_grams(row, facts, 2, pairs), row["triples"], least)
+        return [(pairs.gram, *_arc_sums(pairs.gram, triples, lead, facts["discounts"][1]))]
+
+    def scored(block: pa.Table, back: pa.Table) -> pa.Table:
+        row = block.to_pylist()[0]
+        pairs, _ = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
+        triples, _ = _with_totals(_block_grams(row, facts, 2, pairs), row["triples"], least)
+        words_, c = _contexts_of_one(row, ends)
+        arcs = tuple(np.log10((x.n - d) / np.maximum(x.of, 1)) for x, d in zip((pairs, triples), facts["discounts"], strict=True))
+        fails = _fails(c, row["leaves"]), _fails(pairs.n, _joined_sums(back, 0, 2))
+        model = Automaton(total, facts["distinct"], ends, facts["cut"], 0, (pairs.gram, triples.gram), arcs, (words_, pairs.gram), fails)
+        out = []
+        for texts, ids, c, first, bounds in _tokens(row, ends, "<i8"):
+            value, starts, stops = log_probs(model, ids, c, first), bounds[:-1], bounds[1:]
+            n = stops - starts
+            base = sums(np.log10(c + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
+            out.append(
+                pa.RecordBatch.from_arrays(
+                    [pa.array(row["ids"][texts], pa.int64()), pa.array(n), pa.array(sums(c > 0, starts, stops)), pa.array(np.full(len(n), total)), pa.array(base), pa.array(sums(value, starts, stops))],
+                    ["doc_id", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+                )
+            )
+        return pa.Table.from_batches(out)
+
+    joined = resolved.groupBy("block").cogroup(_added_up(resolved, parts, contexts_of_two).groupBy("block"))
+    return joined.applyInArrow(scored, "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double")
