@@ -208,9 +208,10 @@ def speedup(s: SparkSession, d: str) -> DataFrame:
 
 add("speedup_at_level", speedup)
 # Experiments with a clock: rows only
-add("accuracy_vs_time", lambda s, d: workloads.accuracy_vs_time(view(s, d, "eut").where("eid < 4000"), _ETAU, ("edge", "node_upper", "interval", "six_edge", "static_topology"), (0.2,)))
-add("errors_at_equal_budget", lambda s, d: workloads.errors_at_equal_budget(view(s, d, "eut").where("eid < 4000"), _ETAU, ("edge", "interval"), (0.1, 0.5), seeds=(0,)))
-add("time_vs_tau", lambda s, d: workloads.time_vs_tau(euk(s, d), (24 * HOUR, 72 * HOUR), ("edge",)))
+_GRID = {"methods": tuple(workloads.METHODS), "rates": tuple(RATES), "seeds": tuple(SEEDS)}
+add("accuracy_vs_time", lambda s, d: workloads.accuracy_vs_time(view(s, d, "eut"), _ETAU, **_GRID))
+add("errors_at_equal_budget", lambda s, d: workloads.errors_at_equal_budget(view(s, d, "eut"), _ETAU, **_GRID))
+add("time_vs_tau", lambda s, d: workloads.time_vs_tau(euk(s, d), tuple(h * HOUR for h in (*range(1, 9), *range(24, 169, 24))), **_GRID))
 add("ablations", lambda s, d: workloads.ablations(view(s, d, "eut"), HOUR))
 add("single_type_times", lambda s, d: workloads.single_type_times(view(s, d, "eut"), _fixed(s, d), HOUR))
 

@@ -28,18 +28,23 @@ METHODS: dict[str, Callable[[DataFrame, int, float, int], DataFrame]] = {
 
 def accuracy_vs_time(edges: DataFrame, tau: int, methods: tuple[str, ...] = tuple(METHODS), rates: tuple[float, ...] = (0.05, 0.4), seeds: tuple[int, ...] = (0,)) -> DataFrame:
     """(method, rate, seed, seconds, mape). Runs over the limits of `metrics.within_limits` are what a figure leaves out."""
-    truth = {r["type"]: r["count"] for r in counting.exact_count(edges, tau).collect()}
-    rows = []
-    for name in methods:
-        for rate in rates:
-            for seed in seeds:
-                held: list = []
-                seconds = _clocked(lambda n=name, r=rate, s=seed, h=held: h.extend(METHODS[n](edges, tau, r, s).collect()))
-                errors = [abs(x["estimate"] - truth[x["type"]]) / truth[x["type"]] for x in held if truth[x["type"]]]
-                rows.append((name, rate, seed, seconds, sum(errors) / len(errors) if errors else None))
+    truth = _truth(edges, tau)
+    rows = [(name, rate, seed, *_run(edges, tau, truth, name, rate, seed)) for name in methods for rate in rates for seed in seeds]
     return edges.sparkSession.createDataFrame(rows, "method string, rate double, seed int, seconds double, mape double")
 
 
+def _truth(edges: DataFrame, tau: int) -> dict[int, int]:
+    return {r["type"]: r["count"] for r in counting.exact_count(edges, tau).collect()}
+
+
+def _run(edges: DataFrame, tau: int, truth: dict[int, int], name: str, rate: float, seed: int) -> tuple[float, float | None]:
+    """Seconds and MAPE of one run."""
+    held: list = []
+    seconds = _clocked(lambda: held.extend(METHODS[name](edges, tau, rate, seed).collect()))
+    errors = [abs(x["estimate"] - truth[x["type"]]) / truth[x["type"]] for x in held if truth[x["type"]]]
+    return seconds, sum(errors) / len(errors) if errors else None
+
+
 def _clocked(run: Callable[[], None]) -> float:
     import time
 
@@ -56,24 +61,33 @@ def errors_at_equal_budget(edges: DataFrame, tau: int, methods: tuple[str, ...]
     good = [r for r in curve if r["method"] == "edge" and r["mape"] is not None and r["mape"] <= level]
     budget = min((r["seconds"] for r in good), default=max(r["seconds"] for r in curve if r["method"] == "edge"))
     truth = counting.exact_count(edges, tau)
-    out = None
+    rows = []
     for name in methods:
         own = [r["rate"] for r in curve if r["method"] == name and r["seconds"] <= budget]
         rate = max(own, default=min(rates))
         for seed in seeds:
-            one = METHODS[name](edges, tau, rate, seed).select(F.lit(name).alias("method"), F.lit(rate).alias("rate"), "type", "estimate")
-            out = one if out is None else out.union(one)
-    table = spark.createDataFrame(out.collect(), out.schema)  # six rows a run
+            rows += [(name, rate, r["type"], float(r["estimate"])) for r in METHODS[name](edges, tau, rate, seed).select("type", "estimate").collect()]
+    table = spark.createDataFrame(rows, "method string, rate double, type int, estimate double")  # six rows a run
     return metrics.relative_error(table, truth).groupBy("method", "rate", "type").agg(F.avg("rel_error").alias("rel_error"))
 
 
-def time_vs_tau(edges: DataFrame, taus: tuple[int, ...], methods: tuple[str, ...] = ("edge", "static_topology"), rate: float = 0.3) -> DataFrame:
-    """(tau, method, rate, seconds, mape): how time grows with the duration."""
-    out = None
+def time_vs_tau(
+    edges: DataFrame, taus: tuple[int, ...], methods: tuple[str, ...] = ("edge", "static_topology"), rates: tuple[float, ...] = (0.05, 0.4), level: float = 0.05, seeds: tuple[int, ...] = (0,)
+) -> DataFrame:
+    """(tau, method, rate, seconds, mape): how time grows with the duration, each method at its smallest rate with a MAPE below `level` (its largest rate, if
+    none gets there); averages over the seeds."""
+    rows = []
     for tau in taus:
-        one = accuracy_vs_time(edges, tau, methods, (rate,)).select(F.lit(int(tau)).cast("long").alias("tau"), "method", "rate", "seconds", "mape")
-        out = one if out is None else out.union(one)
-    return out
+        truth = _truth(edges, tau)
+        for name in methods:
+            for rate in sorted(rates):
+                runs = [_run(edges, tau, truth, name, rate, seed) for seed in seeds]
+                errors = [m for _, m in runs if m is not None]
+                mape = sum(errors) / len(errors) if errors else None
+                if mape is not None and mape < level:
+                    break
+            rows.append((int(tau), name, rate, sum(s for s, _ in runs) / len(runs), mape))
+    return edges.sparkSession.createDataFrame(rows, "tau long, method string, rate double, seconds double, mape double")
 
 
 def ablations(edges: DataFrame, tau: int, rate: float = 0.2) -> DataFrame:
