@@ -455,6 +455,14 @@ def test_deduplicated(odd, empty):
     assert rows(simhash.deduplicated(empty)) == []
 
 
+def test_deduplicated_keeps_other_texts_of_an_id(spark):
+    rnd = np.random.default_rng(12)
+    a, b, c, d, e = (" ".join("".join(rnd.choice(list("abcdefghij"), 7)) for _ in range(40)) for _ in range(5))
+    df = spark.createDataFrame([(1, a), (1, b), (None, c), (None, d), (None, c), (2, e), (None, e), (1, a)], "doc_id long, text string")
+    kept = {(r["doc_id"], r["text"]) for r in rows(simhash.deduplicated(df))}
+    assert kept == {(1, a), (1, b), (None, c), (None, d), (2, e)} and simhash.deduplicated(df).count() == 5
+
+
 def test_components(spark):
     df = spark.createDataFrame([(1, 2), (2, 3), (9, 8), (8, 7), (3, 3), (None, 4), (2, 1)] + [(k, k + 1) for k in range(20, 60)], "a long, b long")
     got = {r["node"]: r["component"] for r in rows(components(df))}

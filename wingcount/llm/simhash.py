@@ -116,17 +116,28 @@ def links(distinct: DataFrame) -> DataFrame:
     return components(rest.union(first.select(F.col("node").alias("a"), F.col("component").alias("b")))).select(F.col("node").alias("fp"), "component")
 
 
+def _grouped(docs: DataFrame, text: str, keep: tuple[str, ...], width: int) -> tuple[DataFrame, DataFrame]:
+    """The documents' `keep` columns and fp; and each fp with its smallest doc_id and its component."""
+    own = written(fingerprints(docs, text, keep, width), "fingerprints")
+    distinct = written(own.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
+    return own, distinct.join(links(distinct.select("fp")), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component"))
+
+
 def near_duplicates(docs: DataFrame, text: str = "text", width: int = 3) -> DataFrame:
     """doc_id, fp and component_id: the smallest doc_id among all documents reached over links of at most 3 differing bits."""
-    own = written(fingerprints(docs, text, ("doc_id",), width), "fingerprints")
-    distinct = written(own.groupBy("fp").agg(F.min("doc_id").alias("least")), "distinct")
-    linked = distinct.join(links(distinct.select("fp")), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("component"))
+    own, linked = _grouped(docs, text, ("doc_id",), width)
     ids = linked.groupBy("component").agg(F.min("least").alias("component_id"))
     named = linked.join(ids, "component").select("fp", "component_id")
     return own.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
 def deduplicated(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The documents that keep their group's place: the one with the smallest doc_id, once."""
-    kept = near_duplicates(docs, text).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["_kept"]), "left_semi").dropDuplicates(["doc_id"])
+    """One document of each component: the one with the smallest doc_id (null ids last), then fingerprint and hashes of the text. Texts of other components
+    stay, whatever their ids."""
+    key = ["doc_id", "_h1", "_h2"]
+    marked = docs.withColumns({"_h1": F.xxhash64(text), "_h2": F.xxhash64(F.lit(1), text)})
+    own, linked = _grouped(marked, text, tuple(key), 3)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "fp", "_h1", "_h2")).alias("first")
+    kept = own.join(linked.select("fp", "component"), "fp").groupBy("component").agg(first).select(*(F.col(f"first.{c}").alias(f"_kept{c}") for c in key))
+    same = [marked[c].eqNullSafe(kept[f"_kept{c}"]) for c in key]
+    return marked.join(kept, same, "left_semi").dropDuplicates(key).drop("_h1", "_h2")
