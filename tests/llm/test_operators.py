@@ -106,6 +106,28 @@ def test_perplexity_verdicts(docs, odd, empty):
     assert set(row_filters.passing_quality(odd).columns) == set(odd.columns)
 
 
+def thue_morse(n, first=0):
+    """A word of n letters a and b that polynomial hashes modulo powers of two cannot tell from its complement."""
+    return "".join("ab"[(k.bit_count() + first) & 1] for k in range(n))
+
+
+def test_words_that_weak_hashes_confuse(spark):
+    """Lines, words and ids of a Thue-Morse word and of its complement stay apart."""
+    x, y = thue_morse(2048), thue_morse(2048, 1)
+    texts = [f"{x}\n{y}", f"{x} {y} {x} {x} {y}", x, y]
+    got = perplexity.text_statistics(pa.array(texts))
+    assert got["n_dup_lines"].tolist() == [0, 0, 0, 0] and got["n_repeat_words"].tolist() == [0, 0, 0, 0]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert {r["doc_id"]: r["decoded"] for r in rows(byte_pairs.encode_decode(df, vocabulary("byte_bpe_50k.json"), tokens=True))} == dict(enumerate(texts))
+    t = library(vocabulary("word_bpe_49k.json"))
+    repair.write_ids(df, path := new_path(spark, "ids"), vocabulary("word_bpe_49k.json"))
+    assert {r["doc_id"]: r["tokens"] for r in rows(repair.read_ids(spark, path, tokens=True))} == {k: t.encode(v, add_special_tokens=False).ids + [2] for k, v in enumerate(texts)}
+    base = {r["doc_id"]: r["base_score"] for r in rows(backoff.score(df, F.col("doc_id") < 2))}
+    c = Counter(w for v in texts[:2] for w in [*v.split(), "\0"])
+    n, v = sum(c.values()), len(c)
+    assert base == pytest.approx({k: sum(math.log10((c[w] + 1) / (n + v + 1)) for w in [*x.split(), "\0"]) for k, x in enumerate(texts)})
+
+
 # licences
 
 
@@ -201,10 +223,21 @@ def test_grammar_round_trip_and_random_access():
     size = np.where(symbols >= 50, lengths[np.maximum(symbols - 50, 0)], 1)
     assert set(bounds.tolist()) <= {0, *np.cumsum(size).tolist()}  # no rule crosses the end of a document
     row = {"base": 50, "rules": repair._squeezed(rule.T.ravel()), "lengths": repair._squeezed(lengths), "symbols": repair._squeezed(symbols)}
+    # nothing that stands together sixteen times is left, within documents
+    inner = ~np.isin(np.cumsum(size), bounds)
+    pairs = Counter(zip(symbols[:-1][inner[:-1]].tolist(), symbols[1:][inner[:-1]].tolist()))
+    assert not [p for p, n in pairs.items() if n >= 16 and p[0] != p[1]]
     for a, b in ((0, 5), (997, 1003), (2801, 2805), (len(ids) - 3, len(ids))):
         assert repair.ids_between(row, a, b).tolist() == ids[a:b].tolist()
 
 
+def test_grammar_of_one_repeated_symbol():
+    rule, lengths, symbols = repair.grammar(np.full(30_000, 7), np.array([0, 30_000]), 50)
+    assert repair.expanded(symbols, rule, 50).tolist() == [7] * 30_000 and len(symbols) < 20 and lengths.max() == 2048
+    rule, _, symbols = repair.grammar(np.arange(3), np.array([0, 3]), 50)
+    assert not len(rule) and symbols.tolist() == [0, 1, 2]
+
+
 # language model
 
 

@@ -4,7 +4,7 @@ A block is up to some 48 MB of texts of one task. Its row holds the documents' w
 work on words is done once per distinct word and block: the dictionaries are joined with a corpus-wide word table by an ordinary
 shuffle, and what that gives returns to the block, whose size bounds the memory. The corpus-wide table is never broadcast.
 
-Words are told apart within a block by a 64-bit hash (a block has under a million: a clash has odds below 1e-7); across blocks their bytes are the key.
+Words are told apart by their bytes, within a block and across blocks.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wingcount.llm.text_arrays import chunks, slice_hashes, take_slices
+from wingcount.llm.text_arrays import chunks, distinct_slices
 from wingcount.shared import bucketed
 
 BLOCK_BYTES = 48 << 20
@@ -49,12 +49,10 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
         for batch in batches:
             for piece in chunks(batch, "_text"):
                 data, starts, ends, bounds = split(piece.column("_text"))
-                h = slice_hashes(data, starts, ends)
-                unique, first, back = np.unique(h, return_index=True, return_inverse=True)
-                own, at = take_slices(data, starts[first], (ends - starts)[first])
+                code, own = distinct_slices(data, starts, ends)
                 flags = piece.column("flag").fill_null(False).to_numpy(zero_copy_only=False)
                 marked = np.repeat(flags, np.diff(bounds))
-                held.append((piece.column("id"), flags, np.diff(bounds), back.astype(np.uint32), unique, own, at, np.bincount(back[marked], minlength=len(unique)), np.bincount(back, minlength=len(unique))))
+                held.append((piece.column("id"), flags, np.diff(bounds), code.astype(np.uint32), own, np.bincount(code[marked], minlength=len(own)), np.bincount(code, minlength=len(own))))
                 size += len(data)
                 if size >= BLOCK_BYTES:
                     yield block((part << 32) + n, held)
@@ -63,20 +61,17 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
             yield block((part << 32) + n, held)
 
     def block(key: int, held: list) -> pa.RecordBatch:
-        ids, flags, counts, codes, hashes, raw, ats, ns, alls = zip(*held, strict=True)
-        unique, first, back = np.unique(np.concatenate(hashes), return_index=True, return_inverse=True)
-        total = np.bincount(back, np.concatenate(alls), len(unique))
+        ids, flags, counts, codes, own, ns, alls = zip(*held, strict=True)
+        coded = pa.concat_arrays([x.cast(pa.binary()) for x in own]).dictionary_encode()
+        words, back = coded.dictionary, coded.indices.to_numpy(zero_copy_only=False)
+        total = np.bincount(back, np.concatenate(alls), len(words))
         by = np.argsort(-total, kind="stable")
-        rank = np.empty(len(unique), np.uint32)
-        rank[by] = np.arange(len(unique), dtype=np.uint32)
-        shift = np.cumsum([0, *(len(x) for x in hashes)])
+        rank = np.empty(len(words), np.uint32)
+        rank[by] = np.arange(len(words), dtype=np.uint32)
+        shift = np.cumsum([0, *(len(x) for x in own)])
         own_rank = rank[back]
-        code = np.concatenate([own_rank[shift[k] + codes[k]] for k in range(len(codes))]) if codes else np.zeros(0, np.uint32)
-        start = np.concatenate([ats[k][:-1] + sum(len(x) for x in raw[:k]) for k in range(len(raw))])
-        length = np.concatenate([np.diff(x) for x in ats])
-        data, at = take_slices(np.concatenate(raw), start[first], length[first])
-        words = pa.Array.from_buffers(pa.binary(), len(at) - 1, [None, pa.py_buffer(at.astype(np.int32)), pa.py_buffer(data.tobytes())])
-        n = np.bincount(back, np.concatenate(ns), len(unique)).astype(np.int64)
+        code = np.concatenate([own_rank[shift[k] + codes[k]] for k in range(len(codes))])
+        n = np.bincount(back, np.concatenate(ns), len(words)).astype(np.int64)
         alike = pc.sort_indices(words).to_numpy()  # neighbours share their beginnings, which shrinks the shuffle
         words, place, n = words.take(pa.array(alike)), rank[alike].astype(np.int32), n[alike]
         whole = lambda x, kind: pa.array([x], pa.list_(kind))

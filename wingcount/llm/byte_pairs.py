@@ -4,7 +4,8 @@ Texts are cut where the tokenizer's own pre-tokenization always cuts, into words
 is encoded once in the whole corpus: the words of all blocks are shuffled and sorted by their bytes, so equal words stand together.
 Their ids return to the blocks and are joined to the positions. Ids are decoded by a join with the table of pieces (as many rows as the vocabulary).
 
-A text that holds a special token's string, or white space beyond ASCII, is one word as a whole, so the library decides on it.
+Where a special token's string or white space beyond ASCII stands, nothing is cut at it nor at the white space next to it: the words on both sides and what is between
+them are one word, so the library decides on it.
 Null texts encode as empty ones: no ids, decoded empty. Repeated rows encode each on its own; doc_id may be null. Extra columns are ignored.
 """
 
@@ -12,6 +13,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,10 +24,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.text_arrays import kind_cuts, owners, take_slices, text_bytes, words
+from wingcount.llm.text_arrays import SPACE, kind_cuts, owners, take_slices, text_bytes, words
 
 #: White space that the pre-tokenization knows and a split at ASCII white space doesn't, and separators that some engines count as such.
 ODD_SPACE = "[\x1c-\x1f\u0085\u00a0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u3000\ufeff]"
+_ODD_BYTES = rb"[\x1c-\x1f]|\xc2[\x85\xa0]|\xe1(?:\x9a\x80|\xa0\x8e)|\xe2(?:\x80[\x80-\x8b\xa8\xa9\xaf]|\x81\x9f)|\xe3\x80\x80|\xef\xbb\xbf"
 
 
 def specials(path: str) -> list[str]:
@@ -34,7 +37,7 @@ def specials(path: str) -> list[str]:
 
 
 def spaced_words(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Cuts each text into words with one space before them and what white space remains, and simple words where the pattern cuts. Texts with one of `whole`, or with odd white space, stay whole."""
+    """Cuts each text into words with one space before them and what white space remains, and simple words where the pattern cuts; not at `whole` nor at odd white space."""
     data, at = text_bytes(column)
     starts, ends, bounds = words(data, at)
     mark = np.zeros(len(data) + 1, bool)
@@ -44,16 +47,34 @@ def spaced_words(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.nda
     mark[inner[data[inner - 1] != 32]] = True
     mark[ends] = True
     mark[:-1] |= kind_cuts(data, starts, ends, single_digits=False)[0]
-    odd = pc.match_substring_regex(column, ODD_SPACE)
-    for x in whole:
-        odd = pc.or_(odd, pc.match_substring(column, x))
-    for k in np.flatnonzero(pc.fill_null(odd, False).to_numpy(zero_copy_only=False)):
-        mark[at[k] + 1 : at[k + 1]] = False
+    odd = pc.match_substring_regex(column, "|".join([ODD_SPACE, *map(re.escape, whole)]))
+    _glue(mark, data, at, np.flatnonzero(pc.fill_null(odd, False).to_numpy(zero_copy_only=False)), whole)
     mark[len(data)] = False
     cut = np.flatnonzero(mark)
     return data, cut, np.append(cut[1:], len(data)) if len(cut) else cut, np.searchsorted(cut, at)
 
 
+def _glue(mark: np.ndarray, data: np.ndarray, at: np.ndarray, texts: np.ndarray, whole: list[str]) -> None:
+    """Takes out the marks in and around odd stretches of the given texts, as far as ASCII white space goes on on both sides; texts still begin with a mark."""
+    pattern = re.compile(b"|".join([_ODD_BYTES, *(re.escape(x.encode()) for x in whole)]))
+    for k in texts.tolist():
+        low, high = int(at[k]), int(at[k + 1])
+        own = data[low:high]
+        spans = np.array([m.span() for m in pattern.finditer(own.tobytes())])
+        if not len(spans):
+            continue
+        ink = np.flatnonzero(~SPACE[own])  # every odd stretch has some
+        left = ink[np.searchsorted(ink, spans[:, 0]) - 1] + 1
+        left[spans[:, 0] <= ink[0]] = 0
+        right = np.append(ink, len(own))[np.searchsorted(ink, spans[:, 1])]
+        shut = np.zeros(len(own) + 2, np.int32)
+        np.add.at(shut, left, 1)
+        np.add.at(shut, right + 1, -1)
+        inside = np.cumsum(shut[:-2]) > 0
+        inside[0] = False
+        mark[low:high][inside] = False
+
+
 class WordEncoder:
     """Encodes many words in one call: they are joined by a special token, at which the ids are cut again. The mark's
     first characters are not its last ones, so no word next to it can shift where it is found."""

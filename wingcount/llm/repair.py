@@ -58,47 +58,53 @@ def letter_runs(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndar
     return low, first, np.flatnonzero(last), np.searchsorted(first, at)
 
 
-def grammar(ids: np.ndarray, bounds: np.ndarray, base: int, least: int = 16, most: int = 4096, gain: float = 0.03) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(rules, lengths, symbols) of a block of ids, whose documents begin at `bounds`. Symbols from `base` on are rules, each of two earlier symbols."""
-    s = ids.astype(np.int64)
-    last = np.zeros(len(s), bool)
+def grammar(ids: np.ndarray, bounds: np.ndarray, base: int, least: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(rules, lengths, symbols) of a block of ids, whose documents begin at `bounds`. Symbols from `base` on are rules, each of two earlier symbols. Goes on until no
+    two neighbours stand together `least` times. A pair of old symbols only ever gets rarer, so after the first round only places next to a new symbol, or where a pair
+    had to give way, are looked at; symbols are a chain, from which the second one of a pair drops out."""
+    n = len(ids)
+    s = np.append(ids.astype(np.int64), 0)
+    after, ahead = np.arange(1, n + 2), np.arange(-1, n)  # place n is past the end
+    last = np.zeros(n + 1, bool)
     last[bounds[1:][np.diff(bounds) > 0] - 1] = True
+    last[n] = True
+    dead = np.zeros(n + 1, bool)
+    dead[n] = True
     rules, n_rules = [], 0
-    while len(s) > 1:
-        key = (s[:-1] << 32) | s[1:]
-        cell = ((key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - _CELLS)).astype(np.int64)
-        inner = ~last[:-1]
-        heavy = np.bincount(cell[inner], minlength=1 << _CELLS) >= least
-        at = np.flatnonzero(inner & heavy[cell])
-        pairs, n = np.unique(key[at], return_counts=True)
-        best = np.argsort(-n, kind="stable")[:most]
-        best = best[n[best] >= least]
-        if not len(best):
-            break
-        pairs, n = pairs[best], n[best]
-        of_cell = np.full(1 << _CELLS, -1)
-        pair_cell = ((pairs.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - _CELLS)).astype(np.int64)
-        of_cell[pair_cell[::-1]] = np.arange(len(pairs))[::-1]  # the more frequent of two in a cell
-        rank = of_cell[cell[at]]
-        hit = (rank >= 0) & (pairs[rank] == key[at])
-        at, rank = at[hit], rank[hit]
-        # where candidates touch, the more frequent pair goes first, then the left one; one of them always stays
-        wins = np.ones(len(at), bool)
-        touch = np.flatnonzero(at[1:] == at[:-1] + 1)
-        left_first = rank[touch] <= rank[touch + 1]
-        wins[touch[~left_first]] = False
-        wins[touch[left_first] + 1] = False
-        at, rank = at[wins], rank[wins]
-        used, new = np.unique(rank, return_inverse=True)
-        if len(at) - 2 * len(used) < gain * len(s):
+    at = np.flatnonzero(~last)
+    key = (s[:-1] << 32 | s[1:])[at]
+    while len(at):
+        if len(at) > 1 << 16:  # many pairs are rare: those that share no cell of a table with others are left out before sorting
+            cell = _cell(key)
+            heavy = (np.bincount(cell, minlength=1 << _CELLS) >= least)[cell]
+            at, key = at[heavy], key[heavy]
+        pairs, counts = np.unique(key, return_counts=True)
+        own = np.flatnonzero(counts >= least)
+        own = own[np.argsort(-counts[own], kind="stable")]
+        if not len(own):
             break
+        pairs = pairs[own]
+        of_cell = np.full(1 << _CELLS, -1, np.int32)
+        of_cell[_cell(pairs[::-1])] = np.arange(len(pairs), dtype=np.int32)[::-1]  # the more frequent of two in a cell, the other one next time
+        rank = of_cell[_cell(key)]
+        open_ = rank >= 0
+        at, key, rank = at[open_], key[open_], rank[open_]
+        hit = pairs[rank] == key
+        put, rank = at[hit], rank[hit]
+        taken = _apart(put, rank, after)
+        put, rank = put[taken], rank[taken]
+        used = np.flatnonzero(np.bincount(rank, minlength=len(pairs)))
+        number = np.zeros(len(pairs), np.int64)
+        number[used] = base + n_rules + np.arange(len(used))
         rules.append(pairs[used])
-        s[at] = base + n_rules + new
         n_rules += len(used)
-        last[at] = last[at + 1]
-        keep = np.ones(len(s), bool)
-        keep[at + 1] = False
-        s, last = s[keep], last[keep]
+        gone = after[put]
+        s[put], last[put], after[put] = number[rank], last[gone], after[gone]
+        ahead[after[gone]] = put
+        dead[gone] = True
+        at = np.sort(np.concatenate([at, put, ahead[put]]))
+        at = at[np.append(at[1:] != at[:-1], True) & ~dead[at] & ~last[at]]
+        key = s[at] << 32 | s[after[at]]
     flat = np.concatenate(rules) if rules else np.zeros(0, np.int64)
     rule = np.column_stack([flat >> 32, flat & 0xFFFFFFFF]).astype(np.int32)
     lengths, done = np.ones(len(rule), np.int64), 0
@@ -106,7 +112,28 @@ def grammar(ids: np.ndarray, bounds: np.ndarray, base: int, least: int = 16, mos
         own = rule[done : done + len(group)]
         lengths[done : done + len(group)] = sum(np.where(own[:, k] >= base, lengths[np.maximum(own[:, k] - base, 0)], 1) for k in (0, 1))
         done += len(group)
-    return rule, lengths, s.astype(np.int32)
+    return rule, lengths, s[~dead].astype(np.int32)
+
+
+def _cell(key: np.ndarray) -> np.ndarray:
+    return ((key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - _CELLS)).view(np.int64)
+
+
+def _apart(at: np.ndarray, rank: np.ndarray, after: np.ndarray) -> np.ndarray:
+    """Which of the pairs at these places are taken, so that none overlap: every second one where a pair follows itself, then the more frequent of two that touch.
+    One of the most frequent pair always is."""
+    taken = np.ones(len(at), bool)
+    touch = at[1:] == after[at[:-1]]
+    again = np.flatnonzero(touch & (rank[1:] == rank[:-1])) + 1
+    if len(again):
+        place = np.arange(len(again))
+        begins = np.concatenate([[True], again[1:] != again[:-1] + 1])
+        taken[again[(place - np.maximum.accumulate(np.where(begins, place, 0))) % 2 == 0]] = False
+        touch &= taken[1:] & taken[:-1]
+    left_first = rank[:-1] < rank[1:]
+    taken[1:] &= ~(touch & left_first)
+    taken[:-1] &= ~touch | left_first
+    return taken
 
 
 def expanded(symbols: np.ndarray, rule: np.ndarray, base: int) -> np.ndarray:

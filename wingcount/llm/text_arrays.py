@@ -11,6 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 
 CHUNK_BYTES = 1 << 20
 
@@ -19,13 +20,6 @@ SPACE[[0x20, *range(0x09, 0x0E)]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
-_BASE = 0x9E3779B97F4A7C15
-_MASK = (1 << 64) - 1
-_BYTE = np.random.default_rng(20240917).integers(1, 1 << 64, 256, dtype=np.uint64)
-_BYTE_LOWER = _BYTE[LOWER]
-_powers = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
-
-
 def text_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     """All bytes of a string column, and where each text begins (one more entry than texts)."""
     if isinstance(column, pa.ChunkedArray):
@@ -82,16 +76,6 @@ def lines(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.
     return starts[by_start], ends[by_end], np.concatenate([[0], np.cumsum(count)]).astype(np.int64)
 
 
-def _grow(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_powers["up"]) < n:
-        size = max(n, 1 << 16)
-        for key, factor in (("up", _BASE), ("down", pow(_BASE, -1, 1 << 64))):
-            steps = np.full(size, factor, np.uint64)
-            steps[0] = 1
-            _powers[key] = np.cumprod(steps, dtype=np.uint64)
-    return _powers["up"], _powers["down"]
-
-
 def mixed(h: np.ndarray) -> np.ndarray:
     """Spreads 64-bit values over all bits."""
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -99,13 +83,26 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
+def distinct_slices(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, pa.Array]:
+    """The number of each slice's bytes among the distinct ones, in the order they first appear, and those as binaries. Slices follow each other, don't overlap and
+    are compared byte by byte, so different ones never share a number."""
+    inside = np.zeros(len(data) + 1, np.int8)
+    full = ends > starts
+    inside[starts[full]] += 1
+    inside[ends[full]] -= 1
+    raw = data[np.cumsum(inside[:-1], dtype=np.int8).view(bool)]
+    at = np.zeros(len(starts) + 1, np.int64)
+    np.cumsum(ends - starts, out=at[1:])
+    kind, offsets = (pa.binary(), at.astype(np.int32)) if at[-1] < 1 << 31 else (pa.large_binary(), at)
+    coded = pa.Array.from_buffers(kind, len(starts), [None, pa.py_buffer(offsets), pa.py_buffer(raw)]).dictionary_encode()
+    return coded.indices.to_numpy(zero_copy_only=False).astype(np.int64), coded.dictionary
+
+
 def slice_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
-    """A 64-bit hash of each slice of bytes, the same for the same bytes anywhere."""
-    up, down = _grow(len(data) + 1)
-    total = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((_BYTE_LOWER if lower else _BYTE)[data] * up[: len(data)], out=total[1:])
-    h = (total[ends] - total[starts]) * down[starts]
-    return mixed(h + (ends - starts).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+    """XXH3's 64 bits of each slice, the same for the same bytes anywhere. Slices as in `distinct_slices`."""
+    code, distinct = distinct_slices(LOWER[data] if lower else data, starts, ends)
+    digest = xxhash.xxh3_64_intdigest
+    return np.fromiter((digest(x) for x in distinct.to_pylist()), np.uint64, len(distinct))[code]
 
 
 def sums(values: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
@@ -135,11 +132,14 @@ def kind_cuts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, single_dig
     after = np.zeros(len(data), bool)
     after[1:] = lead[:-1]
     hard = ((data >= 0x80) & ~lead & ~after) | (after & ((data == 0x97) | (data == 0xB7))) | (data == 0x27)
-    simple = sums(hard if never is None else hard | never, starts, ends) == 0
+    at = np.flatnonzero(hard if never is None else hard | never)
+    of = np.searchsorted(starts, at, "right") - 1
+    simple = np.ones(len(starts), bool)
+    simple[of[(of >= 0) & (at < ends[of])]] = False
     inside = np.zeros(len(data) + 1, np.int8)
     inside[starts[simple]] += 1
-    np.subtract.at(inside, ends[simple], 1)
-    inside = np.cumsum(inside[:-1], dtype=np.int8).astype(bool)
+    inside[ends[simple]] -= 1
+    inside = np.cumsum(inside[:-1], dtype=np.int8).view(bool)
     kind = _KIND[data]
     cut = np.zeros(len(data), bool)
     cut[1:] = kind[1:] != kind[:-1]
