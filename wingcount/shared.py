@@ -51,6 +51,11 @@ def bucketed(df: DataFrame, name: str, key: str) -> DataFrame:
     return spark.table(table)
 
 
+def size_of(df: DataFrame) -> int:
+    """Bytes of the files (or an estimate of the result) that `df` reads, from its plan alone."""
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+
+
 def drop_written(spark: SparkSession) -> None:
     """Deletes every table that this process wrote; call it once results have been consumed."""
     hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs.Path
