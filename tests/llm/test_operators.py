@@ -254,35 +254,14 @@ def test_backoff_base_scores_and_gain(docs):
     assert sum(got[d]["score"] for d in held) > sum(got[d]["base_score"] for d in held)
 
 
-def test_backoff_walk_and_sums(spark):
-    texts = ["a b c a b d a b c", "b c a b", "a b c", "x a b c", None] * 3
-    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    resolved, facts = backoff._resolved(df, F.lit(True), "text", 1e-5)
-    model = backoff.fit(resolved, facts, 3, 1e-6)
-    assert all(len(g) for g in model.grams)
-    for row in rows(resolved):
-        for _, ids, c, first, bounds in backoff._tokens(row, facts["ends"]):
-            value = backoff.log_probs(model, ids, c, first)
-            for a, b in zip(bounds, bounds[1:]):
-                assert value[a:b].sum() == pytest.approx(backoff.walk(model, ids[a:b].tolist(), c[a:b].tolist()))
-    # from any state the arcs, failures and unknown words leave a distribution
-    known = np.flatnonzero(facts["counts"] > 0)
-    known = known[known != backoff.BEGIN]
-    rare = facts["distinct"] + 1 - len(known)
-    for context in ((), (backoff.BEGIN,), (int(known[-1]),), (int(known[1]), int(known[2]))):
-        total = 0.0
-        for w in known:
-            ids = np.array([*context, w])
-            c = facts["counts"][ids]
-            first = np.zeros(len(ids), bool)
-            own = np.array([x for x in ids if x != backoff.BEGIN])
-            first = np.arange(len(own)) == (0 if context[:1] == (backoff.BEGIN,) else -1)
-            total += 10 ** backoff.log_probs(model, own, facts["counts"][own], first)[-1]
-            del c
-        lone = np.array([x for x in context if x != backoff.BEGIN] + [backoff.RARE])
-        first = np.arange(len(lone)) == (0 if context[:1] == (backoff.BEGIN,) else -1)
-        unknown = backoff.log_probs(model, lone, np.append(facts["counts"][lone[:-1]], 0), first)[-1]
-        assert rare == 0 and total + 10**unknown == pytest.approx(1, abs=1e-6)
+def test_automaton_leaves_a_distribution():
+    """From any state, arcs, failures and unknown words sum to one."""
+    texts = [x.split() for x in ["a b c a b d a b c", "b c a b", "a b c", "x a b c", ""] * 3]
+    model = backoff.Automaton.of(texts)
+    assert {len(g) for g in model.arcs} == {2, 3} and {len(h) for h in model.fails} == {1, 2}
+    for context in ([], ["a"], ["a", "b"], ["d", "a"], ["zz"], ["x"]):
+        total = sum(10 ** model.step(context, w) for w in [*model.counts, "unheard"])
+        assert total == pytest.approx(1)
 
 
 def test_backoff_odd_rows(odd, empty):
@@ -293,18 +272,17 @@ def test_backoff_odd_rows(odd, empty):
     assert rows(backoff.score(empty, F.lit(True))) == []
 
 
-def test_backoff_scores_as_the_automaton_in_one_piece(docs):
+@pytest.mark.parametrize("table", ["docs", "odd"])
+def test_backoff_scores_as_the_automaton_walks(table, request, monkeypatch):
+    df, small = request.getfixturevalue(table), 100_000
+    monkeypatch.setattr(backoff, "BLOCK_BYTES", small)
     train = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 != 2
-    got = {r["doc_id"]: r["score"] for r in rows(backoff.score(docs, train))}
-    resolved, facts = backoff._resolved(docs, train, "text", 0.0)
-    model = backoff.fit(resolved, facts, 3, 0.0)
-    assert all(len(x) for x in (*model.grams, *model.states))
-    want = {}
-    for row in rows(resolved):
-        for texts, ids, c, first, bounds in backoff._tokens(row, facts["ends"]):
-            value = backoff.log_probs(model, ids, c, first)
-            want |= {d: value[a:b].sum() for d, a, b in zip(row["ids"][texts], bounds, bounds[1:])}
-    assert got == pytest.approx(want)
+    read = [(r["doc_id"], r["t"], WORD.findall((r["text"] or "").translate(LOW))) for r in rows(df.select("doc_id", "text", train.alias("t")))]
+    model = backoff.Automaton.of([w for _, t, w in read if t])
+    got = sorted(((str(r["doc_id"]), r["n_tokens"], round(r["score"], 6)) for r in rows(backoff.score(df, train))))
+    want = sorted((str(d), len(w) + 1, round(model.walk(w), 6)) for d, _, w in read)
+    assert [x[:2] for x in got] == [x[:2] for x in want]
+    assert [x[2] for x in got] == pytest.approx([x[2] for x in want], abs=1e-4)
 
 
 def test_backoff_keeps_rare_ngrams_of_a_large_corpus(spark):

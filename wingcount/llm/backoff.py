@@ -1,39 +1,43 @@
 """Language-model scoring with a weighted backoff automaton over words.
 
 States are contexts: the empty one, a word, or two words. An arc reads a word and has a log-probability; where a state has no arc for the word, its failure arc
-leads to the state without its first word, at the cost of the state's backoff weight. What state follows depends only on the last
-words read, so one pass over a text from left to right needs no more than its current state (`walk`). `scores` makes the same pass over all texts
-of a block at once: at each order all positions are looked up together.
+leads to the state without its first word, at the cost of the state's backoff weight. What state follows depends only on the last words read, so one pass over a text
+from left to right needs no more than its current state. `Automaton.walk` reads so, token by token; `score` makes the same moves for all texts of a block at once.
 
-Counts cover all training texts. Every distinct word is counted, and its count returns to the blocks that hold it over a shuffle, so the word table may grow
-without limit. Arcs are kept for every n-gram that training texts have `least` times; the words and shorter n-grams in it then have as many. N-grams are counted and
-returned to the blocks that hold them in the same way, and so are the failure weights of their contexts: no table of words or n-grams is sent to each task or to the
-driver, and a task holds those of its own block. There a word is its 64-bit hash and an n-gram's code a 64-bit mix of its words' hashes: of 1e9 n-grams, some 0.03 pairs clash.
+Smoothing is absolute discounting: n-grams of two and three words that training texts have twice or more become arcs, with (n - cut) / (count of the context)
+and what the failure arc would give besides; the weight of a failure arc is what the arcs of its state leave. Each order's cut follows from how many n-grams occur once
+and twice. Counts cover all training texts, and no arc is left out at any size of the corpus.
 
-`_resolved` and `fit` make the same automaton in one piece on the driver, for small tables and as a reference. Its words have small ids, and an n-gram's code is its
-words' ids side by side; what has less than a share of the tokens can be left out.
+No table of words or n-grams is sent to each task or to the driver. A block of documents asks for what it holds: its distinct words, then pairs of words that occur twice,
+then triples whose both pairs occur twice, each with its count in the block's training texts, cut into ranges of hashes. A task adds up one range over all blocks
+and answers each block in the order of its questions (`_answered`); so a block's memory is its own, and a hot word is one question a block like any other.
+Words are counted under a 128-bit BLAKE2 digest. N-grams are known by 64 bits: of 1e9, some 0.03 pairs clash.
 
 Null texts count as empty: one end token. Repeated rows count each. doc_id may be null. Without training texts all words are unknown. Extra columns are ignored.
 """
 
 from __future__ import annotations
 
+import hashlib
+from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
+import xxhash
 import zstandard
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.text_arrays import LOWER, sums, text_bytes, words
-from wingcount.shared import bucketed, written
+from wingcount.llm.blocks import block_table, unpacked
+from wingcount.llm.text_arrays import LOWER, mixed, sums, text_bytes, words
+from wingcount.shared import bucketed
 
-#: Ids of words too rare for arcs (and unknown ones), of a text's end and of its beginning; frequent words follow.
-RARE, END, BEGIN, FIRST = 0, 1, 2, 3
+LEAST = 2
+BLOCK_BYTES = 24 << 20
+PART_TOKENS = 4_000_000
+END, BEGIN = "\n", "\t"
 
 
 def lowered_words(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -41,436 +45,313 @@ def lowered_words(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray,
     return LOWER[data], *words(data, at)
 
 
-@dataclass(frozen=True)
-class Automaton:
-    """`grams[k]` are the sorted codes of arcs of k + 2 words, `arcs[k]` their log10 probabilities; `states[k]` the sorted codes of contexts of k + 1
-    words, `fails[k]` their log10 backoff weights. Single words are scored from counts: (c - cut) / total, unknown words share what the cut frees."""
-
-    total: int
-    distinct: int
-    ends: int
-    cut: float
-    bits: int
-    grams: tuple[np.ndarray, ...]
-    arcs: tuple[np.ndarray, ...]
-    states: tuple[np.ndarray, ...]
-    fails: tuple[np.ndarray, ...]
-
-    def word(self, c: np.ndarray) -> np.ndarray:
-        """log10 of the empty state's arcs, by the words' counts."""
-        known = self.distinct + (self.ends > 0)
-        free = self.cut * known if self.total else 1.0
-        return np.log10(np.where(c > 0, np.maximum(c - self.cut, 1e-12), max(free, 1e-12)) / max(self.total, 1))
-
-
-def mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of a pair of codes."""
-    x = np.asarray(a, np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.asarray(b, np.int64).view(np.uint64)
-    for factor in (0xD6E8FEB86659FD93, 0xBF58476D1CE4E5B9):
-        x = (x ^ (x >> np.uint64(32))) * np.uint64(factor)
-    return (x ^ (x >> np.uint64(32))).view(np.int64)
-
-
-def code(bits: int, *parts):
-    """Words' ids side by side, or mixed where they are hashes (`bits` 0)."""
-    out = parts[0]
-    for part in parts[1:]:
-        out = (out << bits) | part if bits else mixed(out, part)
-    return out
-
-
-def looked_up(keys: np.ndarray, values: np.ndarray, asked: np.ndarray, absent: float) -> tuple[np.ndarray, np.ndarray]:
-    if not len(keys):
-        return np.full(len(asked), absent), np.zeros(len(asked), bool)
-    at = np.minimum(np.searchsorted(keys, asked), len(keys) - 1)
-    found = keys[at] == asked
-    return np.where(found, values[at], absent), found
-
-
-def contexts(ids: np.ndarray, first: np.ndarray, most: int) -> list[np.ndarray]:
-    """The word before each token, and the one before that: BEGIN stands before a text's first token, nothing (RARE) before that."""
-    one = np.full(len(ids), RARE)
-    one[1:] = ids[:-1]
-    one[first] = BEGIN
-    two = np.full(len(ids), RARE)
-    two[1:] = one[:-1]
-    two[first] = RARE
-    return [one, two][:most]
-
-
-def log_probs(model: Automaton, ids: np.ndarray, c: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """log10 probability of each token; `ids` has RARE where a word is too rare for arcs, `first` marks the first token of each text."""
-    back = contexts(ids, first, len(model.grams))
-    out = np.zeros(len(ids))
-    open_ = np.ones(len(ids), bool)
-    for order in range(len(model.grams), 0, -1):
-        before = back[:order][::-1]
-        at = np.flatnonzero(open_ & np.logical_and.reduce([x != RARE for x in before]))
-        state = code(model.bits, *(x[at] for x in before))
-        heard = ids[at] != RARE
-        value, found = looked_up(model.grams[order - 1], model.arcs[order - 1], code(model.bits, state, ids[at]), 0.0)
-        found &= heard
-        out[at[found]] += value[found]
-        open_[at[found]] = False
-        out[at[~found]] += looked_up(model.states[order - 1], model.fails[order - 1], state[~found], 0.0)[0]
-    out[open_] += model.word(c[open_])
-    return out
-
-
-def walk(model: Automaton, ids: list[int], c: list[int]) -> float:
-    """The automaton read token by token: the state is the longest known context. For reference and single texts."""
-    total, state = 0.0, (BEGIN,)
-    for word, count in zip(ids, c, strict=True):
-        context = state[-len(model.grams) :] if model.grams else ()
-        while context:
-            k = len(context) - 1
-            value, found = looked_up(model.grams[k], model.arcs[k], np.array([code(model.bits, *context, word)]), 0.0)
-            if found[0] and word != RARE:
-                total += float(value[0])
-                break
-            total += float(looked_up(model.states[k], model.fails[k], np.array([code(model.bits, *context)]), 0.0)[0][0])
-            context = context[1:]
-        else:
-            total += float(model.word(np.array([count]))[0])
-        state = () if word == RARE else (*state, word)
-    return total
-
-
-def _word_counts(docs: DataFrame, train: Column, text: str, share: float, least: int) -> tuple[DataFrame, DataFrame, dict]:
-    """Blocks, each word of each block's dictionary with its training count and its hash if it is frequent enough for arcs, and totals."""
-    blocks = block_table(docs, lowered_words, text, flag=train)
-    heads = blocks.select(F.aggregate("ns", F.lit(0).cast("long"), lambda a, x: a + x).alias("n"), F.length(F.translate(F.hex("flags"), "0", "")).alias("texts"))
-    sums_ = heads.agg(F.sum("n").alias("n"), F.sum("texts").alias("texts"), F.count(F.lit(1)).alias("blocks")).first()
-    total, ends = int(sums_["n"] or 0) + int(sums_["texts"] or 0), int(sums_["texts"] or 0)
-    by_word = Window.partitionBy("word")
-    counted = dictionary(blocks).select(
-        "block", "k", F.sum("n").over(by_word).alias("c"), (F.row_number().over(by_word.orderBy("block")) == 1).alias("lead"), F.xxhash64("word").alias("h")
-    )
-    least = max(float(least), share * total)
-    counted = written(counted.select("block", "k", "c", "lead", F.when(F.col("c") >= least, F.col("h")).alias("h")), "counts")
-    facts = counted.where("lead and c > 0").agg(F.count(F.lit(1)).alias("v"), *(F.count_if(F.col("c") == k).alias(f"n{k}") for k in (1, 2))).first()
-    return blocks, counted, {"blocks": sums_["blocks"], "total": total, "ends": ends, "distinct": int(facts["v"]), "n1": int(facts["n1"]), "n2": int(facts["n2"])}
-
-
-def _resolved(docs: DataFrame, train: Column, text: str, word_share: float) -> tuple[DataFrame, dict]:
-    """Blocks whose dictionaries hold each word's training count and small id, for tables whose frequent words fit the driver."""
-    blocks, counted, facts = _word_counts(docs, train, text, word_share, 2)
-    ends = facts["ends"]
-    lead = counted.where("lead and h is not null").select("h", "c").toArrow()  # at most 1 / word_share
-    h, c = lead.column("h").to_numpy(), lead.column("c").to_numpy()
-    by = np.lexsort((h, -c))
-    h, c = h[by], c[by]
-    sorted_h = np.argsort(h)
-    sent = docs.sparkSession.sparkContext.broadcast((h[sorted_h], (FIRST + sorted_h).astype(np.int32)))
-
-    def joined(block: pa.Table, words_: pa.Table) -> pa.Table:
-        n = words_.num_rows
-        count, ids = np.zeros(n, np.int64), np.zeros(n, np.int32)
-        k = words_.column("k").to_numpy()
-        count[k] = words_.column("c").to_numpy()
-        value, _ = looked_up(*sent.value, words_.column("h").fill_null(0).to_numpy().astype(np.int64), RARE)
-        ids[k] = np.where(words_.column("h").is_null().to_numpy(), RARE, value)
-        for name, values in (("c", count.astype("<i8")), ("words", ids.astype("<i4"))):
-            block = block.append_column(name, pa.array([values.tobytes()] * block.num_rows, pa.binary()))
-        return block
-
-    left = blocks.select("block", "ids", "flags", "counts", "codes")
-    # a block of empty texts has no word to come back with
-    out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, words binary")
-    counts = np.concatenate([[0, ends, ends], c]).astype(np.int64)  # of each id; a beginning has as many as an end
-    return written(out, "resolved"), facts | {"counts": counts}
-
-
-CHUNK_TOKENS = 500_000
-
-
-def _tokens(row: dict, ends: int, kind: str = "<i4") -> Iterator[tuple[slice, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """Some of a block's texts at a time: which ones, ids and counts of their tokens with an end after each text, which tokens are first, and where each text begins."""
-    counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
-    c, word = np.frombuffer(row["c"], "<i8"), np.frombuffer(row["words"], kind)
-    at = np.concatenate([[0], np.cumsum(counts)])
-    done = 0
-    while done < len(counts):
-        to = max(done + 1, int(np.searchsorted(at, at[done] + CHUNK_TOKENS, "right")) - 1)
-        own, n = codes[at[done] : at[to]], counts[done:to]
-        bounds = np.concatenate([[0], np.cumsum(n + 1)])
-        place = np.arange(len(own)) + np.repeat(np.arange(len(n)), n)
-        ids, cs, first = np.full(bounds[-1], END, np.int64), np.full(bounds[-1], ends, np.int64), np.zeros(bounds[-1], bool)
-        ids[place], cs[place] = word[own], c[own]
-        first[bounds[:-1]] = True
-        yield slice(done, to), ids, cs, first, bounds
-        done = to
-
-
-def _count_grams(resolved: DataFrame, order: int, bits: int, within: np.ndarray | None) -> DataFrame:
-    """(gram, n): how often training texts have each n-gram of `order` + 1 frequent words. `within`: sorted codes of the kept n-grams of one word less; an
-    n-gram has at most the count of those in it, so others can't be kept."""
-    sent = resolved.sparkSession.sparkContext.broadcast(within)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = sent.value
-        for batch in batches:
-            for row in batch.to_pylist():
-                flags, found = np.frombuffer(row["flags"], np.uint8).astype(bool), []
-                for texts, ids, _, first, bounds in _tokens(row, 0):
-                    trained = np.repeat(flags[texts], np.diff(bounds))
-                    before = contexts(ids, first, order)[::-1]
-                    at = np.flatnonzero(trained & (ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
-                    gram, n = np.unique(code(bits, *(x[at] for x in before), ids[at]), return_counts=True)
-                    if held is not None:
-                        for short in (lambda g: g >> bits, lambda g: g & ((1 << (bits * order)) - 1)):
-                            known = looked_up(held, held, short(gram), -1)[1]
-                            gram, n = gram[known], n[known]
-                    found.append((gram, n))
-                gram, back = np.unique(np.concatenate([g for g, _ in found] or [np.zeros(0, np.int64)]), return_inverse=True)
-                n = np.bincount(back, np.concatenate([x for _, x in found] or [np.zeros(0)]), len(gram)).astype(np.int64)
-                for k in range(0, len(gram), 1 << 17):
-                    yield pa.RecordBatch.from_arrays([pa.array(gram[k : k + (1 << 17)].astype(np.int64)), pa.array(n[k : k + (1 << 17)])], ["gram", "n"])
-
-    return resolved.mapInArrow(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-
-
-def fit(resolved: DataFrame, facts: dict, order: int, arc_share: float) -> Automaton:
-    """Absolute discounting at each order; a state's failure weight is what its arcs leave, over what they leave of the lower order."""
-    counts = facts["counts"]
-    bits = int(len(counts)).bit_length()
-    if order > 3 or bits * order > 63:
-        raise ValueError("codes of n-grams don't fit 64 bits")
-    cut = facts["n1"] / (facts["n1"] + 2 * facts["n2"]) if facts["n1"] and facts["n2"] else 0.5
-    model = Automaton(facts["total"], facts["distinct"], facts["ends"], cut, bits, (), (), (), ())
-    kept = of_state = None
-    for k in range(1, order):
-        least = max(2.0, arc_share * facts["total"])
-        # only what is kept, and how many occur once and twice for the discount
-        table = _count_grams(resolved, k, bits, kept).groupBy(F.when((F.col("n") >= least), F.col("gram")).alias("gram"), F.when(F.col("n") <= 2, F.col("n")).alias("few")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("grams")).toArrow()
-        few, grams, n = (table.column(x) for x in ("few", "grams", "n"))
-        once, twice = (sum(g for f, g in zip(few.to_pylist(), grams.to_pylist(), strict=True) if f == x) for x in (1, 2)) if k == 1 else (0, 0)
-        taken = once / (once + 2 * twice) if once and twice else 0.5
-        known = table.column("gram").is_valid().to_numpy()
-        gram, n = table.column("gram").fill_null(0).to_numpy()[known], n.to_numpy()[known].astype(np.float64)
-        by = np.argsort(gram)
-        gram, n = gram[by], n[by]
-        state, word = gram >> bits, gram & ((1 << bits) - 1)
-        # each context that is not an end is followed by one token, so its own count is the total of its arcs
-        of = counts[state] if k == 1 else looked_up(*of_state, state, 1.0)[0]
-        p = (n - taken) / np.maximum(of, 1)
-        lower = model.word(counts[word])
-        if k > 1:
-            value, found = looked_up(model.grams[0], model.arcs[0], gram & ((1 << (2 * bits)) - 1), 0.0)
-            lower = np.where(found, value, lower + looked_up(model.states[0], model.fails[0], state & ((1 << bits) - 1), 0.0)[0])
-        states, back = np.unique(state, return_inverse=True)
-        left = 1 - np.bincount(back, p, len(states))
-        below = 1 - np.bincount(back, 10.0**lower, len(states))
-        weight = np.log10(np.maximum(left, 1e-9) / np.maximum(below, 1e-9))
-        kept, of_state = gram, (gram, n)
-        model = Automaton(*(getattr(model, x) for x in ("total", "distinct", "ends", "cut", "bits")), (*model.grams, gram), (*model.arcs, np.log10(p)), (*model.states, states), (*model.fails, weight))
-    return model
-
-
-BLOCK = "block long, ids array<long>, flags binary, counts binary, codes binary, c binary, words binary"
+def cut_of(once: float, twice: float) -> float:
+    """What is taken from each count, by how many n-grams occur once and twice."""
+    return once / (once + 2 * twice) if once > 0 and twice else 0.5
 
 
-def _shut(x: np.ndarray) -> bytes:
-    """64-bit values as planes of bytes, compressed."""
-    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).tobytes())
-
-
-def _opened(raw: bytes, kind: str = "<f8") -> np.ndarray:
-    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw), np.uint8).reshape(8, -1)
-    return np.ascontiguousarray(planes.T).view(kind).ravel()
-
-
-def _hashed(docs: DataFrame, train: Column, text: str, least: int) -> tuple[DataFrame, dict]:
-    """Like `_resolved`, but words are their hashes (RARE if not frequent enough for arcs)."""
-    blocks, counted, facts = _word_counts(docs, train, text, 0.0, least)
-
-    def joined(block: pa.Table, words_: pa.Table) -> pa.Table:
-        k = words_.column("k").to_numpy()
-        count, ids = np.zeros(len(k), "<i8"), np.zeros(len(k), "<i8")
-        count[k], ids[k] = words_.column("c").to_numpy(), words_.column("h").fill_null(RARE).to_numpy()
-        for name, values in (("c", count), ("words", ids)):
-            block = block.append_column(name, pa.array([values.tobytes()] * block.num_rows, pa.binary()))
-        return block
-
-    left = blocks.select("block", "ids", "flags", "counts", "codes")
-    out = left.groupBy("block").cogroup(counted.select("block", "k", "c", "h").groupBy("block")).applyInArrow(joined, BLOCK)
-    return bucketed(out, "resolved", "block"), facts
+def word_probability(c, cut: float, total: int, known: int):
+    """The empty state's arcs: unknown words share what the cut leaves of `known` words."""
+    free = cut * known if total else 1.0
+    return np.where(np.asarray(c) > 0, np.maximum(c - cut, 1e-12), max(free, 1e-12)) / max(total, 1)
 
 
 @dataclass(frozen=True)
-class Grams:
-    """A block's distinct n-grams in the order of their codes: contexts' codes and counts, last words' probabilities in the shorter context, how often the
-    block's training texts have them."""
-
-    gram: np.ndarray
-    state: np.ndarray
-    of: np.ndarray
-    lower: np.ndarray
-    n: np.ndarray
-
-    def where(self, good: np.ndarray) -> Grams:
-        return Grams(*(x[good] for x in (self.gram, self.state, self.of, self.lower, self.n)))
-
-
-def _block_grams(row: dict, facts: dict, order: int, pairs: Grams | None = None) -> Grams:
-    """N-grams of `order` + 1 words that are frequent enough; trigrams only where both bigrams in them are among `pairs` (with their corpus-wide n)."""
-    flags, total = np.frombuffer(row["flags"], np.uint8).astype(bool), max(facts["total"], 1)
-    found = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0), np.zeros(0))]
-    p = None if pairs is None else (pairs.n - facts["discounts"][0]) / np.maximum(pairs.of, 1)
-    for texts, ids, c, first, bounds in _tokens(row, facts["ends"], "<i8"):
-        before = contexts(ids, first, order)[::-1]
-        at = np.flatnonzero((ids != RARE) & np.logical_and.reduce([x != RARE for x in before]))
-        state = code(0, *(x[at] for x in before))
-        if pairs is None:
-            of, lower = np.where(first[at], facts["ends"], c[at - 1]), (c[at] - facts["cut"]) / total
-        else:
-            of, has_state = looked_up(pairs.gram, pairs.n, state, 0.0)
-            lower, has = looked_up(pairs.gram, p, code(0, before[1][at], ids[at]), 0.0)
-            good = has_state & has
-            at, state, of, lower = at[good], state[good], of[good], lower[good]
-        trained = np.repeat(flags[texts], np.diff(bounds))[at]
-        gram, one, back = np.unique(code(0, state, ids[at]), return_index=True, return_inverse=True)
-        found.append((gram, state[one], of[one].astype(float), lower[one], np.bincount(back, trained, len(gram))))
-        if sum(len(x[0]) for x in found[1:]) > len(found[0][0]) + 2 * CHUNK_TOKENS:
-            found = [_distinct(found)]
-    return Grams(*_distinct(found))
-
-
-def _distinct(found: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, ...]:
-    """Lists of n-grams as one, counts added."""
-    gram, state, of, lower, n = (np.concatenate(x) for x in zip(*found, strict=True))
-    gram, one, back = np.unique(gram, return_index=True, return_inverse=True)
-    return gram, state[one], of[one], lower[one], np.bincount(back, n, len(gram))
-
+class Automaton:
+    """Arcs and failure weights of one small corpus as dictionaries: `counts` of words, `arcs` of (context, word) with log10 probabilities, `fails` by context."""
+
+    counts: dict
+    word: Callable
+    arcs: dict
+    fails: dict
+
+    @classmethod
+    def of(cls, texts: list[list[str]], order: int = 3) -> Automaton:
+        """From the training texts' words. For tests and texts that fit the driver."""
+        read = [[BEGIN, *x, END] for x in texts]
+        grams = {k: Counter(tuple(x[i : i + k]) for x in read for i in range(len(x) - k + 1)) for k in range(1, order + 1)}
+        counts = Counter({w[0]: n for w, n in grams[1].items() if w[0] != BEGIN})
+        few = Counter(counts.values())
+        total, of_words = sum(counts.values()), cut_of(few[1] - (len(texts) == 1), few[2] - (len(texts) == 2))  # the end is no word
+        word = lambda w: float(word_probability(counts[w], of_words, total, len(counts)))
+        below, arcs, fails = word, {}, {}
+        for k in range(2, order + 1):
+            few = Counter(grams[k].values())
+            cut, kept = cut_of(few[1], few[2]), {g: n for g, n in grams[k].items() if n >= LEAST}
+            left = Counter({g[:-1]: 0 for g in kept})
+            for g, n in kept.items():
+                left[g[:-1]] += n - cut
+            own = {h: 1 - x / grams[k - 1][h] for h, x in left.items()}
+            shorter, state = (lambda g, b=below: b(g[-1])) if k == 2 else (lambda g, b=below: b(g[1:])), dict(own)
+            arc = {g: (n - cut) / grams[k - 1][g[:-1]] + state[g[:-1]] * shorter(g) for g, n in kept.items()}
+            below = lambda g, a=arc, s=state, b=shorter: a[g] if g in a else s.get(g[:-1], 1.0) * b(g)
+            arcs |= {g: np.log10(p) for g, p in arc.items()}
+            fails |= {h: np.log10(max(x, 1e-300)) for h, x in own.items()}
+        return cls(counts, word, arcs, fails)
+
+    def step(self, state: list[str], w: str, order: int = 3) -> float:
+        """log10 probability of the next word, over failure arcs down to a state that has an arc for it."""
+        total, at = 0.0, tuple(state[-(order - 1) :]) if order > 1 else ()
+        while at and (*at, w) not in self.arcs:
+            total += self.fails.get(at, 0.0)
+            at = at[1:]
+        return total + float(self.arcs[(*at, w)] if at else np.log10(self.word(w)))
+
+    def walk(self, text: list[str], order: int = 3) -> float:
+        """log10 probability of a text's words and its end, in one pass whose state is at most the last `order` - 1 words."""
+        total, state = 0.0, [BEGIN]
+        for w in [*text, END]:
+            total += self.step(state, w, order)
+            state = [*state, w][-(order - 1) :]
+        return total
 
-def _with_totals(grams: Grams, back: list[bytes], least: int) -> tuple[Grams, np.ndarray]:
-    """The n-grams that occur `least` times in all, with that count, and which of them this block speaks for."""
-    n, lead = _opened(back[0]), _opened(back[1]) > 0
-    kept = n >= least
-    return Grams(grams.gram, grams.state, grams.of, grams.lower, n).where(kept), lead[kept]
 
+def _shut(x: np.ndarray) -> bytes:
+    """Numbers of the least width that holds them, compressed; 64-bit ones as planes of bytes."""
+    kind = next(k for k in ("<u1", "<u2", "<u4", "<u8") if not len(x) or int(x.max()) < 1 << (8 * int(k[2])))
+    raw = np.ascontiguousarray(x.astype(kind).view(np.uint8).reshape(-1, int(kind[2])).T).tobytes()
+    return kind[2].encode() + zstandard.ZstdCompressor(level=1).compress(raw)
 
-def _arc_sums(states: np.ndarray, grams: Grams, lead: np.ndarray, discount: float) -> tuple[np.ndarray, np.ndarray]:
-    """By context, what the arcs that this block speaks for take, and what they take of the lower order."""
-    at = np.searchsorted(states, grams.state[lead])
-    return np.bincount(at, grams.n[lead] - discount, len(states)), np.bincount(at, grams.lower[lead], len(states))
 
+def _opened(raw: bytes) -> np.ndarray:
+    width = int(raw[:1])
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw[1:]), np.uint8).reshape(width, -1)
+    return np.ascontiguousarray(planes.T).view(f"<u{width}").ravel().astype(np.uint64)
 
-def _fails(of: np.ndarray, back: list[bytes]) -> np.ndarray:
-    """log10 failure weights from a context's count and its sums over all blocks; 0 for a context without arcs."""
-    left, below = 1 - _opened(back[0]) / np.maximum(of, 1), 1 - _opened(back[1])
-    return np.log10(np.maximum(left, 1e-9) / np.maximum(below, 1e-9))
 
+@dataclass(frozen=True)
+class Question:
+    """Distinct keys in ascending order (with a second word of 64 bits in `more`, where 64 don't do), and numbers for each key that are to be added up over all blocks."""
 
-def _contexts_of_one(row: dict, ends: int) -> tuple[np.ndarray, np.ndarray]:
-    """The block's frequent words and BEGIN, sorted, and their counts."""
-    word, c = np.frombuffer(row["words"], "<i8"), np.frombuffer(row["c"], "<i8")
-    word, c = np.append(word[word != RARE], BEGIN), np.append(c[word != RARE], ends)
-    word, one = np.unique(word, return_index=True)
-    return word, c[one]
+    keys: np.ndarray
+    values: tuple[np.ndarray, ...]
+    more: np.ndarray | None = None
 
 
-def _added_up(blocks: DataFrame, parts: int, asked: Callable[[dict], list[tuple[np.ndarray, ...]]]) -> DataFrame:
-    """`asked` gives sorted distinct codes and values by code for a block, once or several times. Every block gets each value's sum over all blocks, in the order of its
-    codes, and whether it is the first block with the code. A part is a range of codes, so a task holds one part of the codes of all blocks at a time."""
+def _answered(blocks: DataFrame, name: str, parts: int, asked: Callable[[dict], list[Question]], least: tuple[int, ...]) -> DataFrame:
+    """(block, got, facts). `asked` gives a block's questions; `got` has, by question and part of the keys, the answers in the order of the keys: where the question's
+    `least` is 0 all sums, else twice the first sum plus whether this block is the first one to ask for the key, or 0 for sums under `least`. `facts` adds up over
+    blocks to, for questions with a `least`: how many keys have a sum, how many one of 1, how many one of 2, and the sums of `least` or more."""
+    bounds = np.array([(((p << 32) + parts - 1) // parts) << 32 for p in range(1, parts)], np.uint64)
+    fields = [("block", pa.int64()), ("kind", pa.int32()), ("part", pa.int64()), ("keys", pa.binary()), ("more", pa.binary()), ("sums", pa.list_(pa.binary()))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(batch.num_rows):
                 row = batch.slice(k, 1).to_pylist()[0]
-                for kind, (keys, *values) in enumerate(asked(row)):
-                    part = (((keys.view(np.uint64) ^ np.uint64(1 << 63)) >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32)
-                    edges = np.concatenate([np.flatnonzero(np.diff(part, prepend=part[:1] + np.uint64(1))), [len(part)]])
-                    for a, b in zip(edges, edges[1:]):
-                        columns = [[row["block"]], [kind], [int(part[a])], [_shut(np.diff(keys[a:b], prepend=0))], [[_shut(x[a:b]) for x in values]]]
-                        yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.list_(pa.binary())), strict=True)], ["block", "kind", "part", "keys", "sums"])
+                for kind, q in enumerate(asked(row)):
+                    edges = [0, *np.searchsorted(q.keys, bounds).tolist(), len(q.keys)]
+                    out: dict[str, list] = {c: [] for c, _ in fields}
+                    for part, (a, b) in enumerate(zip(edges, edges[1:])):
+                        if a < b:
+                            gaps = np.diff(q.keys[a:b], prepend=np.uint64(0))
+                            one = (row["block"], kind, part, _shut(gaps), None if q.more is None else q.more[a:b].tobytes(), [_shut(x[a:b]) for x in q.values])
+                            for (c, _), v in zip(fields, one, strict=True):
+                                out[c].append(v)
+                    yield pa.RecordBatch.from_arrays([pa.array(out[c], t) for c, t in fields], [c for c, _ in fields])
 
     def summed(table: pa.Table) -> pa.Table:
         table = table.sort_by("block")
-        keys = [np.cumsum(_opened(x, "<i8")) for x in table.column("keys").to_pylist()]
-        values = [[_opened(x) for x in own] for own in zip(*table.column("sums").to_pylist(), strict=True)]
-        _, one, back = np.unique(np.concatenate(keys), return_index=True, return_inverse=True)
-        lead = np.zeros(len(back))
-        lead[one] = 1
-        sums_ = [np.bincount(back, np.concatenate(x))[back] for x in values] + [lead]
-        at = np.cumsum([0, *map(len, keys)])
-        out = [[_shut(x[a:b]) for x in sums_] for a, b in zip(at, at[1:])]
-        return table.select(["block", "kind", "part"]).append_column("sums", pa.array(out, pa.list_(pa.binary())))
+        pieces = [np.cumsum(_opened(x), dtype=np.uint64) for x in table.column("keys").to_pylist()]
+        keys, at = np.concatenate(pieces), np.cumsum([0, *map(len, pieces)])
+        pieces = None
+        if table.column("more").null_count:
+            by = np.argsort(keys, kind="stable")
+            new = np.concatenate([[True], keys[by[1:]] != keys[by[:-1]]])
+        else:
+            more = np.frombuffer(b"".join(table.column("more").to_pylist()), np.uint64)
+            by = np.lexsort((more, keys))
+            new = np.concatenate([[True], (keys[by[1:]] != keys[by[:-1]]) | (more[by[1:]] != more[by[:-1]])])
+        group = np.empty(len(keys), np.int64)
+        group[by] = np.cumsum(new) - 1
+        values = [np.concatenate([_opened(x) for x in own]) for own in zip(*table.column("sums").to_pylist(), strict=True)]
+        totals = [np.bincount(group, x).astype(np.uint64) for x in values]
+        facts, answers = [0, 0, 0, 0], [x[group] for x in totals]
+        if low := least[table.column("kind")[0].as_py()]:
+            n, first = totals[0], np.zeros(len(keys), np.uint64)
+            first[by[new]] = 1
+            facts = [int(np.count_nonzero(n)), int(np.count_nonzero(n == 1)), int(np.count_nonzero(n == 2)), int(n[n >= low].sum())]
+            answers = [np.where(n[group] >= low, 2 * n[group] + first, 0)]
+        got = [[_shut(x[a:b]) for x in answers] for a, b in zip(at, at[1:])]
+        told = [facts if k == 0 else [0, 0, 0, 0] for k in range(len(got))]
+        return table.select(["block", "kind", "part"]).append_column("got", pa.array(got, pa.list_(pa.binary()))).append_column("facts", pa.array(told, pa.list_(pa.int64())))
+
+    rows = blocks.mapInArrow(run, "block long, kind int, part long, keys binary, more binary, sums array<binary>")
+    answers = rows.groupBy("kind", "part").applyInArrow(summed, "block long, kind int, part long, got array<binary>, facts array<long>")
+    facts = F.array(*(F.sum(F.col("facts")[k]) for k in range(4)))
+    return bucketed(answers.groupBy("block").agg(F.sort_array(F.collect_list(F.struct("kind", "part", "got"))).alias(name), facts.alias("facts")), name, "block")
+
 
-    rows = blocks.mapInArrow(run, "block long, kind int, part long, keys binary, sums array<binary>")
-    return rows.groupBy("kind", "part").applyInArrow(summed, "block long, kind int, part long, sums array<binary>")
+def _facts(answers: DataFrame) -> list[int]:
+    row = answers.agg(*(F.sum(F.col("facts")[k]) for k in range(4))).first()
+    return [int(x or 0) for x in row]
 
 
-def _joined_sums(back: pa.Table, kind: int, n: int) -> list[bytes]:
-    """A block's sums of one kind, all parts in order."""
-    own = back.filter(pc.equal(back.column("kind"), kind)).sort_by("part").column("sums").to_pylist()
-    return [_shut(np.concatenate([np.zeros(0), *(_opened(x[k]) for x in own)])) for k in range(n)]
+def _got(pieces: list[dict] | None, kind: int, k: int = 0) -> np.ndarray:
+    """One question's answers for all its keys."""
+    own = [_opened(p["got"][k]) for p in pieces or [] if p["kind"] == kind]
+    return np.concatenate(own) if own else np.zeros(0, np.uint64)
 
 
-def score(docs: DataFrame, train: Column, text: str = "text", least: int = 2) -> DataFrame:
+def _digests(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Both halves of the digests of a block's words, and the words' order by them."""
+    raw = b"".join(hashlib.blake2b(w, digest_size=16).digest() for w in row["words"])
+    halves = np.frombuffer(raw, "<u8").reshape(-1, 2)
+    return halves[:, 0], halves[:, 1], np.lexsort((halves[:, 1], halves[:, 0]))
+
+
+def _asked_words(row: dict) -> list[Question]:
+    high, low, by = _digests(row)
+    return [Question(high[by], (np.array(row["ns"], np.uint64)[by],), np.ascontiguousarray(low[by]))]
+
+
+class Grams:
+    """Distinct n-grams of a block in the order of their hashes: `keys`, for each of `at` (the places that have one) its number, and the first of these places for each."""
+
+    def __init__(self, hashes: np.ndarray, at: np.ndarray):
+        by = np.argsort(hashes)
+        in_order = hashes[by]
+        new = np.concatenate([[True], in_order[1:] != in_order[:-1]]) if len(by) else np.zeros(0, bool)
+        self.at, self.keys, self.first = at, in_order[new], at[by[new]]
+        self.number = np.empty(len(by), np.int64)
+        self.number[by] = np.cumsum(new) - 1
+
+    def question(self, trained: np.ndarray) -> Question:
+        return Question(self.keys, (np.bincount(self.number[trained[self.at]], minlength=len(self.keys)).astype(np.uint64),))
+
+
+class Block:
+    """A block's tokens with an end after each text. Words have the numbers of the block's dictionary, then come the end and the beginning."""
+
+    def __init__(self, row: dict, texts: int):
+        place, n_words = np.array(row["ks"], np.int64), len(row["words"])
+        told = np.zeros(n_words, np.uint64)
+        _, _, by = _digests(row)
+        told[by] = _got(row["counted"], 0)
+        self.c, self.hash = np.full(n_words + 2, texts, np.int64), np.empty(n_words + 2, np.uint64)
+        self.c[place] = told >> np.uint64(1)
+        self.hash[place] = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in row["words"]), np.uint64, n_words)
+        self.hash[n_words:] = np.array([xxhash.xxh3_64_intdigest(x) for x in (END, BEGIN)], np.uint64)  # white space, so no word's
+        counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
+        self.bounds = np.concatenate([[0], np.cumsum(counts + 1)])
+        self.token = np.full(self.bounds[-1], n_words, np.int32)
+        self.token[np.arange(len(codes)) + np.repeat(np.arange(len(counts)), counts)] = codes
+        self.before = np.empty_like(self.token)
+        self.before[1:] = self.token[:-1]
+        self.before[self.bounds[:-1]] = n_words + 1
+        self.trained = np.repeat(np.frombuffer(row["flags"], np.uint8).astype(bool), counts + 1)
+        self.often = self.c >= LEAST
+
+    def pairs(self) -> Grams:
+        at = np.flatnonzero(self.often[self.before] & self.often[self.token])
+        return Grams(mixed(mixed(self.hash[self.before[at]]) + self.hash[self.token[at]]), at)
+
+    def kept(self, pairs: Grams, told: np.ndarray) -> np.ndarray:
+        """The number of the pair that ends at each place, -1 where it isn't frequent."""
+        out = np.full(len(self.token), -1, np.int64)
+        out[pairs.at] = np.where((told > 0)[pairs.number], pairs.number, -1)
+        return out
+
+    def triples(self, pairs: Grams, kept: np.ndarray) -> Grams:
+        both = (kept >= 0) & (np.roll(kept, 1) >= 0)
+        both[self.bounds[:-1]] = False
+        at = np.flatnonzero(both)
+        return Grams(mixed(mixed(pairs.keys[kept[at - 1]] ^ np.uint64(0x51ED270B)) + self.hash[self.token[at]]), at)
+
+    def contexts(self) -> np.ndarray:
+        """Words (and the beginning) that may have arcs, in the order of their hashes."""
+        own = np.flatnonzero(self.often)
+        own = own[own != len(self.c) - 2]
+        return own[np.argsort(self.hash[own])]
+
+
+def _sums(of: np.ndarray, told: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """By context number: the sum and the number of the frequent n-grams that this block speaks for."""
+    own = np.flatnonzero(told & np.uint64(1))
+    return np.bincount(of[own], (told[own] >> np.uint64(1)).astype(float), n).astype(np.uint64), np.bincount(of[own], minlength=n).astype(np.uint64)
+
+
+def _left(sums_: np.ndarray, arcs: np.ndarray, cut: float, of: np.ndarray) -> np.ndarray:
+    """Weights of failure arcs: what the arcs leave."""
+    return np.maximum(1 - (sums_.astype(float) - cut * arcs.astype(float)) / np.maximum(of, 1), 1e-300)
+
+
+def score(docs: DataFrame, train: Column, text: str = "text") -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score and score (log10) of every document; learns from those where `train` holds."""
-    resolved, facts = _hashed(docs, train, text, least)
-    facts["cut"] = facts["n1"] / (facts["n1"] + 2 * facts["n2"]) if facts["n1"] and facts["n2"] else 0.5
-    parts = 8 * max(1, facts["blocks"])
-    total, distinct, ends = facts["total"], facts["distinct"] + (facts["ends"] > 0), facts["ends"]
-    lists = "array<binary>"
-
-    def bigrams(row: dict) -> list[tuple[np.ndarray, ...]]:
-        grams = _block_grams(row, facts, 1)
-        return [(grams.gram, grams.n)]
-
-    def with_pairs(block: pa.Table, back: pa.Table) -> pa.Table:
-        sums_ = _joined_sums(back, 0, 2)
-        n, lead = _opened(sums_[0]), _opened(sums_[1]) > 0
-        few = [int(np.count_nonzero(lead & (n == k))) for k in (1, 2)]
-        for name, value, kind in (("pairs", sums_, pa.list_(pa.binary())), ("once", few[0], pa.int64()), ("twice", few[1], pa.int64())):
-            block = block.append_column(name, pa.array([value] * block.num_rows, kind))
-        return block
-
-    joined = resolved.groupBy("block").cogroup(_added_up(resolved, parts, bigrams).groupBy("block"))
-    resolved = bucketed(joined.applyInArrow(with_pairs, f"{BLOCK}, pairs {lists}, once long, twice long"), "resolved", "block")
-    few = resolved.agg(F.sum("once"), F.sum("twice")).first()
-    facts["discounts"] = few[0] / (few[0] + 2 * few[1]) if few[0] and few[1] else 0.5, 0.5
-
-    def trigrams(row: dict) -> list[tuple[np.ndarray, ...]]:
-        pairs, lead = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
-        words_, _ = _contexts_of_one(row, ends)
-        grams = _block_grams(row, facts, 2, pairs)
-        return [(grams.gram, grams.n), (words_, *_arc_sums(words_, pairs, lead, facts["discounts"][0]))]
-
-    def with_triples(block: pa.Table, back: pa.Table) -> pa.Table:
-        for kind, (name, n) in enumerate((("triples", 2), ("leaves", 2))):
-            block = block.append_column(name, pa.array([_joined_sums(back, kind, n)] * block.num_rows, pa.list_(pa.binary())))
-        return block
-
-    joined = resolved.drop("once", "twice").groupBy("block").cogroup(_added_up(resolved, parts, trigrams).groupBy("block"))
-    resolved = bucketed(joined.applyInArrow(with_triples, f"{BLOCK}, pairs {lists}, triples {lists}, leaves {lists}"), "resolved", "block")
-
-    def contexts_of_two(row: dict) -> list[tuple[np.ndarray, ...]]:
-        pairs, _ = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
-        triples, lead = _with_totals(_block_grams(row, facts, 2, pairs), row["triples"], least)
-        return [(pairs.gram, *_arc_sums(pairs.gram, triples, lead, facts["discounts"][1]))]
-
-    def scored(block: pa.Table, back: pa.Table) -> pa.Table:
-        row = block.to_pylist()[0]
-        pairs, _ = _with_totals(_block_grams(row, facts, 1), row["pairs"], least)
-        triples, _ = _with_totals(_block_grams(row, facts, 2, pairs), row["triples"], least)
-        words_, c = _contexts_of_one(row, ends)
-        arcs = tuple(np.log10((x.n - d) / np.maximum(x.of, 1)) for x, d in zip((pairs, triples), facts["discounts"], strict=True))
-        fails = _fails(c, row["leaves"]), _fails(pairs.n, _joined_sums(back, 0, 2))
-        model = Automaton(total, facts["distinct"], ends, facts["cut"], 0, (pairs.gram, triples.gram), arcs, (words_, pairs.gram), fails)
-        out = []
-        for texts, ids, c, first, bounds in _tokens(row, ends, "<i8"):
-            value, starts, stops = log_probs(model, ids, c, first), bounds[:-1], bounds[1:]
-            n = stops - starts
-            base = sums(np.log10(c + 1.0), starts, stops) - n * np.log10(float(total + distinct + 1))
-            out.append(
-                pa.RecordBatch.from_arrays(
-                    [pa.array(row["ids"][texts], pa.int64()), pa.array(n), pa.array(sums(c > 0, starts, stops)), pa.array(np.full(len(n), total)), pa.array(base), pa.array(sums(value, starts, stops))],
-                    ["doc_id", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
-                )
-            )
-        return pa.Table.from_batches(out)
-
-    joined = resolved.groupBy("block").cogroup(_added_up(resolved, parts, contexts_of_two).groupBy("block"))
-    return joined.applyInArrow(scored, "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    blocks = block_table(docs, lowered_words, text, flag=train, size_of_block=BLOCK_BYTES)
+    heads = blocks.select(F.aggregate("ns", F.lit(0).cast("long"), lambda a, x: a + x).alias("n"), F.length(F.translate(F.hex("flags"), "0", "")).alias("texts"))
+    seen = heads.agg(F.sum("n").alias("n"), F.sum("texts").alias("texts")).first()
+    texts = int(seen["texts"] or 0)
+    total = int(seen["n"] or 0) + texts
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // PART_TOKENS))
+
+    counted = _answered(blocks.select("block", "words", "ns"), "counted", parts, _asked_words, (1,))
+    distinct, once, twice, _ = _facts(counted)
+    known = distinct + (texts > 0)
+    cut = cut_of(once, twice)
+    blocks = blocks.select("block", "ids", "flags", "counts", "codes", "words", "ks").join(counted.drop("facts").hint("merge"), "block", "left")
+
+    paired = _answered(blocks, "paired", parts, lambda row: [(b := Block(row, texts)).pairs().question(b.trained)], (LEAST,))
+    _, _, twice, often = _facts(paired)
+    pair_cut = cut_of(total - often, twice)  # every token ends a pair; those that are not frequent occur once
+    blocks = blocks.join(paired.drop("facts").hint("merge"), "block", "left")
+
+    def triples(row: dict) -> list[Question]:
+        b, told = Block(row, texts), _got(row["paired"], 0)
+        pairs = b.pairs()
+        own = b.contexts()
+        of = np.zeros(len(b.c), np.int64)
+        of[own] = np.arange(len(own))
+        return [b.triples(pairs, b.kept(pairs, told)).question(b.trained), Question(b.hash[own], _sums(of[b.before[pairs.first]], told, len(own)))]
+
+    tripled = _answered(blocks, "tripled", parts, triples, (LEAST, 0))
+    _, _, twice, often = _facts(tripled)
+    triple_cut = cut_of(total - texts - often, twice)  # every token but a text's first ends a triple
+    blocks = blocks.join(tripled.drop("facts").hint("merge"), "block", "left")
+
+    def states(row: dict) -> list[Question]:
+        b, told = Block(row, texts), _got(row["paired"], 0)
+        pairs = b.pairs()
+        kept = b.kept(pairs, told)
+        found = b.triples(pairs, kept)
+        sums_ = _sums(kept[found.first - 1], _got(row["tripled"], 0), len(pairs.keys))
+        own = np.flatnonzero(told)
+        return [Question(pairs.keys[own], tuple(x[own] for x in sums_))]
+
+    left = _answered(blocks, "states", parts, states, (0,))
+
+    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                yield answer(batch.slice(k, 1).to_pylist()[0])
+
+    def answer(row: dict) -> pa.RecordBatch:
+        b, told = Block(row, texts), _got(row["paired"], 0)
+        own = b.contexts()
+        fail = np.ones(len(b.c))
+        fail[own] = _left(_got(row["tripled"], 1, 0), _got(row["tripled"], 1, 1), pair_cut, b.c[own])
+        one = word_probability(b.c, cut, total, known)
+        p = fail[b.before] * one[b.token]
+        pairs = b.pairs()
+        n = (told >> np.uint64(1)).astype(float)
+        kept = b.kept(pairs, told)
+        at = np.flatnonzero(kept >= 0)
+        p[at] += (n[kept[at]] - pair_cut) / b.c[b.before[at]]
+        found, often = b.triples(pairs, kept), (_got(row["tripled"], 0) >> np.uint64(1)).astype(float)
+        weight = np.ones(len(pairs.keys))
+        weight[told > 0] = _left(_got(row["states"], 0, 0), _got(row["states"], 0, 1), triple_cut, n[told > 0])
+        in_state = np.roll(kept, 1) >= 0
+        in_state[b.bounds[:-1]] = False
+        at = np.flatnonzero(in_state)
+        p[at] *= weight[kept[at - 1]]
+        hit = often[found.number] > 0
+        at, m = found.at[hit], often[found.number[hit]]
+        p[at] += (m - triple_cut) / n[kept[at - 1]]
+        starts, stops = b.bounds[:-1], b.bounds[1:]
+        size = stops - starts
+        base = sums(np.log10(b.c + 1.0)[b.token], starts, stops) - size * np.log10(float(total + known + 1))
+        known_ = sums((b.c > 0)[b.token], starts, stops)
+        columns = [pa.array(row["ids"], pa.int64()), pa.array(size), pa.array(known_), pa.array(np.full(len(size), total)), pa.array(base), pa.array(sums(np.log10(p), starts, stops))]
+        return pa.RecordBatch.from_arrays(columns, ["doc_id", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+
+    return blocks.join(left.drop("facts").hint("merge"), "block", "left").mapInArrow(scored, "doc_id long, n_tokens long, n_known long, train_tokens long, base_score double, score double")

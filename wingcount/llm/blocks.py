@@ -1,6 +1,6 @@
 """Blocks of documents with a dictionary of their distinct words.
 
-A block is up to some 48 MB of texts of one task. Its row holds the documents' words as positions in the block's own dictionary, so
+A block is up to some 48 MB of texts of one task (or what a caller asks for, or one longer text). Its row holds the documents' words as positions in the block's own dictionary, so
 work on words is done once per distinct word and block: the dictionaries are joined with a corpus-wide word table by an ordinary
 shuffle, and what that gives returns to the block, whose size bounds the memory. The corpus-wide table is never broadcast.
 
@@ -38,7 +38,7 @@ def unpacked(raw: bytes) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view("<u4").ravel()
 
 
-def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str = "doc_id", flag=None) -> DataFrame:
+def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str = "doc_id", flag=None, size_of_block: int = BLOCK_BYTES) -> DataFrame:
     """block, ids (of its documents), flags, counts (words of each document), codes (packed), words, ks and ns (a dictionary in the order of its
     words, each word's position, and how often it occurs in documents with a flag). Written to the shared folder in buckets of the block."""
     rows = docs.select(F.col(doc_id).cast("long").alias("id"), (F.lit(True) if flag is None else flag).alias("flag"), F.col(text).alias("_text"))
@@ -54,7 +54,7 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
                 marked = np.repeat(flags, np.diff(bounds))
                 held.append((piece.column("id"), flags, np.diff(bounds), code.astype(np.uint32), own, np.bincount(code[marked], minlength=len(own)), np.bincount(code, minlength=len(own))))
                 size += len(data)
-                if size >= BLOCK_BYTES:
+                if size >= size_of_block:
                     yield block((part << 32) + n, held)
                     held, size, n = [], 0, n + 1
         if held:

@@ -75,7 +75,8 @@ def op6_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     from wingcount.llm.backoff import score
 
     out = score(table(spark, sf_dir, "documents"), remainder(7) != 2)
-    return out.select("doc_id", (remainder(7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+    gain = ((F.col("score") - F.col("base_score")) / F.col("n_tokens")).alias("gain")
+    return out.select("doc_id", (remainder(7) == 2).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score", gain)
 
 
 @query

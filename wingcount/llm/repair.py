@@ -1,11 +1,11 @@
 """Token-id files compressed by a grammar of repeated pairs, with random access.
 
 Documents are dealt by ranges of doc_id and written in that order. A block of some documents' ids is rewritten in rounds: the most frequent pairs of neighbouring
-symbols each become a new symbol, whose rule is the pair, until a round saves too little. No rule crosses the end of a document.
+symbols each become a new symbol, whose rule is the pair, until no pair of neighbours is left that stands in the block `least` times. No rule crosses the end of a document.
 A block's row holds its rules, the length of each rule's expansion, the symbols left, and how many ids each document has; so any run of ids can be read
 by expanding only the symbols that cover it. Blocks are rows of a Parquet table that Spark writes, so a lost task is simply written anew.
 
-Null texts count as empty: only the end id. doc_id null sorts first; rows that repeat a doc_id are each written, in any order among themselves. An
+Null texts count as empty: only the end id. doc_id null sorts first; rows that repeat a doc_id are each written, in the order of their texts' hashes. An
 empty table gives an empty file. Extra columns are ignored.
 """
 
@@ -25,9 +25,12 @@ from pyspark.sql import functions as F
 from wingcount.llm.blocks import block_table, dictionary, unpacked
 from wingcount.llm.byte_pairs import encoded_words, specials, word_ids
 from wingcount.llm.text_arrays import kind_cuts, take_slices, text_bytes, words
+from wingcount.shared import size_of
 
 END_ID = 2
 BLOCK_IDS = 1 << 20
+MOST_SENT = 1_000_000
+PART_BYTES = 16 << 20
 SCHEMA = "part long, block long, seq int, ids array<long>, counts binary, base int, rules binary, lengths binary, symbols binary, before long, n long"
 ARROW = pa.schema(
     [("part", pa.int64()), ("block", pa.int64()), ("seq", pa.int32()), ("ids", pa.list_(pa.int64())), ("counts", pa.binary()), ("base", pa.int32())]
@@ -41,14 +44,11 @@ def letter_runs(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndar
     """Cuts texts at white space, and simple words also where the tokenizer's pattern cuts. Simple words are lower-cased, as the tokenizer does; others, and all words of a text with one of `whole`, stay as they are."""
     data, at = text_bytes(column)
     starts, ends, bounds = words(data, at)
-    special = functools.reduce(pc.or_, (pc.match_substring(column, x) for x in whole))
-    never = np.repeat(pc.fill_null(special, False).to_numpy(zero_copy_only=False), np.diff(at))
-    cut, inside = kind_cuts(data, starts, ends, single_digits=True, never=never)
-    low = data.copy()
-    low[inside & (data >= 65) & (data <= 90)] += 32
-    after = np.zeros(len(data), bool)
-    after[1:] = data[:-1] == 0xC3
-    low[inside & after & (data >= 0x80) & (data <= 0x9E)] += 32
+    special = pc.fill_null(functools.reduce(pc.or_, (pc.match_substring(column, x) for x in whole)), False).to_numpy(zero_copy_only=False)
+    cut, inside = kind_cuts(data, starts, ends, single_digits=True, never=np.repeat(special, np.diff(at)) if special.any() else None)
+    low = data + (((data - np.uint8(65)) < 26) & inside).view(np.uint8) * np.uint8(32)
+    latin = np.flatnonzero((data == 0xC3) & inside) + 1
+    low[latin[(data[latin] >= 0x80) & (data[latin] <= 0x9E)]] += 32
     first = cut.copy()
     first[starts] = True
     last = np.zeros(len(data) + 1, bool)
@@ -58,7 +58,7 @@ def letter_runs(column: pa.Array, whole: list[str]) -> tuple[np.ndarray, np.ndar
     return low, first, np.flatnonzero(last), np.searchsorted(first, at)
 
 
-def grammar(ids: np.ndarray, bounds: np.ndarray, base: int, least: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def grammar(ids: np.ndarray, bounds: np.ndarray, base: int, least: int = 32) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(rules, lengths, symbols) of a block of ids, whose documents begin at `bounds`. Symbols from `base` on are rules, each of two earlier symbols. Goes on until no
     two neighbours stand together `least` times. A pair of old symbols only ever gets rarer, so after the first round only places next to a new symbol, or where a pair
     had to give way, are looked at; symbols are a chain, from which the second one of a pair drops out."""
@@ -151,6 +151,18 @@ def expanded(symbols: np.ndarray, rule: np.ndarray, base: int) -> np.ndarray:
     return s
 
 
+def all_ids(symbols: np.ndarray, rule: np.ndarray, lengths: np.ndarray, base: int) -> np.ndarray:
+    """The same for a whole block: each rule is expanded once (some thousand ids in all, as a rule stands for far fewer ids than its block has), each symbol is copied."""
+    made = symbols >= base
+    of = np.where(made, symbols - base, 0)
+    if not len(rule) or lengths.sum() > 4 * max(len(symbols), lengths[of][made].sum()):
+        return expanded(symbols, rule, base)
+    flat = np.concatenate([expanded(np.arange(base, base + len(rule)), rule, base), symbols])
+    begins = np.cumsum(lengths) - lengths
+    start = np.where(made, begins[of], len(flat) - len(symbols) + np.arange(len(symbols)))
+    return take_slices(flat, start, np.where(made, lengths[of], 1))[0]
+
+
 def ids_between(row: dict, start: int, stop: int) -> np.ndarray:
     """Ids start to stop of a block, expanding no symbol that lies outside."""
     base, rule, lengths, symbols = row["base"], _rules(row["rules"]), _back(row["lengths"], "<i4"), _back(row["symbols"], "<i4")
@@ -180,9 +192,10 @@ def _rules(raw: bytes) -> np.ndarray:
 def write_ids(docs: DataFrame, path: str, tokenizer: str, text: str = "text", doc_id: str = "doc_id", parts: int | None = None) -> None:
     """Encodes all texts and writes their ids to `path` in ascending order of doc_id. Blocks are cut from the ordered documents, so their numbers ascend too;
     each distinct word of the corpus is encoded once and returns to the blocks."""
-    parts = parts or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    order = F.col(doc_id).cast("long").asc_nulls_first()
-    dealt = docs.select(doc_id, text).repartitionByRange(parts, order).sortWithinPartitions(order)
+    parts = parts or max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), size_of(docs) // PART_BYTES)
+    order = [F.col(doc_id).cast("long").asc_nulls_first(), F.col("_tie")]
+    # rows of one id (or none) may be many, so their texts' hashes deal them too
+    dealt = docs.select(doc_id, text, F.xxhash64(text).alias("_tie")).repartitionByRange(parts, *order).sortWithinPartitions(*order)
     whole = specials(tokenizer)
     blocks = block_table(dealt, lambda column: letter_runs(column, whole), text, doc_id)
     words_ = encoded_words(dictionary(blocks), tokenizer)
@@ -226,7 +239,7 @@ def read_ids(spark, path: str, tokens: bool = False) -> DataFrame:
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                ids = expanded(_back(row["symbols"], "<i4"), _rules(row["rules"]), row["base"])
+                ids = all_ids(_back(row["symbols"], "<i4"), _rules(row["rules"]), _back(row["lengths"], "<i4").astype(np.int64), row["base"])
                 counts = np.frombuffer(row["counts"], "<i8")
                 at = np.concatenate([[0], np.cumsum(counts)])
                 raw = ids.astype("<u4").tobytes()
@@ -238,5 +251,7 @@ def read_ids(spark, path: str, tokens: bool = False) -> DataFrame:
                     names.append("tokens")
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    placed = stored.drop("lengths").join(offset, "block")
+    # a row for some 48 MB of text: to all tasks up to a million of them, which are 16 MB, by a shuffle beyond
+    few = stored.select("block").distinct().limit(MOST_SENT + 1).count() <= MOST_SENT
+    placed = stored.join(F.broadcast(offset) if few else offset, "block")
     return placed.mapInArrow(read, f"doc_id long, start long, n_tokens long, ids_crc32 long{more}")

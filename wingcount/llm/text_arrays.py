@@ -128,11 +128,10 @@ _KIND[48:58] = 2
 def kind_cuts(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, single_digits: bool, never: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """For each byte whether a tokenizer's pattern cuts before it, inside a simple word, and whether it is in a simple word at all. Simple words have ASCII and
     precomposed Latin-1 letters only, no apostrophe, and no byte marked in `never`; they fall into runs of letters, of digits (or single ones) and of other signs."""
-    lead = data == 0xC3
-    after = np.zeros(len(data), bool)
-    after[1:] = lead[:-1]
-    hard = ((data >= 0x80) & ~lead & ~after) | (after & ((data == 0x97) | (data == 0xB7))) | (data == 0x27)
-    at = np.flatnonzero(hard if never is None else hard | never)
+    high = np.flatnonzero(data >= 0x80)
+    after = (data[high - 1] == 0xC3) & (high > 0)
+    known = (data[high] == 0xC3) | (after & (data[high] != 0x97) & (data[high] != 0xB7))
+    at = np.concatenate([high[~known], np.flatnonzero(data == 0x27), np.flatnonzero(never) if never is not None else high[:0]])
     of = np.searchsorted(starts, at, "right") - 1
     simple = np.ones(len(starts), bool)
     simple[of[(of >= 0) & (at < ends[of])]] = False
