@@ -52,8 +52,10 @@ def bucketed(df: DataFrame, name: str, key: str) -> DataFrame:
 
 
 def size_of(df: DataFrame) -> int:
-    """Bytes of the files (or an estimate of the result) that `df` reads, from its plan alone."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    """Bytes of the files that `df` reads, as its plan knows them; a source of unknown size counts nothing."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(leaves.apply(k).stats().sizeInBytes()) for k in range(leaves.size())]
+    return sum(x for x in sizes if x < 1 << 60)
 
 
 def drop_written(spark: SparkSession) -> None:
