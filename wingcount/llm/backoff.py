@@ -18,24 +18,21 @@ Null texts count as empty: one end token. Repeated rows count each. doc_id may b
 
 from __future__ import annotations
 
-import hashlib
 from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import xxhash
-import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from wingcount.llm.blocks import block_table, unpacked
+from wingcount.llm.blocks import block_table, digests, in_order, opened, shut, unpacked
 from wingcount.llm.text_arrays import LOWER, mixed, sums, text_bytes, words
 from wingcount.shared import bucketed
 
 LEAST = 2
-BLOCK_BYTES = 24 << 20
+BLOCK_BYTES = 20 << 20
 PART_TOKENS = 4_000_000
 END, BEGIN = "\n", "\t"
 
@@ -106,19 +103,6 @@ class Automaton:
         return total
 
 
-def _shut(x: np.ndarray) -> bytes:
-    """Numbers of the least width that holds them, compressed; 64-bit ones as planes of bytes."""
-    kind = next(k for k in ("<u1", "<u2", "<u4", "<u8") if not len(x) or int(x.max()) < 1 << (8 * int(k[2])))
-    raw = np.ascontiguousarray(x.astype(kind).view(np.uint8).reshape(-1, int(kind[2])).T).tobytes()
-    return kind[2].encode() + zstandard.ZstdCompressor(level=1).compress(raw)
-
-
-def _opened(raw: bytes) -> np.ndarray:
-    width = int(raw[:1])
-    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw[1:]), np.uint8).reshape(width, -1)
-    return np.ascontiguousarray(planes.T).view(f"<u{width}").ravel().astype(np.uint64)
-
-
 @dataclass(frozen=True)
 class Question:
     """Distinct keys in ascending order (with a second word of 64 bits in `more`, where 64 don't do), and numbers for each key that are to be added up over all blocks."""
@@ -145,26 +129,27 @@ def _answered(blocks: DataFrame, name: str, parts: int, asked: Callable[[dict],
                     for part, (a, b) in enumerate(zip(edges, edges[1:])):
                         if a < b:
                             gaps = np.diff(q.keys[a:b], prepend=np.uint64(0))
-                            one = (row["block"], kind, part, _shut(gaps), None if q.more is None else q.more[a:b].tobytes(), [_shut(x[a:b]) for x in q.values])
+                            one = (row["block"], kind, part, shut(gaps), None if q.more is None else q.more[a:b].tobytes(), [shut(x[a:b]) for x in q.values])
                             for (c, _), v in zip(fields, one, strict=True):
                                 out[c].append(v)
                     yield pa.RecordBatch.from_arrays([pa.array(out[c], t) for c, t in fields], [c for c, _ in fields])
 
     def summed(table: pa.Table) -> pa.Table:
         table = table.sort_by("block")
-        pieces = [np.cumsum(_opened(x), dtype=np.uint64) for x in table.column("keys").to_pylist()]
+        pieces = [np.cumsum(opened(x), dtype=np.uint64) for x in table.column("keys").to_pylist()]
         keys, at = np.concatenate(pieces), np.cumsum([0, *map(len, pieces)])
-        pieces = None
-        if table.column("more").null_count:
-            by = np.argsort(keys, kind="stable")
-            new = np.concatenate([[True], keys[by[1:]] != keys[by[:-1]]])
-        else:
+        by = in_order(keys)
+        new = np.concatenate([[True], keys[by[1:]] != keys[by[:-1]]])
+        if not table.column("more").null_count:
             more = np.frombuffer(b"".join(table.column("more").to_pylist()), np.uint64)
-            by = np.lexsort((more, keys))
-            new = np.concatenate([[True], (keys[by[1:]] != keys[by[:-1]]) | (more[by[1:]] != more[by[:-1]])])
+            differ = more[by[1:]] != more[by[:-1]]
+            if (differ & ~new[1:]).any():  # half a digest is not enough
+                by = np.lexsort((more, keys))
+                new, differ = np.concatenate([[True], keys[by[1:]] != keys[by[:-1]]]), more[by[1:]] != more[by[:-1]]
+            new[1:] |= differ
         group = np.empty(len(keys), np.int64)
         group[by] = np.cumsum(new) - 1
-        values = [np.concatenate([_opened(x) for x in own]) for own in zip(*table.column("sums").to_pylist(), strict=True)]
+        values = [np.concatenate([opened(x) for x in own]) for own in zip(*table.column("sums").to_pylist(), strict=True)]
         totals = [np.bincount(group, x).astype(np.uint64) for x in values]
         facts, answers = [0, 0, 0, 0], [x[group] for x in totals]
         if low := least[table.column("kind")[0].as_py()]:
@@ -172,7 +157,7 @@ def _answered(blocks: DataFrame, name: str, parts: int, asked: Callable[[dict],
             first[by[new]] = 1
             facts = [int(np.count_nonzero(n)), int(np.count_nonzero(n == 1)), int(np.count_nonzero(n == 2)), int(n[n >= low].sum())]
             answers = [np.where(n[group] >= low, 2 * n[group] + first, 0)]
-        got = [[_shut(x[a:b]) for x in answers] for a, b in zip(at, at[1:])]
+        got = [[shut(x[a:b]) for x in answers] for a, b in zip(at, at[1:])]
         told = [facts if k == 0 else [0, 0, 0, 0] for k in range(len(got))]
         return table.select(["block", "kind", "part"]).append_column("got", pa.array(got, pa.list_(pa.binary()))).append_column("facts", pa.array(told, pa.list_(pa.int64())))
 
@@ -189,30 +174,22 @@ def _facts(answers: DataFrame) -> list[int]:
 
 def _got(pieces: list[dict] | None, kind: int, k: int = 0) -> np.ndarray:
     """One question's answers for all its keys."""
-    own = [_opened(p["got"][k]) for p in pieces or [] if p["kind"] == kind]
+    own = [opened(p["got"][k]) for p in pieces or [] if p["kind"] == kind]
     return np.concatenate(own) if own else np.zeros(0, np.uint64)
 
 
-def _digests(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Both halves of the digests of a block's words, and the words' order by them."""
-    raw = b"".join(hashlib.blake2b(w, digest_size=16).digest() for w in row["words"])
-    halves = np.frombuffer(raw, "<u8").reshape(-1, 2)
-    return halves[:, 0], halves[:, 1], np.lexsort((halves[:, 1], halves[:, 0]))
-
-
 def _asked_words(row: dict) -> list[Question]:
-    high, low, by = _digests(row)
-    return [Question(high[by], (np.array(row["ns"], np.uint64)[by],), np.ascontiguousarray(low[by]))]
+    return [Question(np.cumsum(opened(row["high"]), dtype=np.uint64), (opened(row["ns"]),), np.frombuffer(row["low"], np.uint64))]
 
 
 class Grams:
     """Distinct n-grams of a block in the order of their hashes: `keys`, for each of `at` (the places that have one) its number, and the first of these places for each."""
 
     def __init__(self, hashes: np.ndarray, at: np.ndarray):
-        by = np.argsort(hashes)
-        in_order = hashes[by]
-        new = np.concatenate([[True], in_order[1:] != in_order[:-1]]) if len(by) else np.zeros(0, bool)
-        self.at, self.keys, self.first = at, in_order[new], at[by[new]]
+        by = in_order(hashes)
+        sorted_ = hashes[by]
+        new = np.concatenate([[True], sorted_[1:] != sorted_[:-1]]) if len(by) else np.zeros(0, bool)
+        self.at, self.keys, self.first = at, sorted_[new], at[by[new]]
         self.number = np.empty(len(by), np.int64)
         self.number[by] = np.cumsum(new) - 1
 
@@ -224,14 +201,12 @@ class Block:
     """A block's tokens with an end after each text. Words have the numbers of the block's dictionary, then come the end and the beginning."""
 
     def __init__(self, row: dict, texts: int):
-        place, n_words = np.array(row["ks"], np.int64), len(row["words"])
-        told = np.zeros(n_words, np.uint64)
-        _, _, by = _digests(row)
-        told[by] = _got(row["counted"], 0)
+        place, told = opened(row["ks"]).view(np.int64), _got(row["counted"], 0)
+        n_words = len(place)
         self.c, self.hash = np.full(n_words + 2, texts, np.int64), np.empty(n_words + 2, np.uint64)
         self.c[place] = told >> np.uint64(1)
-        self.hash[place] = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in row["words"]), np.uint64, n_words)
-        self.hash[n_words:] = np.array([xxhash.xxh3_64_intdigest(x) for x in (END, BEGIN)], np.uint64)  # white space, so no word's
+        self.hash[place] = np.cumsum(opened(row["high"]), dtype=np.uint64)
+        self.hash[n_words:] = digests([END.encode(), BEGIN.encode()])[0]  # white space, so no word's
         counts, codes = np.frombuffer(row["counts"], "<i8"), unpacked(row["codes"])
         self.bounds = np.concatenate([[0], np.cumsum(counts + 1)])
         self.token = np.full(self.bounds[-1], n_words, np.int32)
@@ -278,18 +253,17 @@ def _left(sums_: np.ndarray, arcs: np.ndarray, cut: float, of: np.ndarray) -> np
 
 def score(docs: DataFrame, train: Column, text: str = "text") -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score and score (log10) of every document; learns from those where `train` holds."""
-    blocks = block_table(docs, lowered_words, text, flag=train, size_of_block=BLOCK_BYTES)
-    heads = blocks.select(F.aggregate("ns", F.lit(0).cast("long"), lambda a, x: a + x).alias("n"), F.length(F.translate(F.hex("flags"), "0", "")).alias("texts"))
-    seen = heads.agg(F.sum("n").alias("n"), F.sum("texts").alias("texts")).first()
+    blocks = block_table(docs, lowered_words, text, flag=train, size_of_block=BLOCK_BYTES, keyed=True)
+    seen = blocks.agg(F.sum("n").alias("n"), F.sum(F.length(F.translate(F.hex("flags"), "0", ""))).alias("texts")).first()
     texts = int(seen["texts"] or 0)
     total = int(seen["n"] or 0) + texts
     parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // PART_TOKENS))
 
-    counted = _answered(blocks.select("block", "words", "ns"), "counted", parts, _asked_words, (1,))
+    counted = _answered(blocks.select("block", "high", "low", "ns"), "counted", parts, _asked_words, (1,))
     distinct, once, twice, _ = _facts(counted)
     known = distinct + (texts > 0)
     cut = cut_of(once, twice)
-    blocks = blocks.select("block", "ids", "flags", "counts", "codes", "words", "ks").join(counted.drop("facts").hint("merge"), "block", "left")
+    blocks = blocks.select("block", "ids", "flags", "counts", "codes", "high", "ks").join(counted.drop("facts").hint("merge"), "block", "left")
 
     paired = _answered(blocks, "paired", parts, lambda row: [(b := Block(row, texts)).pairs().question(b.trained)], (LEAST,))
     _, _, twice, often = _facts(paired)

@@ -9,6 +9,7 @@ Words are told apart by their bytes, within a block and across blocks.
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -38,9 +39,41 @@ def unpacked(raw: bytes) -> np.ndarray:
     return np.ascontiguousarray(planes.T).view("<u4").ravel()
 
 
-def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str = "doc_id", flag=None, size_of_block: int = BLOCK_BYTES) -> DataFrame:
+def shut(x: np.ndarray) -> bytes:
+    """Numbers of the least width that holds them, as planes of bytes, compressed."""
+    top = int(x.max()) if len(x) else 0
+    width = next(k for k in (1, 2, 4, 8) if top < 1 << (8 * k))
+    raw = np.ascontiguousarray(x.astype(f"<u{width}").view(np.uint8).reshape(-1, width).T)
+    return bytes([width]) + zstandard.ZstdCompressor(level=1).compress(raw)
+
+
+def opened(raw: bytes) -> np.ndarray:
+    width = raw[0]
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(raw[1:]), np.uint8).reshape(width, -1)
+    return np.ascontiguousarray(planes.T).view(f"<u{width}").ravel().astype(np.uint64)
+
+
+def in_order(hashes: np.ndarray) -> np.ndarray:
+    """The order of 64-bit hashes, equal ones by place. Their upper bits are sorted with the place in the lower ones, which is much faster than to sort places by hashes;
+    where that can't tell two apart, the full order is taken."""
+    bits = np.uint64(max(1, len(hashes) - 1).bit_length())
+    key = (hashes >> bits << bits) | np.arange(len(hashes), dtype=np.uint64)
+    key.sort()
+    by = (key & np.uint64((1 << int(bits)) - 1)).view(np.int64)
+    full = hashes[by]
+    return by if (full[1:] >= full[:-1]).all() else np.argsort(hashes, kind="stable")
+
+
+def digests(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Both halves of the words' 128-bit BLAKE2 digests."""
+    halves = np.frombuffer(b"".join([hashlib.blake2b(w, digest_size=16).digest() for w in words]), "<u8").reshape(-1, 2)
+    return np.ascontiguousarray(halves[:, 0]), np.ascontiguousarray(halves[:, 1])
+
+
+def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str = "doc_id", flag=None, size_of_block: int = BLOCK_BYTES, keyed: bool = False) -> DataFrame:
     """block, ids (of its documents), flags, counts (words of each document), codes (packed), words, ks and ns (a dictionary in the order of its
-    words, each word's position, and how often it occurs in documents with a flag). Written to the shared folder in buckets of the block."""
+    words, each word's position, and how often it occurs in documents with a flag). Written to the shared folder in buckets of the block. With `keyed` words are their digests
+(high: steps from one to the next in their order, low: as they are), and all columns of the dictionary are `shut`."""
     rows = docs.select(F.col(doc_id).cast("long").alias("id"), (F.lit(True) if flag is None else flag).alias("flag"), F.col(text).alias("_text"))
 
     def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -72,24 +105,33 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
         own_rank = rank[back]
         code = np.concatenate([own_rank[shift[k] + codes[k]] for k in range(len(codes))])
         n = np.bincount(back, np.concatenate(ns), len(words)).astype(np.int64)
+        first = [
+            pa.array([key]),
+            pa.array([pa.concat_arrays(ids).to_pylist()], pa.list_(pa.int64())),
+            pa.array([np.concatenate(flags).astype(np.uint8).tobytes()], pa.binary()),
+            pa.array([np.concatenate(counts).astype("<i8").tobytes()], pa.binary()),
+            pa.array([packed(code)], pa.binary()),
+        ]
+        if keyed:
+            high, low = digests(words.to_pylist())
+            by = np.lexsort((low, high))
+            own = (shut(np.diff(high[by], prepend=np.uint64(0))), low[by].tobytes(), shut(rank[by]), shut(n[by]), int(n.sum()))
+            return pa.RecordBatch.from_arrays(first + [pa.array([x], t) for x, t in zip(own, [pa.binary()] * 4 + [pa.int64()], strict=True)], [*named, "high", "low", "ks", "ns", "n"])
         alike = pc.sort_indices(words).to_numpy()  # neighbours share their beginnings, which shrinks the shuffle
         words, place, n = words.take(pa.array(alike)), rank[alike].astype(np.int32), n[alike]
-        whole = lambda x, kind: pa.array([x], pa.list_(kind))
         return pa.RecordBatch.from_arrays(
             [
-                pa.array([key]),
-                whole(pa.concat_arrays(ids).to_pylist(), pa.int64()),
-                pa.array([np.concatenate(flags).astype(np.uint8).tobytes()], pa.binary()),
-                pa.array([np.concatenate(counts).astype("<i8").tobytes()], pa.binary()),
-                pa.array([packed(code)], pa.binary()),
+                *first,
                 pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words),
                 pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), pa.array(place)),
                 pa.ListArray.from_arrays(pa.array([0, len(n)], pa.int32()), pa.array(n)),
             ],
-            ["block", "ids", "flags", "counts", "codes", "words", "ks", "ns"],
+            [*named, "words", "ks", "ns"],
         )
 
-    schema = "block long, ids array<long>, flags binary, counts binary, codes binary, words array<binary>, ks array<int>, ns array<long>"
+    named = ["block", "ids", "flags", "counts", "codes"]
+    schema = "block long, ids array<long>, flags binary, counts binary, codes binary, "
+    schema += "high binary, low binary, ks binary, ns binary, n long" if keyed else "words array<binary>, ks array<int>, ns array<long>"
     return bucketed(rows.mapInArrow(blocks, schema), "blocks", "block")
 
 
