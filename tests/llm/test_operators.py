@@ -174,6 +174,19 @@ def test_byte_pairs_as_the_library(table, request):
     assert got == sorted(want, key=str)
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_merges_as_the_library(name):
+    """Random simple and other words, runs of one letter, and all bytes of Latin-1 letters."""
+    rnd, path = np.random.default_rng(9), vocabulary(name)
+    encoder, t = byte_pairs.WordEncoder(path), library(path)
+    assert encoder.merges.usable
+    lead = ["", " "] if name.startswith("byte") else [""]
+    words = {"", "a" * 1000, "theththe", "été", "ß", "x÷y", "×"} | {rnd.choice(lead) + "".join(rnd.choice(list("aehnorstz" + "éàñÿAÉ÷œ'1" * int(k % 4 == 0)), rnd.integers(1, 20))) for k in range(4000)}
+    words = sorted(words)
+    ids, at = encoder.encode(pa.array([w.encode() for w in words], pa.binary()))
+    assert [ids[a:b].tolist() for a, b in zip(at, at[1:])] == [t.encode(w, add_special_tokens=False).ids for w in words]
+
+
 def test_byte_pairs_odd_space(spark):
     path = vocabulary("byte_bpe_50k.json")
     t = library(path)

@@ -32,7 +32,7 @@ from wingcount.llm.text_arrays import LOWER, mixed, sums, text_bytes, words
 from wingcount.shared import bucketed
 
 LEAST = 2
-BLOCK_BYTES = 20 << 20
+BLOCK_BYTES = 16 << 20
 PART_TOKENS = 4_000_000
 END, BEGIN = "\n", "\t"
 

@@ -26,7 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.llm.blocks import block_table, dictionary, unpacked
-from wingcount.llm.text_arrays import SPACE, kind_cuts, owners, take_slices, text_bytes, words
+from wingcount.llm.merges import Merges, byte_characters
+from wingcount.llm.text_arrays import SPACE, kind_cuts, owners, sums, take_slices, text_bytes, words
 
 #: White space that the pre-tokenization knows and a split at ASCII white space doesn't, and separators that some engines count as such.
 ODD_SPACE = "[\x1c-\x1f\u0085\u00a0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u3000\ufeff]"
@@ -78,7 +79,7 @@ def _glue(mark: np.ndarray, data: np.ndarray, at: np.ndarray, texts: np.ndarray,
 
 
 class WordEncoder:
-    """Encodes many words in one call."""
+    """Encodes many words in one call: simple ones by `Merges`, others by the library."""
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
@@ -87,16 +88,47 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
-
-    def encode(self, texts: list[str], most: int = 10_000) -> tuple[np.ndarray, np.ndarray]:
-        """All ids one after another, and where those of each word begin."""
-        ids, counts = [], []
-        for at in range(0, len(texts), most):
-            got = [x.ids for x in self.tokenizer.encode_batch_fast(texts[at : at + most], add_special_tokens=False)]
-            counts.append(np.fromiter(map(len, got), np.int64, len(got)))
-            ids.append(np.fromiter(itertools.chain.from_iterable(got), np.int64, counts[-1].sum()))
-        lengths = np.concatenate(counts) if counts else np.zeros(0, np.int64)
-        return np.concatenate(ids) if ids else np.zeros(0, np.int64), np.concatenate([[0], np.cumsum(lengths)])
+        # what becomes of a space and of capitals tells which words are left as one piece
+        left = [x for x, _ in self.tokenizer.pre_tokenizer.pre_tokenize_str(" ab")]
+        lowers = self.tokenizer.normalizer is not None and self.tokenizer.normalizer.normalize_str("Ab") == "ab"
+        self.spaced = left == ["\u0120ab"]
+        self.merges = Merges(path) if self.spaced or left == ["ab"] else None
+        self.letter, self.second = np.zeros(256, bool), np.zeros(256, bool)  # bytes in words, and after 0xC3 in words
+        self.letter[97:123] = True
+        self.letter[65:91] = not lowers
+        self.second[0x9F if lowers else 0x80 : 0xC0] = True
+        self.second[[0x97, 0xB7]] = False
+
+    def encode(self, texts: pa.Array, most: int = 10_000) -> tuple[np.ndarray, np.ndarray]:
+        """All ids one after another, and where those of each word begin, of an array of distinct binaries."""
+        data, at = text_bytes(texts)
+        size = np.diff(at)
+        simple = np.zeros(len(size), bool)
+        if self.merges is not None and self.merges.usable and len(data):
+            fits = self.letter[data]
+            lead = np.flatnonzero(data[:-1] == 0xC3)
+            lead = lead[self.second[data[lead + 1]]]
+            fits[lead] = fits[lead + 1] = True
+            if self.spaced:
+                lead = at[:-1][size > 1]
+                fits[lead] |= data[lead] == 32
+            simple = (size > 0) & (sums(~fits, at[:-1], at[1:]) == 0)
+        ids, counts = [], np.zeros(len(size), np.int64)
+        own = np.flatnonzero(simple)
+        if len(own):
+            got, begin = self.merges.encode(*take_slices(data, at[own], size[own]))
+            ids.append(got)
+            counts[own] = np.diff(begin)
+        other = np.flatnonzero(~simple)
+        words_ = [x.decode() for x in texts.take(pa.array(other)).to_pylist()]
+        for k in range(0, len(words_), most):
+            got = [x.ids for x in self.tokenizer.encode_batch_fast(words_[k : k + most], add_special_tokens=False)]
+            counts[other[k : k + most]] = np.fromiter(map(len, got), np.int64, len(got))
+            ids.append(np.fromiter(itertools.chain.from_iterable(got), np.int64, sum(map(len, got))))
+        order = np.concatenate([own, other])
+        begin = np.empty(len(size), np.int64)
+        begin[order] = np.cumsum(counts[order]) - counts[order]
+        return take_slices(np.concatenate(ids) if ids else np.zeros(0, np.int64), begin, counts)
 
 
 def encoded_words(pairs: DataFrame, path: str) -> DataFrame:
@@ -112,7 +144,7 @@ def encoded_words(pairs: DataFrame, path: str) -> DataFrame:
             table = pa.Table.from_batches(held).combine_chunks()
             column = table.column("word").combine_chunks().dictionary_encode()
             column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-            ids, at = encoder.encode([x.decode() for x in column.dictionary.to_pylist()])
+            ids, at = encoder.encode(column.dictionary)
             of = column.indices.to_numpy(zero_copy_only=False)
             block, k = table.column("block").to_numpy(), table.column("k").to_numpy()
             by = np.lexsort((k, block))
@@ -148,8 +180,7 @@ def pieces(path: str) -> tuple[np.ndarray, np.ndarray]:
     """The bytes of every piece of a byte-level vocabulary one after another, and where each begins, in the order of ids."""
     with open(path, encoding="utf-8") as f:
         stored = json.load(f)
-    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
-    byte_of = {chr(b): b for b in plain} | {chr(256 + k): b for k, b in enumerate(sorted(set(range(256)) - set(plain)))}
+    byte_of = {c: b for b, c in enumerate(byte_characters())}
     by_id = {i: x for x, i in stored["model"]["vocab"].items()} | {x["id"]: x["content"] for x in stored["added_tokens"]}
     raw = [bytes(byte_of[c] for c in by_id[i]) if i in by_id and all(c in byte_of for c in by_id[i]) else by_id.get(i, "").encode() for i in range(max(by_id) + 1)]
     return np.frombuffer(b"".join(raw), np.uint8), np.concatenate([[0], np.cumsum([len(x) for x in raw])])
