@@ -44,6 +44,29 @@ def test_language_masks_against_sets(spark):
     assert got[0][0] > 0.99 and got[0][1] < 0.01
 
 
+def test_lookup_returns_all_languages_of_an_ngram(docs):
+    """Each n-gram's mask holds every language in which its share is at least a quarter of its best, and hardly any other."""
+    held = {}
+    for r in rows(language.count_ngrams(docs)):
+        held.setdefault(r["code"], {})[r["lang"]] = r["n"]
+    total = Counter()
+    for by in held.values():
+        total.update(by)
+    filters = language.fit_filters(docs)
+    codes = np.array(list(held), np.uint32)
+    masks = None
+    for at in language._bits(codes, len(filters.rows), filters.probes):
+        masks = filters.rows[at, 0] if masks is None else masks & filters.rows[at, 0]
+    extra = 0
+    for code, mask in zip(codes.tolist(), masks.tolist(), strict=True):
+        share = {x: n / total[x] for x, n in held[code].items()}
+        want = {x for x, v in share.items() if v >= 0.25 * max(share.values())}
+        got = {x for k, x in enumerate(filters.names) if mask >> k & 1}
+        assert want <= got
+        extra += len(got - want)
+    assert extra <= 0.01 * len(codes)
+
+
 def test_language_odd_rows(odd, empty):
     filters = language.fit_filters(odd.where(F.col("lang").isNotNull()))
     got = rows(language.predict(odd, filters))
@@ -387,6 +410,9 @@ def test_leaks_found_and_clean_documents_left(spark):
 def test_leaks_odd_rows(spark, odd, empty):
     bench = spark.createDataFrame([(1, "The quick brown fox jumps over the lazy dog near the river bank"), (2, None)], "item_id long, text string")
     assert {(r["doc_id"], r["item_id"]) for r in rows(decontaminate.leaks(odd, bench))} == {(9, 1)}
+    for kind, name in (("int", 1), ("string", "1")):  # item ids of any type
+        found = decontaminate.leaks(odd, bench.withColumn("item_id", F.col("item_id").cast(kind)))
+        assert [r["item_id"] for r in rows(found)] == [name]
     assert rows(decontaminate.leaks(empty, bench)) == [] == rows(decontaminate.leaks(odd, bench.where("false")))
 
 

@@ -32,7 +32,7 @@ from wingcount.llm.text_arrays import LOWER, mixed, sums, text_bytes, words
 from wingcount.shared import bucketed
 
 LEAST = 2
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 8 << 20
 PART_TOKENS = 4_000_000
 END, BEGIN = "\n", "\t"
 
@@ -219,7 +219,9 @@ class Block:
 
     def pairs(self) -> Grams:
         at = np.flatnonzero(self.often[self.before] & self.often[self.token])
-        return Grams(mixed(mixed(self.hash[self.before[at]]) + self.hash[self.token[at]]), at)
+        h = mixed(self.hash[self.before[at]])
+        h += self.hash[self.token[at]]
+        return Grams(mixed(h), at)
 
     def kept(self, pairs: Grams, told: np.ndarray) -> np.ndarray:
         """The number of the pair that ends at each place, -1 where it isn't frequent."""
@@ -231,7 +233,9 @@ class Block:
         both = (kept >= 0) & (np.roll(kept, 1) >= 0)
         both[self.bounds[:-1]] = False
         at = np.flatnonzero(both)
-        return Grams(mixed(mixed(pairs.keys[kept[at - 1]] ^ np.uint64(0x51ED270B)) + self.hash[self.token[at]]), at)
+        h = mixed(pairs.keys[kept[at - 1]] ^ np.uint64(0x51ED270B))
+        h += self.hash[self.token[at]]
+        return Grams(mixed(h), at)
 
     def contexts(self) -> np.ndarray:
         """Words (and the beginning) that may have arcs, in the order of their hashes."""

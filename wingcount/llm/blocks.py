@@ -57,9 +57,12 @@ def in_order(hashes: np.ndarray) -> np.ndarray:
     """The order of 64-bit hashes, equal ones by place. Their upper bits are sorted with the place in the lower ones, which is much faster than to sort places by hashes;
     where that can't tell two apart, the full order is taken."""
     bits = np.uint64(max(1, len(hashes) - 1).bit_length())
-    key = (hashes >> bits << bits) | np.arange(len(hashes), dtype=np.uint64)
+    key = hashes >> bits
+    key <<= bits
+    key |= np.arange(len(hashes), dtype=np.uint64)
     key.sort()
-    by = (key & np.uint64((1 << int(bits)) - 1)).view(np.int64)
+    key &= np.uint64((1 << int(bits)) - 1)
+    by = key.view(np.int64)
     full = hashes[by]
     return by if (full[1:] >= full[:-1]).all() else np.argsort(hashes, kind="stable")
 

@@ -22,6 +22,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
 from wingcount.llm.text_arrays import chunks, mixed, owners, slice_hashes, text_bytes
 
@@ -227,7 +228,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, text: str = "text", keep: tuple
         def run(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
             held = sent.value
             table = seed_table(held)
-            names = pa.array(held.ids, pa.int64()) if all(isinstance(x, int) for x in held.ids) else pa.array(held.ids)
+            names = pa.array(held.ids, to_arrow_type(schema["item_id"].dataType))
             for batch in batches:
                 for part in chunks(batch, "_text"):
                     got = leaks_of(held, part.column("_text"), n, least_score, least_words, table)

@@ -5,6 +5,9 @@ one lookup of an n-gram's few rows and an AND of their masks gives every languag
 are counted per language from those masks, the counts are corrected for each filter's false-positive rate, and the
 largest corrected share decides.
 
+A language has the n-grams whose share of it is at least a quarter of their largest share of any language, however rare they are. Tasks set the filters' bits, and the driver gets the rows
+of the table: their number follows from `log2_rows` (or the languages, 64 to a number), not from the corpus or its n-grams.
+
 Nulls and texts without a letter are `und` with score 0. Training rows with null text or null language are left out;
 without any training row every text is `und`. Equal shares go to the language that sorts first. Extra columns are ignored.
 """
@@ -12,7 +15,7 @@ without any training row every text is `und`. Equal shares go to the language th
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -21,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.llm.text_arrays import chunks, mixed, sums, text_bytes
+from wingcount.shared import written
 
 UNDETERMINED = "und"
 #: Letters and non-ASCII bytes stay; everything else is one boundary.
@@ -30,12 +34,13 @@ _FOLD[list(range(97, 123)) + list(range(128, 256))] = list(range(97, 123)) + lis
 
 @dataclass(frozen=True)
 class LanguageFilters:
-    """`rows[r]` is the mask of languages with bit r, in slices of 64 languages; `false_rate` is per language."""
+    """`rows[r]` is the mask of languages with bit r, in slices of 64 languages; `false_rate` and `learned` (n-grams read) are per language."""
 
     names: tuple[str, ...]
     rows: np.ndarray
     probes: int
     false_rate: np.ndarray
+    learned: np.ndarray = field(default_factory=lambda: np.zeros(0))
 
 
 def _ngrams(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -96,26 +101,40 @@ def count_ngrams(train: DataFrame, text: str = "text", lang: str = "lang") -> Da
     return rows.mapInArrow(counted, "lang string, code long, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
 
 
-def fit_filters(train: DataFrame, text: str = "text", lang: str = "lang", least_share: float = 1e-6, of_best: float = 0.25, log2_rows: int = 22, probes: int = 3) -> LanguageFilters:
-    """Filters of the n-grams that make up at least `least_share` of a language and at least `of_best` of the n-gram's share in
-    any language. At most 1/least_share n-grams a language pass, so what reaches the driver has a bound that no corpus moves.
-    """
-    counts = count_ngrams(train, text, lang)
+def fit_filters(train: DataFrame, text: str = "text", lang: str = "lang", of_best: float = 0.25, log2_rows: int = 22, probes: int = 3, most_languages: int = 1024) -> LanguageFilters:
+    """Filters of the n-grams that have at least `of_best` of their largest share. More than `most_languages` names are refused."""
+    counts = written(count_ngrams(train, text, lang), "ngrams")
     totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
-    share = counts.join(totals, "lang").select("lang", "code", (F.col("n") / F.col("total")).alias("share")).where(F.col("share") >= least_share)
-    best = share.groupBy("code").agg(F.max("share").alias("best"))
-    kept = share.join(best, "code").where(F.col("share") >= of_best * F.col("best")).select("lang", "code")
-    table = kept.toArrow()
-    langs, codes = np.array(table.column("lang").to_pylist(), object), table.column("code").to_numpy().astype(np.uint32)
-    names = tuple(sorted(set(langs)))
+    read = totals.orderBy("lang").limit(most_languages + 1).collect()
+    names = tuple(r["lang"] for r in read)
+    if len(names) > most_languages:
+        raise ValueError(f"more than {most_languages} languages")
     slices, size = max(1, -(-len(names) // 64)), 1 << log2_rows
     kind = np.uint8 if len(names) <= 8 else np.uint64
     rows = np.zeros((size, slices), kind)
-    for k, name in enumerate(names):
-        for at in _bits(codes[langs == name], size, probes):
-            rows[at, k // 64] |= kind(1 << (k % 64))
+    share = counts.join(F.broadcast(totals), "lang").select("lang", "code", (F.col("n") / F.col("total")).alias("share"))
+    best = share.groupBy("code").agg(F.max("share").alias("best"), F.collect_list(F.struct("lang", "share")).alias("held"))  # at most a row a language
+    kept = best.select("code", F.transform(F.filter("held", lambda x: x["share"] >= of_best * F.col("best")), lambda x: x["lang"]).alias("langs"))
+
+    def bits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        number = pa.array(names, pa.string())
+        for batch in batches:
+            langs = batch.column("langs")
+            of = np.repeat(np.arange(batch.num_rows), pc.list_value_length(langs).to_numpy())
+            code = batch.column("code").to_numpy().astype(np.uint32)[of]
+            lang_ = pc.index_in(langs.flatten(), number).to_numpy(zero_copy_only=False).astype(np.int64)
+            at = np.concatenate([x * slices + lang_ // 64 for x in _bits(code, size, probes)] or [np.zeros(0, np.int64)])
+            mask = np.tile(np.uint64(1) << (lang_ % 64).astype(np.uint64), probes)
+            by = np.argsort(at)
+            first = np.flatnonzero(np.concatenate([[True], at[by[1:]] != at[by[:-1]]])) if len(by) else by
+            both = np.bitwise_or.reduceat(mask[by], first) if len(by) else mask
+            yield pa.RecordBatch.from_arrays([pa.array(at[by[first]]), pa.array(both.view(np.int64))], ["at", "mask"])
+
+    if names:
+        table = kept.mapInArrow(bits, "at long, mask long").groupBy("at").agg(F.bit_or("mask").alias("mask")).toArrow()  # 2^log2_rows rows at most for 64 languages
+        rows.reshape(-1)[table.column("at").to_numpy()] = table.column("mask").to_numpy().view(np.uint64).astype(kind)
     fill = np.array([float(((rows[:, k // 64] >> kind(k % 64)) & kind(1)).mean()) for k in range(len(names))])
-    return LanguageFilters(names, rows, probes, fill**probes)
+    return LanguageFilters(names, rows, probes, fill**probes, np.array([r["total"] for r in read], np.int64))
 
 
 def shares(filters: LanguageFilters, column: pa.Array) -> np.ndarray:
