@@ -3,9 +3,11 @@
 import hashlib
 import math
 import re
+import textwrap
 import zlib
 from collections import Counter
 
+import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -164,6 +166,33 @@ def test_licenses_against_python(spark):
     }
 
 
+def test_whole_licence_files(spark):
+    """Files as projects have them: title, copyright lines, hard-wrapped lines, numbered items, and text before and after."""
+    wrap = lambda x: "\n".join(textwrap.wrap(x, 72))
+    mit = licenses._MIT
+    cut = [mit.index("The above copyright"), mit.index("THE SOFTWARE IS")]
+    body = "\n\n".join(map(wrap, (mit[: cut[0]], mit[cut[0] : cut[1]], mit[cut[1] :])))
+    bsd = [licenses._BSD_USE, "1. " + licenses._BSD_ONE, "2. " + licenses._BSD_TWO, "3. " + licenses._BSD_THREE, licenses._BSD_WARRANTY]
+    bsd_two = [*bsd[:3], licenses._BSD_WARRANTY]
+    texts = [
+        f"MIT License\n\nCopyright (c) 2020 Some One\n\n{body}\n",
+        f"Some words.\n\nThe MIT License (MIT)\n\nCopyright 2021 X\n\n{body}\n\nMore words.",
+        "BSD 3-Clause License\n\nCopyright (c) 2019, Y\nAll rights reserved.\n\n".replace("All rights reserved.\n", "") + "\n\n".join(map(wrap, bsd)),
+        "Intro\n\n" + "\n\n".join(map(wrap, bsd_two)) + "\n\nOutro",
+        "/* x */\n\n" + wrap(licenses._APACHE_NOTICE[:190]) + "\n\n" + wrap(licenses._APACHE_NOTICE[190:]) + "\n\ncode",
+        wrap(licenses._gpl_notice("GNU General Public License", 3)),
+        "wilful and willful",
+    ]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {(r["doc_id"], r["license_id"], r["unit"]) for r in rows(licenses.scan(df))}
+    assert {(0, "MIT", "text"), (1, "MIT", "paragraphs"), (2, "BSD-3-Clause", "text"), (3, "BSD-2-Clause", "paragraphs"), (4, "Apache-2.0", "paragraphs"), (5, "GPL-3.0", "text")} <= got
+    assert {d for d, _, _ in got} == set(range(6)) and licenses.canonical_text("wilful") == licenses.canonical_text("willful")
+    con = duckdb.connect()
+    con.register("documents", pa.table({"doc_id": pa.array(range(len(texts))), "text": texts}))
+    want = {tuple(r) for r in con.execute(f"select doc_id, license_id, unit, n from ({licenses.oracle()})").fetchall()}
+    assert {(r["doc_id"], r["license_id"], r["unit"], r["n"]) for r in rows(licenses.scan(df))} == want
+
+
 def test_licenses_odd_rows(odd, empty):
     assert rows(licenses.scan(odd)) == [] == rows(licenses.scan(empty))
 

@@ -1,6 +1,6 @@
 """License scans by canonical digests, in DataFrame functions only.
 
-A text, each of its paragraphs and each of its lines is brought to a canonical form: lower case, no copyright lines, no punctuation, one spelling of
+A text, each of its paragraphs and lines, and each run of two to MOST_RUN paragraphs that begins where a longer known text may begin, is brought to a canonical form: lower case, no copyright lines, no punctuation, one spelling of
 words that licences spell in several ways. The SHA-256 of the whole form is joined with the digests of known licence texts and notices.
 Only documents, then units, that hold one of the catalogue's anchors go that far; every known text has an anchor, so none is missed.
 
@@ -24,7 +24,7 @@ SPELLINGS = {
     "judgement": "judgment", "labelling": "labeling", "labour": "labor", "licence": "license", "licences": "licenses", "licenced": "licensed", "maximise": "maximize",
     "modelled": "modeled", "modelling": "modeling", "offence": "offense", "optimise": "optimize", "organisation": "organization", "organise": "organize",
     "practise": "practice", "programme": "program", "realise": "realize", "recognise": "recognize", "signalling": "signaling", "sub license": "sublicense",
-    "utilisation": "utilization", "whilst": "while", "wilful": "wilfull", "non commercial": "noncommercial", "per cent": "percent", "copyright owner": "copyright holder",
+    "utilisation": "utilization", "whilst": "while", "wilful": "willful", "non commercial": "noncommercial", "per cent": "percent", "copyright owner": "copyright holder",
 }
 
 _WARRANTY = (
@@ -38,24 +38,76 @@ _ISC_WARRANTY = (
     "AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, "
     "NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE."
 )
+_MIT = (
+    'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without '
+    "restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the "
+    "Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. " + _WARRANTY
+)
+_BSD_USE = "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: "
+_BSD_ONE = "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. "
+_BSD_TWO = (
+    "Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with "
+    "the distribution. "
+)
+_BSD_THREE = (
+    "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. "
+)
+_BSD_WARRANTY = (
+    'THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND '
+    "FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL "
+    "DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, "
+    "WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."
+)
+_ZLIB = (
+    "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is "
+    "granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: 1. The origin of "
+    "this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be "
+    "appreciated but is not required. 2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. 3. This notice may not be removed or "
+    "altered from any source distribution."
+)
+_UNLICENSE = (
+    "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as "
+    "a compiled binary, for any purpose, commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all "
+    "copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication "
+    "to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law. "
+) + _WARRANTY.replace("AUTHORS OR COPYRIGHT HOLDERS", "AUTHORS") + " For more information, please refer to <https://unlicense.org/>"
+_APACHE_NOTICE = (
+    'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at '
+    "http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT "
+    "WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License."
+)
+
+
+def _gpl_notice(name: str, version: int) -> str:
+    return (
+        f"This program is free software: you can redistribute it and/or modify it under the terms of the {name} as published by the Free Software Foundation, either version {version} of the License, or "
+        "(at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS "
+        f"FOR A PARTICULAR PURPOSE. See the {name} for more details. You should have received a copy of the {name} along with this program. If not, see <https://www.gnu.org/licenses/>."
+    )
+
+
 #: Known texts and notices by licence id.
 KNOWN = [
     ("MIT", "Released under the MIT License."),
     ("MIT", "This project is licensed under the MIT License."),
     ("MIT", "Licensed under the MIT License."),
     ("MIT", "SPDX-License-Identifier: MIT"),
-    (
-        "MIT",
-        'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without '
-        "restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the "
-        "Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. " + _WARRANTY,
-    ),
+    *(("MIT", title + _MIT) for title in ("", "MIT License ", "The MIT License ", "The MIT License (MIT) ")),
     ("ISC", "SPDX-License-Identifier: ISC"),
     ("ISC", _ISC_USE + ", provided that the above copyright notice and this permission notice appear in all copies. " + _ISC_WARRANTY),
     ("0BSD", _ISC_USE + ". " + _ISC_WARRANTY),
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
     ("Apache-2.0", 'Licensed under the Apache License, Version 2.0 (the "License").'),
     ("Apache-2.0", "SPDX-License-Identifier: Apache-2.0"),
+    ("Apache-2.0", _APACHE_NOTICE),
+    ("GPL-2.0", _gpl_notice("GNU General Public License", 2)),
+    ("GPL-3.0", _gpl_notice("GNU General Public License", 3)),
+    ("LGPL-3.0", _gpl_notice("GNU Lesser General Public License", 3)),
+    ("AGPL-3.0", _gpl_notice("GNU Affero General Public License", 3)),
+    *(("BSD-2-Clause", title + _BSD_USE + one + _BSD_ONE + two + _BSD_TWO + _BSD_WARRANTY) for title in ("", "BSD 2-Clause License ") for one, two in (("1. ", "2. "), ("", ""))),
+    *(("BSD-3-Clause", title + _BSD_USE + one + _BSD_ONE + two + _BSD_TWO + three + _BSD_THREE + _BSD_WARRANTY) for title in ("", "BSD 3-Clause License ") for one, two, three in (("1. ", "2. ", "3. "), ("", "", ""))),
+    *(("Zlib", title + _ZLIB) for title in ("", "zlib License ", "The zlib License ")),
+    ("Unlicense", _UNLICENSE),
     ("GPL-2.0", "This work is licensed under the GNU General Public License, version 2."),
     ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
     ("GPL-3.0", "SPDX-License-Identifier: GPL-3.0-only"),
@@ -77,9 +129,13 @@ KNOWN = [
     ("Unlicense", "This is free and unencumbered software released into the public domain under the Unlicense."),
 ]
 #: Each known text holds one of these in lower case.
-ANCHORS = ("licen", "permission")
+ANCHORS = ("licen", "permission", "redistribution")
+#: Texts of several paragraphs begin with one that holds one of these in lower case.
+BEGINNINGS = ("permission is hereby granted", "permission to use", "redistribution and use", "mit license", "bsd 2-clause", "bsd 3-clause", "zlib license", "provided 'as-is'", "unencumbered software", "apache license", "is free software")
+MOST_RUN = 8
 
-_COPYRIGHT = r"(?m)^[ \t#/*;-]*(copyright|©|\(c\))[^\n]*$"
+#: Lines that name a copyright; a line of a wrapped sentence that happens to begin with the word has a letter after it and no year.
+_COPYRIGHT = r"(?m)^[ \t#/*;-]*(©|\(c\)|copyright[ \t]*([^a-z \t\n]|[^\n]*[0-9]{4}))[^\n]*$"
 _BREAK = r"\n[ \t\r]*\n"
 
 
@@ -110,12 +166,18 @@ def digests(known: list[tuple[str, str]] | None = None) -> dict[str, str]:
 
 
 def scan(docs: DataFrame, text: str = "text", known: list[tuple[str, str]] | None = None) -> DataFrame:
-    """doc_id, license_id, unit (text, paragraph or line) and n, how many of the document's units are that licence's."""
+    """doc_id, license_id, unit (text, paragraphs, paragraph or line) and n, how many of the document's units are that licence's."""
     catalogue = docs.sparkSession.createDataFrame([(d, name) for d, name in digests(known).items()], "digest string, license_id string")
     anchored = lambda c: F.greatest(*(F.contains(F.lower(c), F.lit(x)) for x in ANCHORS))
     own = docs.select("doc_id", F.col(text).alias("_text")).where(anchored(F.col("_text")))
     several = lambda pattern, unit: F.transform(F.split("_text", pattern), lambda x: F.struct(F.lit(unit).alias("unit"), x.alias("body")))
-    units = F.concat(F.array(F.struct(F.lit("text").alias("unit"), F.col("_text").alias("body"))), several(_BREAK, "paragraph"), several("\n", "line"))
+    begins = lambda c: F.greatest(*(F.contains(F.lower(c), F.lit(x)) for x in BEGINNINGS))
+    paragraphs = F.split("_text", _BREAK)
+    heads = F.filter(F.sequence(F.lit(1), F.size(paragraphs)), lambda i: begins(F.element_at(paragraphs, i)))
+    run = lambda i, k: F.struct(F.lit("paragraphs").alias("unit"), F.array_join(F.slice(paragraphs, i, k), "\n\n").alias("body"))
+    fits = lambda i: F.filter(F.sequence(F.lit(2), F.lit(MOST_RUN)), lambda k: i + k - 1 <= F.size(paragraphs))
+    runs = F.flatten(F.transform(heads, lambda i: F.transform(fits(i), lambda k: run(i, k))))
+    units = F.concat(F.array(F.struct(F.lit("text").alias("unit"), F.col("_text").alias("body"))), runs, several(_BREAK, "paragraph"), several("\n", "line"))
     found = own.select("doc_id", F.explode(F.filter(units, lambda x: anchored(x["body"]))).alias("u")).select("doc_id", "u.unit", F.sha2(canonical(F.col("u.body")), 256).alias("digest"))
     return found.join(F.broadcast(catalogue), "digest").groupBy("doc_id", "license_id", "unit").agg(F.count(F.lit(1)).alias("n"))
 
@@ -131,10 +193,15 @@ def oracle() -> str:
 
     known = ", ".join(f"('{d}', '{name}')" for d, name in digests().items())
     has = lambda x: "(" + " or ".join(f"contains(lower({x}), '{a}')" for a in ANCHORS) + ")"
+    begins = lambda x: "(" + " or ".join(f"contains(lower({x}), '{a.replace(chr(39), chr(39) * 2)}')" for a in BEGINNINGS) + ")"
     return f"""
     with own as (select doc_id, text from documents where {has("text")}),
+    cut as (select doc_id, string_split_regex(text, '{_BREAK}') as p from own),
+    heads as (select doc_id, p, unnest(range(1, len(p) + 1)) as i from cut),
+    runs as (select doc_id, p, i, unnest(range(2, {MOST_RUN + 1})) as k from heads where {begins("p[i]")}),
     units as (
       select doc_id, 'text' as unit, text as body from own
+      union all select doc_id, 'paragraphs', array_to_string(p[i:i + k - 1], chr(10) || chr(10)) from runs where i + k - 1 <= len(p)
       union all select doc_id, 'paragraph', unnest(string_split_regex(text, '{_BREAK}')) from own
       union all select doc_id, 'line', unnest(string_split(text, chr(10))) from own
     ), found as (select doc_id, unit, sha256({folded("body")}) as digest from units where {has("body")}),
