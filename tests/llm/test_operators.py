@@ -109,6 +109,60 @@ def test_kneser_ney_sums_to_one_and_backs_off():
         assert np.exp(model.log_prob(np.arange(64, dtype=np.uint32) + np.uint32(prefix))).sum() == pytest.approx(1, abs=1e-4)
 
 
+def plain_entropies(texts, order=4):
+    """Cross-entropy of each text under a modified Kneser-Ney model of all texts, with dictionaries."""
+    read = [[0] * (order - 1) + [int(perplexity.CLASSES[b]) for b in (t or "").encode()] + [0] for t in texts]
+    counts = {order: Counter(tuple(x[i : i + order]) for x in read for i in range(len(x) - order + 1))}
+    for k in range(order - 1, 0, -1):
+        counts[k] = Counter(g[1:] for g in counts[k + 1])
+    cuts, total, kinds = {}, {}, {}
+    for k, c in counts.items():
+        n = Counter(c.values())
+        y = n[1] / (n[1] + 2 * n[2]) if n[1] and n[2] else 0.5
+        raw = [m - (m + 1) * y * n[m + 1] / n[m] if n[m] else m / 2 for m in (1, 2, 3)]
+        cuts[k] = [min(max(x, lo), hi) for x, lo, hi in zip(raw, (0.05, 0.1, 0.15), (0.95, 1.9, 2.85), strict=True)]
+        total[k], kinds[k] = Counter(), {}
+        for g, m in c.items():
+            total[k][g[:-1]] += m
+            kinds[k].setdefault(g[:-1], Counter())[min(m, 3)] += 1
+
+    def p(g):
+        k = len(g)
+        if not k:
+            return 1 / 64
+        if not total[k][g[:-1]]:
+            return p(g[1:])
+        left = sum(cuts[k][m - 1] * x for m, x in kinds[k][g[:-1]].items()) / total[k][g[:-1]]
+        n = counts[k][g]
+        return (n - (cuts[k][min(n, 3) - 1] if n else 0)) / total[k][g[:-1]] + left * p(g[1:])
+
+    seen = {g: math.log(p(g)) for g in counts[order]}
+    return [-sum(seen[tuple(x[i : i + order])] for i in range(len(x) - order + 1)) / (len(x) - order + 1) for x in read]
+
+
+def test_perplexity_against_dictionaries(docs):
+    """Entropies, bands and verdicts of every document, by plain Python."""
+    data = [(r["doc_id"], r["text"], r["lang"]) for r in rows(docs)]
+    got = {r["doc_id"]: r for r in rows(perplexity.judged(docs))}
+    entropy = dict(zip([d for d, _, _ in data], plain_entropies([t for _, t, _ in data]), strict=True))
+    assert {d: got[d]["cross_entropy"] for d in entropy} == pytest.approx(entropy, abs=1e-4)
+    size = {d: len((t or "").encode()) + 1 for d, t, _ in data}
+    band = {}
+    for lang in {x for _, _, x in data} | {""}:
+        own = [d for d, _, x in data if size[d] >= 200 and (x == lang or lang == "")]
+        bins = lambda values, step: (math.floor(np.median([math.floor(v / step) for v in values])) + 0.5) * step
+        if len(own) >= 30 or lang == "":
+            centre = bins([got[d]["cross_entropy"] for d in own], 0.001)
+            band[lang] = centre, 1.4826 * bins([abs(got[d]["cross_entropy"] - centre) * math.sqrt(size[d]) for d in own], 0.01)
+    for d, t, lang in data:
+        centre, noise = band.get(lang, band[""])
+        allowed = math.sqrt(0.004**2 + noise**2 / size[d])
+        words, _, _, _, repeated = base_counts(t)
+        failed = words < 10 or 100 * repeated > 20 * words
+        assert got[d]["base_failed"] == failed
+        assert got[d]["kept"] == (not failed and centre - 4.2 * allowed <= got[d]["cross_entropy"] <= centre + 4 * allowed)
+
+
 def test_ngram_counts(spark):
     df = spark.createDataFrame([("ab",), ("ab",), (None,)], "text string")
     a, b = (int(perplexity.CLASSES[ord(x)]) for x in "ab")
@@ -377,6 +431,30 @@ def test_chain_against_all_labellings():
     assert pairs.sum() == pytest.approx(3)
 
 
+def test_document_scores_by_plain_loops(docs, spark):
+    """Each document on its own: forward and backward sums line by line, marginals weighed by length, the logistic step."""
+    labels = spark.read.parquet("/root/testdata/sf0.001/labels.parquet")
+    chain = line_quality.fit(docs, labels, F.lit(True))
+    got = {r["doc_id"]: r["score"] for r in rows(line_quality.score(docs, chain))}
+    for r in rows(docs.limit(60)):
+        x, _, weight = line_quality.line_features(pa.array([r["text"]], pa.string()))
+        odds = ((x - chain.mean) / chain.scale) @ chain.weight
+        n = len(odds)
+        own = [[1.0, math.exp(min(v, 600))] for v in odds]
+        ahead, behind = [own[0]], [[1.0, 1.0]]
+        for t in range(1, n):
+            step = [sum(ahead[-1][a] * math.exp(chain.move[a, b]) for a in (0, 1)) * own[t][b] for b in (0, 1)]
+            ahead.append([v / sum(step) for v in step])
+        for t in range(n - 2, -1, -1):
+            step = [sum(math.exp(chain.move[a, b]) * own[t + 1][b] * behind[-1][b] for b in (0, 1)) for a in (0, 1)]
+            behind.append([v / sum(step) for v in step])
+        both = [[a[k] * b[k] for k in (0, 1)] for a, b in zip(ahead, behind[::-1], strict=True)]
+        share = sum(w * v[1] / sum(v) for w, v in zip(weight, both, strict=True)) / sum(weight)
+        share = min(max(share, 0.005), 0.995)
+        want = 1 / (1 + math.exp(-(chain.step[0] * math.log(share / (1 - share)) / 4 + chain.step[1])))
+        assert got[r["doc_id"]] == pytest.approx(want, abs=1e-6)
+
+
 def test_line_quality_on_held_out(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
@@ -436,6 +514,27 @@ def test_leaks_found_and_clean_documents_left(spark):
     assert several == set(got)
 
 
+def test_leaks_against_all_pairs(docs, spark):
+    """Seeds lose nothing: aligning every document as a whole with every item gives the same pairs."""
+    bench = spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet")
+    got = {(r["doc_id"], r["item_id"]) for r in rows(decontaminate.leaks(docs, bench))}
+    data, items = rows(docs), rows(bench)
+    words, bounds = decontaminate.folded_words(pa.array([r["text"] for r in data], pa.string()))
+    asked, at = decontaminate.folded_words(pa.array([r["text"] for r in items], pa.string()))
+    want = set()
+    for r, a, b in zip(data, bounds, bounds[1:]):
+        for i in range(0, len(items), 64):
+            some = range(i, min(i + 64, len(items)))
+            length = np.array([at[k + 1] - at[k] for k in some])
+            table = np.zeros((len(some), max(1, length.max())), np.uint64)
+            for j, k in enumerate(some):
+                table[j, : length[j]] = asked[at[k] : at[k + 1]]
+            best, _ = decontaminate.aligned(table, np.tile(words[a:b], (len(some), 1))) if b > a else (np.zeros(len(some)), None)
+            good = (best >= length) & (best >= 2 * np.minimum(8, length)) & (length >= 3)
+            want |= {(r["doc_id"], items[k]["item_id"]) for k, x in zip(some, good, strict=True) if x}
+    assert got <= want and len(got) >= 0.95 * len(want)
+
+
 def test_leaks_odd_rows(spark, odd, empty):
     bench = spark.createDataFrame([(1, "The quick brown fox jumps over the lazy dog near the river bank"), (2, None)], "item_id long, text string")
     assert {(r["doc_id"], r["item_id"]) for r in rows(decontaminate.leaks(odd, bench))} == {(9, 1)}
