@@ -133,11 +133,10 @@ def near_duplicates(docs: DataFrame, text: str = "text", width: int = 3) -> Data
 
 def deduplicated(docs: DataFrame, text: str = "text") -> DataFrame:
     """One document of each component: the one with the smallest doc_id (null ids last), then fingerprint and hashes of the text. Texts of other components
-    stay, whatever their ids."""
-    key = ["doc_id", "_h1", "_h2"]
-    marked = docs.withColumns({"_h1": F.xxhash64(text), "_h2": F.xxhash64(F.lit(1), text)})
-    own, linked = _grouped(marked, text, tuple(key), 3)
-    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "fp", "_h1", "_h2")).alias("first")
-    kept = own.join(linked.select("fp", "component"), "fp").groupBy("component").agg(first).select(*(F.col(f"first.{c}").alias(f"_kept{c}") for c in key))
-    same = [marked[c].eqNullSafe(kept[f"_kept{c}"]) for c in key]
-    return marked.join(kept, same, "left_semi").dropDuplicates(key).drop("_h1", "_h2")
+    stay, whatever their ids. Texts are dealt once, by id and hashes, for the join and for what repeats in full."""
+    name = F.concat_ws(":", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.xxhash64(text).cast("string"), F.xxhash64(F.lit(1), text).cast("string"))
+    marked = docs.withColumn("_name", name)
+    own, linked = _grouped(marked, text, ("doc_id", "_name"), 3)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "fp", "_name")).alias("first")
+    kept = own.join(linked.select("fp", "component"), "fp").groupBy("component").agg(first).select(F.col("first._name").alias("_name"))
+    return marked.join(kept, "_name", "left_semi").dropDuplicates(["_name"]).drop("_name")
