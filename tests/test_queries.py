@@ -12,7 +12,8 @@ SF = "/root/testdata/sf0.001"
 SOME = [
     "exact_euk", "exact_ocp_total_order", "edge_estimate", "interval_copies", "interval_estimate", "static_quad_estimate", "static_topology_multiplicity", "six_window_estimate", "six_window_time_estimate",
     "variance_interval", "graph_stats", "window_degree", "rate_curve_node_lower", "coverage", "bounds_grid", "plan_from_pilot", "join_asof", "agg_cube", "fn_array", "udaf_rank_count",
-    "stream_tumbling", "stream_session", "stream_wedges", "stream_counts", "stream_late", "stream_dedup",
+    "stream_tumbling", "stream_session", "stream_wedges", "stream_counts", "stream_late", "stream_dedup", "agg_approx_distinct", "set_except", "edges_repeated", "trailing_repeated", "rate_curve_interval", "accuracy_edge", "accuracy_six_window", "accuracy_static_quad",
+    "accuracy_static_topology", "errors_interval", "errors_node_lower", "speedup_at_level", "graph_stats_ocs", "type_share_lsp",
 ]
 
 

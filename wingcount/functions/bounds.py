@@ -71,7 +71,7 @@ def exact_variance(edges: DataFrame, tau: int, sampler, formula: str = "exact")
     for k in TYPES:
         points = shares.where(F.col(f"c{k}") > 0).select("t", (F.col(f"c{k}") / F.col("m_prime")).alias("w"))
         ends = edges.select("eid", F.explode(F.array(F.struct((F.col("t") + F.lit(length)).alias("x"), F.lit(True).alias("inclusive"), F.lit(1).alias("sign")), F.struct(F.col("t").alias("x"), F.lit(False).alias("inclusive"), F.lit(-1).alias("sign")))).alias("q")).select("eid", "q.*")
-        inside = prefix_counts(points, ends, length, "w").groupBy("eid").agg(F.sum(F.col("upto") * F.col("sign")).alias("c"))
+        inside = prefix_counts(points, ends, "w").groupBy("eid").agg(F.sum(F.col("upto") * F.col("sign")).alias("c"))
         out.append(inside.agg(F.coalesce(F.sum(F.col("c") * F.col("c")), F.lit(0.0)).alias("squares"), F.coalesce(F.sum("c"), F.lit(0.0)).alias("total")).select(F.lit(k).alias("type"), "squares", "total"))
     all_types = out[0]
     for one in out[1:]:

@@ -118,7 +118,7 @@ class SixPassWindow:
             low, high = edges.agg(F.min("t"), F.max("t")).first()
             room = float(high - low + length)
             begins = edges.sparkSession.range(self.draws).select((F.lit(float(low - length)) + u01(self.seed, F.col("id")) * F.lit(room)).alias("t"))
-        covered = range_counts(begins, edges, F.col("t") - F.lit(length), F.col("t"), "n", least=length).where("n > 0")
+        covered = range_counts(begins, edges, F.col("t") - F.lit(length), F.col("t"), "n").where("n > 0")
         starts = edges.join(covered.select("eid"), "eid", "left_semi")
         out = None
         for kind in TYPES:
@@ -126,10 +126,10 @@ class SixPassWindow:
             out = own if out is None else out.union(own)
         kinds = out.groupBy("type", "t1", "duration").agg(F.count(F.lit(1)).alias("n")).withColumn("id", F.struct("type", "t1", "duration"))
         first, last = F.col("t1"), F.col("t1") + F.col("duration")
-        hit = range_counts(begins, kinds, last - F.lit(length), first, "copies", key="id", least=length)
+        hit = range_counts(begins, kinds, last - F.lit(length), first, "copies", key="id")
         weighed = kinds.join(hit.where("copies > 0"), "id")
         if self.anchor == "edge":
-            weighed = weighed.join(range_counts(edges, kinds, last - F.lit(length), first, "r", key="id", least=length), "id")
+            weighed = weighed.join(range_counts(edges, kinds, last - F.lit(length), first, "r", key="id"), "id")
             weight = F.col("n") * F.col("copies") / F.col("r")
             return _summed(weighed, weight, m / self.draws)
         return _summed(weighed, F.col("n") * F.col("copies") / (F.lit(float(length)) - F.col("duration")), room / self.draws)

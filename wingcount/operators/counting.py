@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from wingcount.functions.order_types import ORDERS, TRANSPOSED, TYPES, classify
 from wingcount.operators.joins import bucket
+from wingcount.shared import settled
 
 COUNTS = [f"c{k}" for k in TYPES]
 INSTANCE = ("e1", "e2", "e3", "e4", "ux", "uy", "lx", "ly", "t1", "t2", "t3", "t4", "type", "duration")
@@ -62,27 +63,30 @@ def star(edges: DataFrame, starts: DataFrame, tau: int, ties: str = "strict", wi
     return _named(x, ties)
 
 
-def wedges(edges: DataFrame, tau: int, ties: str = "strict", width: int | None = None) -> DataFrame:
+def wedges(edges: DataFrame, tau: int, ties: str = "strict", width: int | None = None, join: str | None = None) -> DataFrame:
     """Pairs of edges with one lower node and two upper ones within tau, the earlier first: e1, e2, ua, ub, center, t1, t2."""
     width = max(1, width or tau)
     one, two = _starts(edges, width), _as(edges, 2, width)
+    two = two.hint(join) if join else two
     x = one.join(two, (one.tb == two.b2) & (one.lx == two.q2) & (one.ux != two.p2) & _after("t2", "e2", tau, ties))
     return x.select("e1", "e2", F.col("ux").alias("ua"), F.col("p2").alias("ub"), F.col("lx").alias("center"), "t1", "t2")
 
 
-def wedge_pair(edges: DataFrame, starts: DataFrame, tau: int, ties: str = "strict", width: int | None = None) -> DataFrame:
-    """All instances that begin with one of `starts`: a wedge that holds the first edge, and a later one with the same ends."""
+def wedge_pair(edges: DataFrame, starts: DataFrame, tau: int, ties: str = "strict", width: int | None = None, join: str | None = None) -> DataFrame:
+    """All instances that begin with one of `starts`: a wedge that holds the first edge, and a later one with the same ends. `join` is a hint for its joins."""
     width = max(1, width or tau)
-    one, two = _starts(starts, width), _as(edges, 2, width)
+    hinted = lambda df: df.hint(join) if join else df
+    one, two = _starts(starts, width), hinted(_as(edges, 2, width))
     x = one.join(two, (one.tb == two.b2) & (one.lx == two.q2) & (one.ux != two.p2) & _after("t2", "e2", tau, ties))
     x = x.select("e1", "e2", "ux", F.col("p2").alias("uy"), "lx", "t1", "t2", "tb", F.least("ux", "p2").alias("lo"), F.greatest("ux", "p2").alias("hi"))
-    w = wedges(edges, tau, ties, width)
+    w = wedges(edges, tau, ties, width, join)
     first = bucket(F.col("t1"), width)
     y = w.select(
         F.least("ua", "ub").alias("ylo"), F.greatest("ua", "ub").alias("yhi"), F.col("center").alias("ly"), (F.col("ua") < F.col("ub")).alias("up"),
         F.col("e1").alias("ea"), F.col("e2").alias("eb"), F.col("t1").alias("ta"), F.col("t2").alias("tz"), F.explode(F.array(first, first - 1)).alias("yb"),
     )
     late = (_order("ta", "ea", ties) > _order("t1", "e1", ties)) & (F.col("tz") <= F.col("t1") + F.lit(tau))
+    y = hinted(y)
     z = x.join(y, (x.lo == y.ylo) & (x.hi == y.yhi) & (x.tb == y.yb) & (x.lx != y.ly) & late)
     mine = F.col("up") == (F.col("ux") < F.col("uy"))  # the later wedge's first leg is ux's
     for k, leg, time in ((3, ("ea", "eb"), ("ta", "tz")), (4, ("eb", "ea"), ("tz", "ta"))):
@@ -173,7 +177,7 @@ def transposed_edges(edges: DataFrame) -> DataFrame:
     return edges.select("eid", F.col("l").alias("u"), F.col("u").alias("l"), "t")
 
 
-def list_instances(edges: DataFrame, tau: int, starts: DataFrame | None = None, plan: str = "auto", center: str = "lower", ties: str = "strict", types: tuple[int, ...] | None = None) -> DataFrame:
+def list_instances(edges: DataFrame, tau: int, starts: DataFrame | None = None, plan: str = "auto", center: str = "lower", ties: str = "strict", types: tuple[int, ...] | None = None, join: str | None = None) -> DataFrame:
     """Rows of instances: edge ids, nodes, times, type and duration. center='upper' finds them from the other layer's wedges."""
     if center == "auto":
         from wingcount.plans.planner import choose_center
@@ -182,7 +186,7 @@ def list_instances(edges: DataFrame, tau: int, starts: DataFrame | None = None,
     plan = ("wedge_pair" if starts is None else "star") if plan == "auto" else plan
     own = edges if center == "lower" else transposed_edges(edges)
     first = own if starts is None else (starts.select("eid", "u", "l", "t") if center == "lower" else transposed_edges(starts))
-    out = PLANS[plan](own, first, tau, ties)
+    out = wedge_pair(own, first, tau, ties, join=join) if plan == "wedge_pair" else PLANS[plan](own, first, tau, ties)
     if center == "upper":
         swap = F.create_map(*(F.lit(x) for pair in TRANSPOSED.items() for x in pair))
         names = {"ux": "lx", "lx": "ux", "uy": "ly", "ly": "uy", "e2": "e3", "e3": "e2", "t2": "t3", "t3": "t2"}
@@ -205,12 +209,22 @@ def long_form(wide: DataFrame, value: str = "count") -> DataFrame:
     return wide.selectExpr(f"stack(6, {pairs}) as (type, {value})")
 
 
-def exact_count(edges: DataFrame, tau: int, plan: str = "auto", center: str = "lower", ties: str = "strict") -> DataFrame:
-    """(type, count), six rows also where nothing is found."""
+def exact_count(edges: DataFrame, tau: int, plan: str = "auto", center: str = "auto", ties: str = "strict") -> DataFrame:
+    """(type, count), six rows also where nothing is found. What is left open is chosen by the work that a first look at the edges foretells; edges that are more than a
+    plain scan are written once, as the plans read them several times ('strict' needs no ids)."""
+    join = None
+    if "auto" in (plan, center):
+        from wingcount.plans.planner import choose
+
+        edges = settled(edges.select(F.lit(0).cast("long").alias("eid"), "u", "l", "t") if ties == "strict" else edges, "edges")
+        chosen = choose(edges, tau, ties=ties)
+        plan, center, join = chosen.plan if plan == "auto" else plan, chosen.center if center == "auto" else center, chosen.join
     if plan in ("factored", "grouped"):
-        per = per_edge_counts(edges, edges, tau, plan, ties)
-        return long_form(per.agg(*(F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in COUNTS)))
-    return long_form(six(list_instances(edges, tau, None, plan, center, ties)))
+        own = edges if center == "lower" else transposed_edges(edges)
+        per = per_edge_counts(own, own, tau, plan, ties)
+        name = {k: f"c{k if center == 'lower' else TRANSPOSED[k]}" for k in TYPES}
+        return long_form(per.agg(*(F.coalesce(F.sum(name[k]), F.lit(0)).alias(f"c{k}") for k in TYPES)))
+    return long_form(six(list_instances(edges, tau, None, plan, center, ties, join=join)))
 
 
 def chrono(edges: DataFrame, starts: DataFrame, tau: int, kind: int, ties: str = "strict", width: int | None = None) -> DataFrame:

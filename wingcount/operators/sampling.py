@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wingcount.functions.hashing import u01
 from wingcount.operators.timeline import range_counts, ranks, trailing_count
+from wingcount.shared import settled
 
 
 def _share(p: float) -> None:
@@ -86,8 +87,9 @@ class IntervalSampler:
         return ranks(edges).join(picks, "rank").select("draw", "eid", "t")
 
     def draw(self, edges: DataFrame, tau: int) -> DataFrame:
+        edges = settled(edges)
         s, m, length = self.size(edges, tau), edges.count(), self.length(tau)
-        found = self.drawn(edges, tau)
+        found = settled(replace(self, draws=s).drawn(edges, tau))
         weight = (F.lit(float(m)) / (F.lit(float(s)) * F.col("m_prime"))).alias("weight")
         if self.mode == "literal":
             from wingcount.operators.joins import interval_join
@@ -95,5 +97,5 @@ class IntervalSampler:
             hits = interval_join(found.select("draw", "t"), edges, [], "t", max(1, length), closed_low=True).where(F.col("r_t") <= F.col("t") + F.lit(length))
             hits = hits.select(F.col("r_eid").alias("eid"), F.col("r_u").alias("u"), F.col("r_l").alias("l"), F.col("r_t").alias("t"))
             return hits.join(trailing_count(edges, length), "eid").select("eid", "u", "l", "t", F.lit(1).cast("long").alias("copies"), weight)
-        copies = range_counts(found.select("t"), edges, F.col("t") - F.lit(length), F.col("t"), "copies", least=length).where("copies > 0")
+        copies = range_counts(found.select("t"), edges, F.col("t") - F.lit(length), F.col("t"), "copies").where("copies > 0")
         return edges.join(copies, "eid").join(trailing_count(edges, length), "eid").select("eid", "u", "l", "t", "copies", weight)

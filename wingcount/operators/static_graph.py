@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from wingcount.shared import settled
+
 
 def static_edges(edges: DataFrame) -> DataFrame:
     """(u, l, multiplicity)."""
@@ -25,10 +27,15 @@ def static_butterflies(edges: DataFrame) -> DataFrame:
     return a.join(b, (a.u_lo == b.x) & (a.u_hi == b.y) & (a.l_lo < b.l_hi)).select("u_lo", "u_hi", "l_lo", "l_hi")
 
 
-def static_exact(edges: DataFrame, method: str = "pair", layer: str = "lower") -> DataFrame:
-    """One row, butterflies. 'pair' counts common neighbours of pairs of one layer (wedges centred in `layer`); 'priority' charges each butterfly to its node of
+def static_exact(edges: DataFrame, method: str = "pair", layer: str = "auto") -> DataFrame:
+    """One row, butterflies. 'pair' counts common neighbours of pairs of one layer (wedges centred in `layer`, 'auto': the one with
+    fewer of them by the squares of its degrees); 'priority' charges each butterfly to its node of
     highest degree, so a hub is never the centre of its wedges."""
+    edges = settled(static_edges(edges), "pairs")
     if method == "pair":
+        if layer == "auto":
+            work = {k: edges.groupBy(c).agg(F.count(F.lit(1)).cast("double").alias("d")).agg(F.sum(F.col("d") * F.col("d"))).first()[0] or 0 for k, c in (("lower", "l"), ("upper", "u"))}
+            layer = min(work, key=work.get)
         own = edges if layer == "lower" else edges.select(F.col("l").alias("u"), F.col("u").alias("l"))
         common = static_wedges(own).groupBy("u_lo", "u_hi").agg(F.count(F.lit(1)).alias("n"))
         return common.agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2).cast("long"), F.lit(0)).alias("butterflies"))

@@ -39,7 +39,7 @@ def window_degree(edges: DataFrame, tau: int, c: float = 1.0) -> DataFrame:
         return edges.select(F.count(F.lit(1)).over(ahead).alias("n")).agg(F.max("n").alias(name))
 
     length = int(c * tau)
-    delta = range_counts(edges, edges, F.col("t"), F.col("t") + F.lit(length), "n", least=length).agg(F.max("n").alias("delta"))
+    delta = range_counts(edges, edges, F.col("t"), F.col("t") + F.lit(length), "n").agg(F.max("n").alias("delta"))
     return most("u", "d_upper").crossJoin(most("l", "d_lower")).crossJoin(delta)  # single rows
 
 

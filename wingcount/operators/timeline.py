@@ -5,19 +5,23 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-MOST_BUCKETS = 10_000
+#: A bucket has some ROWS edges; there are MOST_BUCKETS at most, a bound for the histogram that all tasks get (24 MB), so beyond 10^11 edges buckets grow.
+ROWS, MOST_BUCKETS, LEAST_BUCKETS = 100_000, 1_000_000, 64
 
 
-def _width(points: DataFrame, least: int) -> tuple[int, int, int]:
-    low, high = points.agg(F.min("t"), F.max("t")).first()
+def _width(points: DataFrame) -> tuple[int, int, int]:
+    """Width of a bucket, and the first and the last time; from one aggregate."""
+    low, high, n = points.agg(F.min("t"), F.max("t"), F.count(F.lit(1))).first()
     low, high = (0, 0) if low is None else (int(low), int(high))
-    return max(1, least, -(-(high - low + 1) // MOST_BUCKETS)), low, high
+    buckets = min(MOST_BUCKETS, max(LEAST_BUCKETS, n // ROWS))
+    return max(1, -(-(high - low + 1) // buckets)), low, high
 
 
-def prefix_counts(points: DataFrame, asked: DataFrame, least: int = 1, weight: str | None = None) -> DataFrame:
+def prefix_counts(points: DataFrame, asked: DataFrame, weight: str | None = None) -> DataFrame:
     """`asked` has any columns besides x (a time) and inclusive (whether points at x count); `upto` is added, the number (or sum of `weight`) of points
-    with t up to x. The histogram has at most MOST_BUCKETS rows whatever the points are, so it is broadcast; all else is grouped by bucket."""
-    width, low, high = _width(points, least)
+    with t up to x. A time is looked up in its own bucket, so buckets may be narrower than the stretches that are asked for: their number follows from the points alone.
+    The histogram has a row a bucket and is broadcast; the one window without a partition sees these rows only."""
+    width, low, high = _width(points)
     one = F.lit(1).cast("long") if weight is None else F.col(weight)
     at = lambda t: F.least(F.greatest(F.floor((t - F.lit(low)) / F.lit(width)), F.lit(-1)), F.lit((high - low) // width + 1)).cast("long")
     cols = asked.columns
@@ -34,21 +38,21 @@ def prefix_counts(points: DataFrame, asked: DataFrame, least: int = 1, weight: s
     return counted.join(F.broadcast(ahead), "b").select("r.*", (F.col("within") + F.col("ahead")).alias("upto"))
 
 
-def range_counts(points: DataFrame, asked: DataFrame, low: Column, high: Column, name: str, key: str = "eid", least: int = 1, weight: str | None = None) -> DataFrame:
+def range_counts(points: DataFrame, asked: DataFrame, low: Column, high: Column, name: str, key: str = "eid", weight: str | None = None) -> DataFrame:
     """(key, name): points with t in the closed stretch [low, high] of each row of `asked`."""
     ends = asked.select(F.col(key), F.explode(F.array(F.struct(high.alias("x"), F.lit(True).alias("inclusive"), F.lit(1).alias("sign")), F.struct(low.alias("x"), F.lit(False).alias("inclusive"), F.lit(-1).alias("sign")))).alias("q"))
-    got = prefix_counts(points, ends.select(key, "q.x", "q.inclusive", "q.sign"), least, weight)
+    got = prefix_counts(points, ends.select(key, "q.x", "q.inclusive", "q.sign"), weight)
     return got.groupBy(key).agg(F.sum(F.col("upto") * F.col("sign")).alias(name))
 
 
 def trailing_count(edges: DataFrame, width: int) -> DataFrame:
     """(eid, m_prime): edges with a time in the closed stretch [t - width, t], the edge itself among them."""
-    return range_counts(edges, edges, F.col("t") - F.lit(width), F.col("t"), "m_prime", least=width)
+    return range_counts(edges, edges, F.col("t") - F.lit(width), F.col("t"), "m_prime")
 
 
 def ranks(edges: DataFrame) -> DataFrame:
     """Edges with `rank`, their place from 0 on in the order of (t, eid), without one task that sees all edges."""
-    width, low, _ = _width(edges, 1)
+    width, low, _ = _width(edges)
     bucketed = edges.withColumn("_b", F.floor((F.col("t") - F.lit(low)) / F.lit(width)).cast("long"))
     histogram = bucketed.groupBy("_b").agg(F.count(F.lit(1)).alias("_n"))
     ahead = histogram.select("_b", F.coalesce(F.sum("_n").over(Window.orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_ahead"))

@@ -43,6 +43,12 @@ def written(df: DataFrame, name: str, compression: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def settled(df: DataFrame, name: str = "settled") -> DataFrame:
+    """A frame that several passes read: a plain scan of files stays as it is, anything else (a view with joins, hashes or JSON) is written once."""
+    plan = df._jdf.queryExecution().optimizedPlan()
+    return df if plan.children().isEmpty() and plan.nodeName().startswith("LogicalRelation") else written(df, name)
+
+
 def bucketed(df: DataFrame, name: str, key: str) -> DataFrame:
     """Like `written`, but in buckets of `key`: a later join or grouping on it leaves these rows where they are."""
     spark = df.sparkSession

@@ -44,17 +44,20 @@ def duration(tau: int | datetime.timedelta, unit: str = "micros") -> int:
 
 
 def from_df(df: DataFrame, upper: str, lower: str, time: str, edge_id: str | None = None, nulls: str = "drop", duplicates: str = "keep") -> DataFrame:
-    """Edges of any frame. String nodes become 60-bit hashes; without an edge id, the id is a hash of the other columns and so one per distinct edge.
+    """Edges of any frame. String nodes become 60-bit hashes; without an edge id, the id is a hash of the other columns and of
+    the edge's number among equal ones, so repeated edges are told apart (the 60 bits clash once in some 10^9 edges: give ids to larger graphs).
     nulls: 'drop' or 'error'. duplicates: 'keep' repeated (u, l, t), or 'collapse' them into one."""
     node = lambda c: F.when(F.col(c).isNotNull(), key_hash(c)) if isinstance(df.schema[c].dataType, T.StringType) else F.col(c).cast("long")
     out = df.select((F.col(edge_id).cast("long") if edge_id else F.lit(None).cast("long")).alias("eid"), node(upper).alias("u"), node(lower).alias("l"), instant(F.col(time), df.schema[time].dataType).alias("t"))
-    if edge_id is None:
-        out = out.withColumn("eid", key_hash("u", "l", "t"))
     missing = reduce(lambda a, b: a | b, (F.col(c).isNull() for c in ("u", "l", "t")))
     if nulls == "error":
         out = out.withColumn("t", F.when(missing, F.raise_error(F.lit("an edge has a null")).cast("long")).otherwise(F.col("t")))
     else:
         out = out.where(~missing)
+    if edge_id is None and duplicates == "collapse":
+        return out.select("u", "l", "t").distinct().select(key_hash("u", "l", "t").alias("eid"), "u", "l", "t")
+    if edge_id is None:
+        out = out.groupBy("u", "l", "t").agg(F.count(F.lit(1)).alias("n")).withColumn("k", F.explode(F.sequence(F.lit(1), "n"))).select(key_hash("u", "l", "t", "k").alias("eid"), "u", "l", "t")
     return out.groupBy("u", "l", "t").agg(F.min("eid").alias("eid")).select("eid", "u", "l", "t") if duplicates == "collapse" else out
 
 

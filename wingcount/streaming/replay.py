@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from wingcount.functions.hashing import u01
 from wingcount.operators.counting import COUNTS, list_instances, long_form, six
-from wingcount.shared import new_path
+from wingcount.shared import new_path, settled
 from wingcount.sources.edges import HOUR, view, view_sql
 from wingcount.sqlapi import instances_sql, six_sql
 
@@ -19,7 +19,11 @@ EDGE = "eid long, u long, l long, t long, ts timestamp"
 def slices(edges: DataFrame, width: int, name: str = "replay") -> str:
     """Edges written in files that follow each other in time; a folder's modification times keep that order."""
     path = new_path(edges.sparkSession, name)
+    edges = settled(edges)
     low, high = edges.agg(F.min("t"), F.max("t")).first()
+    if low is None:
+        edges.withColumn("ts", F.timestamp_micros("t")).write.mode("append").parquet(path)
+        return path
     for at in range(low, high + 1, width):
         own = edges.where(F.col("t").between(at, at + width - 1)).withColumn("ts", F.timestamp_micros("t"))
         own.coalesce(1).write.mode("append").parquet(path)
@@ -54,7 +58,7 @@ def stream_wedges(spark: SparkSession, path: str, tau: int, delay: str, p: float
     first = source(spark, path, delay).select(F.col("eid").alias("e1"), F.col("u").alias("ua"), F.col("l").alias("center"), F.col("t").alias("t1"), F.col("ts").alias("ts1"))
     first = first.where(u01(seed, "e1") < p) if p < 1 else first
     second = source(spark, path, delay).select(F.col("eid").alias("e2"), F.col("u").alias("ub"), F.col("l").alias("l2"), F.col("t").alias("t2"), F.col("ts").alias("ts2"))
-    near = (F.col("ts2") > F.col("ts1")) & (F.col("ts2") <= F.col("ts1") + F.expr(f"interval {tau // 1_000_000} seconds"))
+    near = (F.col("ts2") > F.col("ts1")) & (F.col("ts2") <= F.col("ts1") + F.expr(f"interval {tau} microseconds"))
     joined = first.join(second, (F.col("center") == F.col("l2")) & near & (F.col("ua") != F.col("ub")))
     return joined.select("e1", "e2", "ua", "ub", "center", "t1", "t2")
 
@@ -100,15 +104,16 @@ def _replayed(spark: SparkSession, d: str, delay: str | None = "1 hour") -> Data
 
 
 def _late(spark: SparkSession, d: str) -> DataFrame:
-    """The second half of the events comes first, so what follows is behind the watermark; the rows that are left, over those of a full replay."""
+    """The last quarter of the time comes first, then the quarter before it, then the first half. A batch drops what is behind the watermark of the batch before the last one, so
+    the quarter before the last still counts, and the first half is dropped. The rows that are left, and all rows."""
     edges = view(spark, d, "euk").withColumn("ts", F.timestamp_micros("t"))
     path = new_path(spark, "late")
-    mid = edges.agg(((F.min("t") + F.max("t")) / 2).cast("long")).first()[0]
-    for own in (edges.where(F.col("t") > mid), edges.where(F.col("t") <= mid)):
-        own.coalesce(1).write.mode("append").parquet(path)
+    mid, late = (int(x) for x in edges.agg(((F.min("t") + F.max("t")) / 2).cast("long"), ((F.min("t") + 3 * F.max("t")) / 4).cast("long")).first())
+    for own in (F.col("t") > late, (F.col("t") > mid) & (F.col("t") <= late), F.col("t") <= mid):
+        edges.where(own).coalesce(1).write.mode("append").parquet(path)
     got = drained(tumbling(source(spark, path, "1 hour", files=1), "1 day"), "append")
-    kept = got.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
-    return kept.crossJoin(edges.agg(F.count(F.lit(1)).alias("m"))).select((F.col("n") < F.col("m")).alias("dropped"))  # single rows
+    kept = got.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("kept"))
+    return kept.crossJoin(edges.agg(F.count(F.lit(1)).alias("rows")))  # single rows
 
 
 def _dedup(spark: SparkSession, d: str) -> DataFrame:
@@ -132,6 +137,10 @@ QUERIES = {
         f"with e as ({_E}) select a.eid as e1, b.eid as e2, a.u as ua, b.u as ub, a.l as center, a.t as t1, b.t as t2 from e a join e b on a.l = b.l and a.u <> b.u and b.t > a.t and b.t <= a.t + {_TAU}",
     ),
     "stream_counts": (lambda s, d: stream_counts(s, slices(view(s, d, "euk"), 240 * HOUR), 24 * HOUR, HOUR, files=2), f"{instances_sql(_E, 24 * HOUR)} {six_sql()}"),
-    "stream_late": (_late, "select true as dropped"),
+    "stream_late": (
+        _late,
+        # days that the watermark has closed by the end, without what came after the later half
+        f"with e as ({_E}), x as (select trunc((min(t) + max(t)) / 2)::bigint as mid, max(t) - {HOUR} as mark from e) select count(*) filter (t > mid and (t // {_DAY} + 1) * {_DAY} <= mark) as kept, count(*) as rows from e, x",
+    ),
     "stream_dedup": (_dedup, f"select eid from ({_E})"),
 }
