@@ -133,6 +133,7 @@ def _answered(blocks: DataFrame, name: str, parts: int, asked: Callable[[dict],
                             for (c, _), v in zip(fields, one, strict=True):
                                 out[c].append(v)
                     yield pa.RecordBatch.from_arrays([pa.array(out[c], t) for c, t in fields], [c for c, _ in fields])
+                    pa.default_memory_pool().release_unused()
 
     def summed(table: pa.Table) -> pa.Table:
         table = table.sort_by("block")
@@ -302,6 +303,7 @@ def score(docs: DataFrame, train: Column, text: str = "text") -> DataFrame:
         for batch in batches:
             for k in range(batch.num_rows):
                 yield answer(batch.slice(k, 1).to_pylist()[0])
+                pa.default_memory_pool().release_unused()
 
     def answer(row: dict) -> pa.RecordBatch:
         b, told = Block(row, texts), _got(row["paired"], 0)

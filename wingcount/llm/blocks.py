@@ -93,6 +93,7 @@ def block_table(docs: DataFrame, split: Split, text: str = "text", doc_id: str =
                 if size >= size_of_block:
                     yield block((part << 32) + n, held)
                     held, size, n = [], 0, n + 1
+                    pa.default_memory_pool().release_unused()
         if held:
             yield block((part << 32) + n, held)
 
