@@ -116,6 +116,6 @@ def test_adapter(spark):
 
 def test_plans_hold_no_cartesian_product(spark):
     edges = view(spark, SF, "euk")
-    plan = counting.exact_count(edges, HOUR)._jdf.queryExecution().toString()
+    plan = counting.exact_count(edges, HOUR, "wedge_pair", "lower")._jdf.queryExecution().toString()
     assert "Cartesian" not in plan and "NestedLoop" not in plan
     assert "ReadSchema: struct<ts:timestamp_ntz,user_id:bigint,props:string>" in plan  # ids are not needed to count
