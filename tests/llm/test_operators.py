@@ -6,6 +6,7 @@ import re
 import textwrap
 import zlib
 from collections import Counter
+from pathlib import Path
 
 import duckdb
 import numpy as np
@@ -247,6 +248,27 @@ def test_whole_licence_files(spark):
     assert {(r["doc_id"], r["license_id"], r["unit"], r["n"]) for r in rows(licenses.scan(df))} == want
 
 
+def test_terms_of_long_licences(spark):
+    """Long terms by digest: rewrapped, with other text before and after, twice in a text, and changed by one word; DuckDB agrees."""
+    rnd = np.random.default_rng(4)
+    body = "Grant of license " + " ".join("".join(rnd.choice(list("abcdefghij"), 6)) for _ in range(300)) + " End."
+    entry = licenses.terms_of("Own-1.0", body)
+    wrap = lambda x, n: "\n".join(textwrap.wrap(x, n))
+    texts = [wrap(body, 40), "Title\n\n" + wrap(body, 70).upper() + "\n\nAppendix: how to apply", body + "\n\n" + wrap(body, 33), body.replace(" End.", " Ends."), "Grant of license " * 90, None]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {(r["doc_id"], r["license_id"], r["unit"], r["n"]) for r in rows(licenses.scan(df, terms=[entry]))}
+    assert {x for x in got if x[2] == "terms"} == {(0, "Own-1.0", "terms", 1), (1, "Own-1.0", "terms", 1), (2, "Own-1.0", "terms", 2)}
+    assert {x[0] for x in got} == {0, 1, 2} and (0, "Own-1.0", "text", 1) in got
+    folder = Path("/usr/share/common-licenses")
+    files = [folder / x for x in ("Apache-2.0", "GPL-2", "GPL-3", "LGPL-2.1", "LGPL-3", "MPL-2.0", "CC0-1.0") if (folder / x).exists()]
+    df = spark.createDataFrame([(k, "preface\n\n" + f.read_text() + "\n\nafterword") for k, f in enumerate(files)], "doc_id long, text string")
+    found = rows(licenses.scan(df))
+    assert {(r["doc_id"], r["license_id"].removesuffix(".0")) for r in found if r["unit"] == "terms"} == {(k, f.name.removesuffix(".0")) for k, f in enumerate(files)}
+    con = duckdb.connect()
+    con.register("documents", df.toArrow())
+    assert {tuple(r) for r in con.execute(f"select doc_id, license_id, unit, n from ({licenses.oracle()})").fetchall()} == {(r["doc_id"], r["license_id"], r["unit"], r["n"]) for r in found}
+
+
 def test_licenses_odd_rows(odd, empty):
     assert rows(licenses.scan(odd)) == [] == rows(licenses.scan(empty))
 

@@ -2,6 +2,8 @@
 
 A text, each of its paragraphs and lines, and each run of two to MOST_RUN paragraphs that begins where a longer known text may begin, is brought to a canonical form: lower case, no copyright lines, no punctuation, one spelling of
 words that licences spell in several ways. The SHA-256 of the whole form is joined with the digests of known licence texts and notices.
+The terms of long licences are known by digest alone: wherever a text's canonical form has the words that such terms begin with, as many characters as they are long
+are hashed, however the text is wrapped, titled or surrounded.
 Only documents, then units, that hold one of the catalogue's anchors go that far; every known text has an anchor, so none is missed.
 
 Null and empty texts match nothing; a unit of copyright lines alone has no digest. Rows that repeat a doc_id are counted together. doc_id null is a group
@@ -24,7 +26,7 @@ SPELLINGS = {
     "judgement": "judgment", "labelling": "labeling", "labour": "labor", "licence": "license", "licences": "licenses", "licenced": "licensed", "maximise": "maximize",
     "modelled": "modeled", "modelling": "modeling", "offence": "offense", "optimise": "optimize", "organisation": "organization", "organise": "organize",
     "practise": "practice", "programme": "program", "realise": "realize", "recognise": "recognize", "signalling": "signaling", "sub license": "sublicense",
-    "utilisation": "utilization", "whilst": "while", "wilful": "willful", "non commercial": "noncommercial", "per cent": "percent", "copyright owner": "copyright holder",
+    "utilisation": "utilization", "whilst": "while", "wilful": "willful", "non commercial": "noncommercial", "https": "http", "per cent": "percent", "copyright owner": "copyright holder",
 }
 
 _WARRANTY = (
@@ -128,6 +130,21 @@ KNOWN = [
     ("CC0-1.0", "SPDX-License-Identifier: CC0-1.0"),
     ("Unlicense", "This is free and unencumbered software released into the public domain under the Unlicense."),
 ]
+#: Licences whose terms are too long to be listed. Id, the first words of the terms, length and SHA-256 of their canonical form, without title, address and appendix.
+TERMS: list[tuple[str, str, int, str]] = [
+    ("Apache-2.0", "apache license version 2 0 january 2004 http", 8810, "0b8c1a9e0ec99ab3b27e123e667fe4843df4dd7e6c667ccdc634dd6878c5dd6c"),
+    ("GPL-1.0", "preamble the license agreements of most software companies", 9195, "018aaaf7231e8a3c8e8a0800c7e593914a330040252f5dc554e1817d1a27f2d4"),
+    ("GPL-2.0", "preamble the licenses for most software are designed", 14263, "98e760555ff723908d803b23140ebd264fee15e7615bf9486faa0f8f6596c34f"),
+    ("GPL-3.0", "preamble the gnu general public license is a", 30801, "fad6d14122ae5943ea05f9e4d48194524a0b701f034fd22c7dded3e6c296c742"),
+    ("LGPL-2.0", "preamble the licenses for most software are designed", 21927, "d4689245f0c71022ce729821274153c787fdebe2e92f0de1f6d3c23326a5f619"),
+    ("LGPL-2.1", "preamble the licenses for most software are designed", 22974, "73ac55304afe4c219acdd0cb7683daf4fe3772c9b493da4a095d93a7789311d5"),
+    ("LGPL-3.0", "this version of the gnu lesser general public", 6930, "3c109b32fc12cedb18f514c338498353cbbafbc7ad3aa3aed8c864396943f25a"),
+    ("MPL-1.1", "1 definitions 1 0 1 commercial use means", 20849, "8e0d6bce1c9edcccd142522e83c6de084a68b9500d79e6741b8903df3316c55a"),
+    ("MPL-2.0", "1 definitions 1 1 contributor means each individual", 13556, "fa31bb5fe4dacb07f1a4ad162be58edb552e9a96a500b68e081943eb2d3cfec5"),
+    ("CC0-1.0", "statement of purpose the laws of most jurisdictions", 6182, "4f8ab63ace774f37529081c81e2730a88143bf70e67392bd3c3701bd0a175152"),
+    ("GFDL-1.2", "0 preamble the purpose of this license is", 18160, "da4c85448f47d22603d951c573ac545a667904a5f6eab0104964d422566c7ed2"),
+    ("GFDL-1.3", "0 preamble the purpose of this license is", 20632, "1fdd53f1ef0ad288d6e9388b799ce36ae0484d524c9a2d2408a6f2f8e6dc5cef"),
+]
 #: Each known text holds one of these in lower case.
 ANCHORS = ("licen", "permission", "redistribution")
 #: Texts of several paragraphs begin with one that holds one of these in lower case.
@@ -165,9 +182,34 @@ def digests(known: list[tuple[str, str]] | None = None) -> dict[str, str]:
     return out
 
 
-def scan(docs: DataFrame, text: str = "text", known: list[tuple[str, str]] | None = None) -> DataFrame:
-    """doc_id, license_id, unit (text, paragraphs, paragraph or line) and n, how many of the document's units are that licence's."""
-    catalogue = docs.sparkSession.createDataFrame([(d, name) for d, name in digests(known).items()], "digest string, license_id string")
+def terms_of(name: str, text: str, words: int = 8) -> tuple[str, str, int, str]:
+    """The entry of TERMS for a licence's whole terms: id, first words, length and digest of the canonical form."""
+    form = canonical_text(text)
+    if not any(x in form for x in ANCHORS):
+        raise ValueError(f"no anchor in {text[:60]!r}")
+    return name, " ".join(form.split()[:words]), len(form), hashlib.sha256(form.encode()).hexdigest()
+
+
+def _terms(own: DataFrame, terms: list[tuple[str, str, int, str]]) -> DataFrame:
+    """doc_id, unit and digest of every stretch that begins with the first words of known terms and is as long. Spellings shorten a text by less than half."""
+    form = F.col("_form")
+    long = own.where(F.length("_text") >= min(n for _, _, n, _ in terms) // 2).select("doc_id", canonical(F.col("_text")).alias("_form"))
+
+    def stretches(head: str, n: int) -> Column:
+        parts = F.split(form, head)
+        at = F.filter(F.sequence(F.lit(0), F.size(parts) - 1), lambda i: i > 0)
+        return F.transform(at, lambda i: F.substring(F.concat(F.lit(head), F.array_join(F.slice(parts, i + 1, F.size(parts)), head)), 1, n))
+
+    pairs = sorted({(head, n) for _, head, n, _ in terms})
+    bodies = F.concat(*(F.filter(stretches(head, n), lambda x, n=n: F.length(x) == n) for head, n in pairs))
+    return long.select("doc_id", F.explode(bodies).alias("body")).select("doc_id", F.lit("terms").alias("unit"), F.sha2("body", 256).alias("digest"))
+
+
+def scan(docs: DataFrame, text: str = "text", known: list[tuple[str, str]] | None = None, terms: list[tuple[str, str, int, str]] | None = None) -> DataFrame:
+    """doc_id, license_id, unit (text, paragraphs, paragraph, line or terms) and n, how many of the document's units are that licence's."""
+    terms = TERMS if terms is None else terms
+    entries = digests(known) | {d: name for name, _, _, d in terms}
+    catalogue = docs.sparkSession.createDataFrame(list(entries.items()), "digest string, license_id string")
     anchored = lambda c: F.greatest(*(F.contains(F.lower(c), F.lit(x)) for x in ANCHORS))
     own = docs.select("doc_id", F.col(text).alias("_text")).where(anchored(F.col("_text")))
     several = lambda pattern, unit: F.transform(F.split("_text", pattern), lambda x: F.struct(F.lit(unit).alias("unit"), x.alias("body")))
@@ -179,6 +221,8 @@ def scan(docs: DataFrame, text: str = "text", known: list[tuple[str, str]] | Non
     runs = F.flatten(F.transform(heads, lambda i: F.transform(fits(i), lambda k: run(i, k))))
     units = F.concat(F.array(F.struct(F.lit("text").alias("unit"), F.col("_text").alias("body"))), runs, several(_BREAK, "paragraph"), several("\n", "line"))
     found = own.select("doc_id", F.explode(F.filter(units, lambda x: anchored(x["body"]))).alias("u")).select("doc_id", "u.unit", F.sha2(canonical(F.col("u.body")), 256).alias("digest"))
+    if terms:
+        found = found.union(_terms(own, terms))
     return found.join(F.broadcast(catalogue), "digest").groupBy("doc_id", "license_id", "unit").agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -191,7 +235,8 @@ def oracle() -> str:
             out = f"regexp_replace({out}, '\\b{old}\\b', '{new}', 'g')"
         return out
 
-    known = ", ".join(f"('{d}', '{name}')" for d, name in digests().items())
+    known = ", ".join(f"('{d}', '{name}')" for d, name in (digests() | {d: name for name, _, _, d in TERMS}).items())
+    shapes = ", ".join(f"('{head}', {n})" for head, n in sorted({(head, n) for _, head, n, _ in TERMS}))
     has = lambda x: "(" + " or ".join(f"contains(lower({x}), '{a}')" for a in ANCHORS) + ")"
     begins = lambda x: "(" + " or ".join(f"contains(lower({x}), '{a.replace(chr(39), chr(39) * 2)}')" for a in BEGINNINGS) + ")"
     return f"""
@@ -204,7 +249,14 @@ def oracle() -> str:
       union all select doc_id, 'paragraphs', array_to_string(p[i:i + k - 1], chr(10) || chr(10)) from runs where i + k - 1 <= len(p)
       union all select doc_id, 'paragraph', unnest(string_split_regex(text, '{_BREAK}')) from own
       union all select doc_id, 'line', unnest(string_split(text, chr(10))) from own
-    ), found as (select doc_id, unit, sha256({folded("body")}) as digest from units where {has("body")}),
+    ), forms as (select doc_id, {folded("text")} as form from own),
+    parts as (select doc_id, form, head, size, string_split(form, head) as p from forms, (values {shapes}) as shape(head, size) where contains(form, head)),
+    cuts as (select *, unnest(range(1, len(p))) as i from parts),
+    stretches as (select doc_id, size, substr(form, 1 + cast(list_sum([length(x) for x in p[:i]]) as bigint) + (i - 1) * length(head), size) as body from cuts),
+    found as (
+      select doc_id, unit, sha256({folded("body")}) as digest from units where {has("body")}
+      union all select doc_id, 'terms', sha256(body) from stretches where length(body) = size
+    ),
     known(digest, license_id) as (values {known})
     select doc_id, license_id, unit, count(*) as n from found join known using (digest) group by all
     """
