@@ -191,17 +191,18 @@ def terms_of(name: str, text: str, words: int = 8) -> tuple[str, str, int, str]:
 
 
 def _terms(own: DataFrame, terms: list[tuple[str, str, int, str]]) -> DataFrame:
-    """doc_id, unit and digest of every stretch that begins with the first words of known terms and is as long. Spellings shorten a text by less than half."""
+    """doc_id, unit and digest of every stretch that begins with the first words of known terms and is as long, in whole words. Spellings shorten a text by less than half."""
     form = F.col("_form")
-    long = own.where(F.length("_text") >= min(n for _, _, n, _ in terms) // 2).select("doc_id", canonical(F.col("_text")).alias("_form"))
+    long = own.where(F.length("_text") >= min(n for _, _, n, _ in terms) // 2).select("doc_id", F.concat(F.lit(" "), canonical(F.col("_text"))).alias("_form"))
 
     def stretches(head: str, n: int) -> Column:
-        parts = F.split(form, head)
+        parts = F.split(form, f" {head}")
         at = F.filter(F.sequence(F.lit(0), F.size(parts) - 1), lambda i: i > 0)
-        return F.transform(at, lambda i: F.substring(F.concat(F.lit(head), F.array_join(F.slice(parts, i + 1, F.size(parts)), head)), 1, n))
+        bodies = F.transform(at, lambda i: F.rtrim(F.substring(F.concat(F.lit(head), F.array_join(F.slice(parts, i + 1, F.size(parts)), f" {head}")), 1, n + 1)))
+        return F.filter(bodies, lambda body: F.length(body) == n)
 
     pairs = sorted({(head, n) for _, head, n, _ in terms})
-    bodies = F.concat(*(F.filter(stretches(head, n), lambda x, n=n: F.length(x) == n) for head, n in pairs))
+    bodies = F.concat(*(stretches(head, n) for head, n in pairs))
     return long.select("doc_id", F.explode(bodies).alias("body")).select("doc_id", F.lit("terms").alias("unit"), F.sha2("body", 256).alias("digest"))
 
 
@@ -249,10 +250,10 @@ def oracle() -> str:
       union all select doc_id, 'paragraphs', array_to_string(p[i:i + k - 1], chr(10) || chr(10)) from runs where i + k - 1 <= len(p)
       union all select doc_id, 'paragraph', unnest(string_split_regex(text, '{_BREAK}')) from own
       union all select doc_id, 'line', unnest(string_split(text, chr(10))) from own
-    ), forms as (select doc_id, {folded("text")} as form from own),
-    parts as (select doc_id, form, head, size, string_split(form, head) as p from forms, (values {shapes}) as shape(head, size) where contains(form, head)),
+    ), forms as (select doc_id, ' ' || {folded("text")} as form from own),
+    parts as (select doc_id, form, head, size, string_split(form, ' ' || head) as p from forms, (values {shapes}) as shape(head, size) where contains(form, ' ' || head)),
     cuts as (select *, unnest(range(1, len(p))) as i from parts),
-    stretches as (select doc_id, size, substr(form, 1 + cast(list_sum([length(x) for x in p[:i]]) as bigint) + (i - 1) * length(head), size) as body from cuts),
+    stretches as (select doc_id, size, rtrim(substr(form, 2 + cast(list_sum([length(x) for x in p[:i]]) as bigint) + (i - 1) * (length(head) + 1), size + 1)) as body from cuts),
     found as (
       select doc_id, unit, sha256({folded("body")}) as digest from units where {has("body")}
       union all select doc_id, 'terms', sha256(body) from stretches where length(body) = size
