@@ -45,12 +45,16 @@ def main() -> None:
     )
     spark.sparkContext.setLogLevel("ERROR")
     spark.range(1000).selectExpr("sum(id)").collect()
-    seconds = {}
+    from wingcount.functions.metrics import stage_costs
+
+    seconds, costs, last = {}, {}, -1
     for name, build in headline().items():
         began = time.perf_counter()
         build(spark, SF_DIR).write.format("noop").mode("overwrite").save()
         seconds[name] = round(time.perf_counter() - began, 3)
-    print(json.dumps({"metric": "headline_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": SF_DIR.rpartition("sf")[2]}))
+        costs[name] = stage_costs(spark, last)
+        last = costs[name].pop("last")
+    print(json.dumps({"metric": "headline_seconds", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "costs": costs, "sf": SF_DIR.rpartition("sf")[2]}))
 
 
 if __name__ == "__main__":

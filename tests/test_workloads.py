@@ -3,8 +3,10 @@
 import datetime
 
 import pytest
+from pyspark.sql import functions as F
 
 from wingcount import queries, workloads
+from wingcount.functions import metrics
 from wingcount.operators import counting, estimators, sampling
 from wingcount.operators.estimators import grid_estimates
 from wingcount.sources import edges as edges_
@@ -62,3 +64,13 @@ def test_time_vs_tau_takes_the_smallest_good_rate(spark):
 def test_errors_at_equal_budget(spark):
     got = workloads.errors_at_equal_budget(view(spark, SF, "euk"), 72 * HOUR, ("edge",), (1.0,), seeds=(0, 1)).collect()
     assert sorted((r["type"], r["rel_error"]) for r in got) == [(k, 0.0) for k in range(1, 7)]
+
+
+def test_stage_costs(spark):
+    """A grouping shuffles some bytes and spills none; a plain scan does neither."""
+    last = metrics.stage_costs(spark)["last"]
+    spark.range(0, 200_000, 1, 4).groupBy((F.col("id") % 50_000).alias("k")).count().write.format("noop").mode("overwrite").save()
+    first = metrics.stage_costs(spark, last)
+    assert first["shuffle_mb"] > 0 and first["spill_mb"] == 0 and first["peak_mb"] > 0 and first["last"] > last
+    spark.range(10).write.format("noop").mode("overwrite").save()
+    assert metrics.stage_costs(spark, first["last"])["shuffle_mb"] == 0

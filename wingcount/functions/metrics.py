@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -59,3 +59,19 @@ def timed(build: Callable[[], DataFrame], repeat: int = 3) -> list[float]:
         build().write.format("noop").mode("overwrite").save()
         out.append(time.perf_counter() - began)
     return out
+
+
+def stage_costs(spark: SparkSession, after: int = -1) -> dict:
+    """What the stages with an id above `after` shuffled and spilled, in MB, the largest execution memory of a task's operators, and the last stage's id. Reads the
+    session's own status store, which keeps some 1,000 stages, so ask after each query."""
+    gateway, context = spark.sparkContext._gateway, spark.sparkContext._jsc.sc()
+    context.listenerBus().waitUntilEmpty()
+    held = context.statusStore().stageList(None, False, False, gateway.new_array(gateway.jvm.double, 0), gateway.jvm.java.util.ArrayList())
+    stages = [x for x in (held.apply(k) for k in range(held.size())) if x.stageId() > after]
+    mb = lambda values: round(sum(values) / 1e6, 1)
+    return {
+        "shuffle_mb": mb(x.shuffleWriteBytes() for x in stages),
+        "spill_mb": mb(x.diskBytesSpilled() for x in stages),
+        "peak_mb": round(max((x.peakExecutionMemory() for x in stages), default=0) / 1e6, 1),
+        "last": max((x.stageId() for x in stages), default=after),
+    }
