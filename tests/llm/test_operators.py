@@ -487,6 +487,17 @@ def test_line_quality_on_held_out(spark):
     assert all(0 <= r["score"] <= 1 and r["line_scores"] for r in got)
 
 
+def test_copies_are_one_text_of_the_sample(spark):
+    """A thousand labelled copies of the text whose hash is the lowest leave the fit as it is."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet").select("doc_id", "quality")
+    low = docs.join(labels.where("quality = 1"), "doc_id").orderBy(F.xxhash64("text")).first()
+    more = spark.range(10**6, 10**6 + 1000).select(F.col("id").alias("doc_id"), F.lit(low["text"]).alias("text"))
+    one = line_quality.fit(docs, labels, F.lit(True), most_docs=100)
+    other = line_quality.fit(docs.union(more), labels.union(more.select("doc_id", F.lit(1).cast(labels.schema["quality"].dataType).alias("quality"))), F.lit(True), most_docs=100)
+    assert np.array_equal(one.weight, other.weight) and np.array_equal(one.move, other.move)
+
+
 def test_line_quality_odd_rows(spark, odd, empty):
     labels = spark.createDataFrame([(5, 1), (8, 0), (4, None), (77, 1)], "doc_id long, quality int")
     got = rows(line_quality.score(odd, line_quality.fit(odd, labels, F.lit(True))))

@@ -196,11 +196,12 @@ def document_scores(chain: Chain, column: pa.Array) -> tuple[np.ndarray, np.ndar
 
 
 def fit(docs: DataFrame, labels: DataFrame, train: Column, text: str = "text", most_docs: int = 1600, most_bytes: int = 1 << 16) -> Chain | None:
-    """Fits the chain on at most `most_docs` labelled training documents of at most `most_bytes` each, half of them of either label where there are as many."""
+    """Fits the chain on at most `most_docs` labelled training documents of at most `most_bytes` each, half of them of either label where there are as many. Of equal texts
+    with one label the row of the smallest doc_id stands for all, so that a large group of copies is one text of the sample."""
     known = labels.where(F.col("quality").isin(0, 1)).groupBy("doc_id").agg(F.max("quality").alias("quality"))
     own = docs.where(train & (F.coalesce(F.octet_length(text), F.lit(0)) <= most_bytes)).select("doc_id", F.col(text).alias("_text"), F.xxhash64(text).alias("_h"))
     # ids and hashes alone are joined and ordered; texts are read for the chosen ones
-    hashed = own.select("doc_id", "_h").distinct().join(known, "doc_id")
+    hashed = own.select("doc_id", "_h").join(known, "doc_id").groupBy("_h", "quality").agg(F.min("doc_id").alias("doc_id"))
     chosen = [r for value in (0, 1) for r in hashed.where(F.col("quality") == value).orderBy("_h", "doc_id").limit(most_docs // 2).collect()]
     if not chosen:
         return None
